@@ -2,18 +2,40 @@
 
 from __future__ import annotations
 
-from . import token_files
+from . import langid, mixing, sketch, token_files, toxicity
 from .common import load
 
 
-def op3_token_files(spark, sf_dir):
+def vocabulary() -> str:
     import public_tokenizers
 
-    return token_files.token_table(load(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
+    return public_tokenizers.path("byte_bpe_50k.json")
 
 
-QUERIES = {
-    "op3_token_files": op3_token_files,
-}
+def op1_mix_sources(spark, sf_dir):
+    return mixing.mix(load(spark, sf_dir, "documents"))
+
+
+def op3_token_files(spark, sf_dir):
+    return token_files.token_table(load(spark, sf_dir, "documents"), vocabulary())
+
+
+def op5_toxicity(spark, sf_dir):
+    docs = load(spark, sf_dir, "documents")
+    return toxicity.score(docs, toxicity.fit(docs, load(spark, sf_dir, "labels")))
 
-ORACLE: dict[str, str] = {}
+
+def op9_fingerprints(spark, sf_dir):
+    return sketch.fingerprints(load(spark, sf_dir, "documents"))
+
+
+def op10_language_id(spark, sf_dir):
+    docs = load(spark, sf_dir, "documents")
+    return langid.identify(docs, langid.learn_profiles(docs))
+
+
+QUERIES = {f.__name__: f for f in (op1_mix_sources, op3_token_files, op5_toxicity, op9_fingerprints, op10_language_id)}
+
+ORACLE: dict[str, str] = {
+    "op1_mix_sources": mixing.MIX_SQL,
+}
