@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import langid, mixing, sketch, token_files, toxicity
+from . import decontaminate, langid, mixing, sketch, token_files, toxicity
 from .common import load
 
 
@@ -25,6 +25,10 @@ def op5_toxicity(spark, sf_dir):
     return toxicity.score(docs, toxicity.fit(docs, load(spark, sf_dir, "labels")))
 
 
+def op6_decontaminate(spark, sf_dir):
+    return decontaminate.contamination(load(spark, sf_dir, "documents"), load(spark, sf_dir, "benchmark")).drop("spans")
+
+
 def op9_fingerprints(spark, sf_dir):
     return sketch.fingerprints(load(spark, sf_dir, "documents"))
 
@@ -34,8 +38,9 @@ def op10_language_id(spark, sf_dir):
     return langid.identify(docs, langid.learn_profiles(docs))
 
 
-QUERIES = {f.__name__: f for f in (op1_mix_sources, op3_token_files, op5_toxicity, op9_fingerprints, op10_language_id)}
+QUERIES = {f.__name__: f for f in (op1_mix_sources, op3_token_files, op5_toxicity, op6_decontaminate, op9_fingerprints, op10_language_id)}
 
 ORACLE: dict[str, str] = {
     "op1_mix_sources": mixing.MIX_SQL,
+    "op6_decontaminate": decontaminate.CONTAMINATION_SQL,
 }

@@ -14,6 +14,8 @@ LENGTHS = (4, 5, 6)
 BITS = 19
 MOST_ROWS = 12_000
 _SMOOTH = 1.0
+#: Likelihood-ratio statistic of presence against label from which a feature takes part.
+EVIDENCE = 12.0
 
 
 def features(text: str, lengths=LENGTHS, bits: int = BITS, flags: np.ndarray | None = None) -> np.ndarray:
@@ -50,8 +52,8 @@ def labelled(docs: DataFrame, labels: DataFrame) -> DataFrame:
     return docs.where(~held_out(F.col("doc_id"))).select("doc_id", "text").join(known, "doc_id").select("doc_id", "text", F.col("toxic_").cast("int").alias("toxic"))
 
 
-def log_count_ratios(rows: DataFrame, bits: int = BITS) -> tuple[np.ndarray, np.ndarray]:
-    """Log of the smoothed share of rows with each feature among the toxic over that among the others, and the rows of each class.
+def log_count_ratios(rows: DataFrame, bits: int = BITS) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Log of the smoothed share of rows with each feature among the toxic over that among the others, its evidence, and the rows of each class.
 
     Presence counts of all labelled rows: summed in each batch, then over batches by slices of the feature space.
     """
@@ -71,7 +73,14 @@ def log_count_ratios(rows: DataFrame, bits: int = BITS) -> tuple[np.ndarray, np.
     counts[0, feature], counts[1, feature] = got.column("neg").to_numpy(), got.column("pos").to_numpy()
     n = counts[:, width].copy()
     share = (counts[:, :width] + _SMOOTH) / (n[:, None] + 2 * _SMOOTH)
-    return np.log(share[1] / share[0]), n
+    return np.log(share[1] / share[0]), evidence(counts[:, :width], n), n
+
+
+def evidence(counts: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """Likelihood-ratio statistic (G) of each feature's presence against the label."""
+    rate = counts.sum(0) / max(n.sum(), 1)
+    term = lambda o, e: np.where(o > 0, o * np.log(np.maximum(o, 1e-9) / np.maximum(e, 1e-9)), 0)
+    return 2 * sum(term(counts[k], n[k] * rate) + term(n[k] - counts[k], n[k] * (1 - rate)) for k in (0, 1))
 
 
 def fit(docs: DataFrame, labels: DataFrame, most_rows: int = MOST_ROWS, epochs: int = 30) -> Model:
@@ -81,14 +90,14 @@ def fit(docs: DataFrame, labels: DataFrame, most_rows: int = MOST_ROWS, epochs:
     gives a constant.
     """
     rows = labelled(docs, labels)
-    ratio, n = log_count_ratios(rows)
+    ratio, known, n = log_count_ratios(rows)
     if not n.min():
         return Model(np.zeros(1 << BITS), np.zeros(1 << BITS), 0.0, 3.0 if n[0] >= n[1] else -3.0)
     share = min(1.0, 1.5 * most_rows / n.sum())
     picked = F.xxhash64(F.lit("toxicity"), "doc_id")
     sample = rows.where(F.pmod(picked, F.lit(1_000_000)) < int(share * 1_000_000)) if share < 1 else rows
 
-    strong = np.abs(ratio) >= np.log(1.5)  # scaled by a ratio near 0, a feature can hardly matter
+    strong = known >= EVIDENCE
 
     def extract(batch):
         flags, found = np.zeros(1 << BITS, np.uint8), []
