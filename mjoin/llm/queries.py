@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import decontaminate, langid, mixing, sketch, token_files, toxicity
+from . import decontaminate, langid, mixing, phrases, sketch, token_files, toxicity
 from .common import load
 
 
@@ -29,6 +29,10 @@ def op6_decontaminate(spark, sf_dir):
     return decontaminate.contamination(load(spark, sf_dir, "documents"), load(spark, sf_dir, "benchmark")).drop("spans")
 
 
+def op7_repeated_passages(spark, sf_dir):
+    return phrases.repeated_passages(load(spark, sf_dir, "documents")).drop("spans")
+
+
 def op9_fingerprints(spark, sf_dir):
     return sketch.fingerprints(load(spark, sf_dir, "documents"))
 
@@ -38,9 +42,10 @@ def op10_language_id(spark, sf_dir):
     return langid.identify(docs, langid.learn_profiles(docs))
 
 
-QUERIES = {f.__name__: f for f in (op1_mix_sources, op3_token_files, op5_toxicity, op6_decontaminate, op9_fingerprints, op10_language_id)}
+QUERIES = {f.__name__: f for f in (op1_mix_sources, op3_token_files, op5_toxicity, op6_decontaminate, op7_repeated_passages, op9_fingerprints, op10_language_id)}
 
 ORACLE: dict[str, str] = {
     "op1_mix_sources": mixing.MIX_SQL,
     "op6_decontaminate": decontaminate.CONTAMINATION_SQL,
+    "op7_repeated_passages": phrases.PASSAGES_SQL,
 }
