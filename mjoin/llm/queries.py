@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import decontaminate, langid, mixing, phrases, sketch, token_files, toxicity
+from . import decontaminate, langid, mixing, phrases, pii, sketch, token_files, toxicity
 from .common import load
 
 
@@ -33,6 +33,10 @@ def op7_repeated_passages(spark, sf_dir):
     return phrases.repeated_passages(load(spark, sf_dir, "documents")).drop("spans")
 
 
+def op8_personal_data(spark, sf_dir):
+    return pii.find_personal_data(load(spark, sf_dir, "documents"), pii.train_field(spark))
+
+
 def op9_fingerprints(spark, sf_dir):
     return sketch.fingerprints(load(spark, sf_dir, "documents"))
 
@@ -42,7 +46,7 @@ def op10_language_id(spark, sf_dir):
     return langid.identify(docs, langid.learn_profiles(docs))
 
 
-QUERIES = {f.__name__: f for f in (op1_mix_sources, op3_token_files, op5_toxicity, op6_decontaminate, op7_repeated_passages, op9_fingerprints, op10_language_id)}
+QUERIES = {f.__name__: f for f in (op1_mix_sources, op3_token_files, op5_toxicity, op6_decontaminate, op7_repeated_passages, op8_personal_data, op9_fingerprints, op10_language_id)}
 
 ORACLE: dict[str, str] = {
     "op1_mix_sources": mixing.MIX_SQL,
