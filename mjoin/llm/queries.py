@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import decontaminate, langid, mixing, phrases, pii, sketch, token_files, toxicity
+from . import decontaminate, langid, mixing, ngram_join, phrases, pii, sketch, token_files, toxicity
 from .common import load
 
 
@@ -20,6 +20,10 @@ def op3_token_files(spark, sf_dir):
     return token_files.token_table(load(spark, sf_dir, "documents"), vocabulary())
 
 
+def op4_ngram_join(spark, sf_dir):
+    return ngram_join.near_duplicates(load(spark, sf_dir, "documents"))
+
+
 def op5_toxicity(spark, sf_dir):
     docs = load(spark, sf_dir, "documents")
     return toxicity.score(docs, toxicity.fit(docs, load(spark, sf_dir, "labels")))
@@ -46,7 +50,7 @@ def op10_language_id(spark, sf_dir):
     return langid.identify(docs, langid.learn_profiles(docs))
 
 
-QUERIES = {f.__name__: f for f in (op1_mix_sources, op3_token_files, op5_toxicity, op6_decontaminate, op7_repeated_passages, op8_personal_data, op9_fingerprints, op10_language_id)}
+QUERIES = {f.__name__: f for f in (op1_mix_sources, op3_token_files, op4_ngram_join, op5_toxicity, op6_decontaminate, op7_repeated_passages, op8_personal_data, op9_fingerprints, op10_language_id)}
 
 ORACLE: dict[str, str] = {
     "op1_mix_sources": mixing.MIX_SQL,
