@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import decontaminate, langid, mixing, ngram_join, phrases, pii, sketch, token_files, toxicity
+from . import decontaminate, html_wrapper, langid, mixing, ngram_join, phrases, pii, sketch, token_files, toxicity
 from .common import load
 
 
@@ -16,6 +16,10 @@ def op1_mix_sources(spark, sf_dir):
     return mixing.mix(load(spark, sf_dir, "documents"))
 
 
+def op2_html_text(spark, sf_dir):
+    return html_wrapper.extract(load(spark, sf_dir, "pages"))
+
+
 def op3_token_files(spark, sf_dir):
     return token_files.token_table(load(spark, sf_dir, "documents"), vocabulary())
 
@@ -50,7 +54,7 @@ def op10_language_id(spark, sf_dir):
     return langid.identify(docs, langid.learn_profiles(docs))
 
 
-QUERIES = {f.__name__: f for f in (op1_mix_sources, op3_token_files, op4_ngram_join, op5_toxicity, op6_decontaminate, op7_repeated_passages, op8_personal_data, op9_fingerprints, op10_language_id)}
+QUERIES = {f.__name__: f for f in (op1_mix_sources, op2_html_text, op3_token_files, op4_ngram_join, op5_toxicity, op6_decontaminate, op7_repeated_passages, op8_personal_data, op9_fingerprints, op10_language_id)}
 
 ORACLE: dict[str, str] = {
     "op1_mix_sources": mixing.MIX_SQL,
