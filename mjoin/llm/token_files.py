@@ -2,8 +2,12 @@
 
 from __future__ import annotations
 
+import os
 import re
 import zlib
+from array import array
+from itertools import compress, repeat
+from operator import is_
 
 import numpy as np
 import pyarrow as pa
@@ -13,9 +17,9 @@ from pyspark.sql import functions as F
 from .common import scratch_path, texts_of
 
 END_ID = 0
-#: A single space between two characters that aren't white space always begins a piece of the byte-level splitter.
-_PLAIN = re.compile(r"\s(?=[^\S\n])|[^\S ] |^ | $")
-_PIECES_LIMIT = 300_000
+#: White space that is neither the space nor the newline, as Unicode or Python have it.
+_ODD_SPACE = re.compile("[\t\r\x0b\x0c\x1c-\x1f\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]")
+_PIECES_LIMIT = 400_000
 
 
 class CachedEncoder:
@@ -28,29 +32,66 @@ class CachedEncoder:
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
+        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # tasks share the cores already
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
         self.known: dict[str, bytes] = {}
         self.older: dict[str, bytes] = {}
+        # Ġ is the space in the vocabulary's byte alphabet
+        names = {i: t for t, i in self.tokenizer.get_vocab().items()}
+        self.leads = np.array([names.get(i, "").startswith("\u0120") for i in range(max(names) + 1)])
+        self.marks = {c: np.array(self.tokenizer.encode(c).ids, np.uint32).tobytes() for c in ".,"}
 
     def __call__(self, text: str) -> np.ndarray:
-        if not text:
-            return np.empty(0, np.uint32)
-        if _PLAIN.search(text):
-            return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, np.uint32)
-        first, *rest = text.split(" ")
+        return self.batch([text])[0]
+
+    def batch(self, texts: list[str]) -> list[np.ndarray]:
+        """Ids of each text; pieces that are new to all of them are learned in one go."""
         if len(self.known) > _PIECES_LIMIT:
             self.known, self.older = {}, self.known
+        get, plain, new = self.known.get, [], {""}
+        for t in texts:
+            if not t or t[0] == " " or t[-1] == " " or "  " in t or " \n" in t or "\n " in t or _ODD_SPACE.search(t):
+                plain.append(None)
+                continue
+            first, *rest = t.split(" ")
+            found = list(map(get, rest))
+            if None in found:
+                new.update(compress(rest, map(is_, found, repeat(None))))
+                found = None
+            plain.append((first, rest, found))
+        new.discard("")
+        self.learn(new)
+        whole = [t if p is None else p[0] for t, p in zip(texts, plain, strict=True)]
+        out = []
+        for e, p in zip(self.tokenizer.encode_batch_fast(whole, add_special_tokens=False), plain, strict=True):
+            head = array("I", e.ids).tobytes()
+            out.append(np.frombuffer(head if p is None else head + b"".join(p[2] or map(self.known.__getitem__, p[1])), np.uint32))
+        return out
+
+    def learn(self, pieces: set[str]) -> None:
+        """Ids of new pieces: from the older half, from a known piece before a last full stop or comma, or by one library call.
+
+        A full stop or comma after a letter is a piece of the splitter by itself. New pieces are encoded as one text; each
+        begins at an id whose token begins with the space, which stands nowhere else in them.
+        """
         known, older, new = self.known, self.older, []
-        for p in set(rest).difference(known):
+        for p in pieces:
             if (had := older.get(p)) is not None:
                 known[p] = had
+            elif p[-1:] in self.marks and p[-2:-1].isalpha():
+                if (had := known.get(p[:-1]) or older.get(p[:-1])) is not None:
+                    known[p] = had + self.marks[p[-1]]
+                else:
+                    new.append(p)
             else:
-                new.append(" " + p)
-        for p, e in zip(new, self.tokenizer.encode_batch_fast(new, add_special_tokens=False), strict=True):
-            known[p[1:]] = np.array(e.ids, np.uint32).tobytes()
-        head = np.array(self.tokenizer.encode(first, add_special_tokens=False).ids, np.uint32).tobytes()
-        return np.frombuffer(head + b"".join(map(known.__getitem__, rest)), np.uint32)
+                new.append(p)
+        if new:
+            ids = np.array(self.tokenizer.encode_batch_fast([" " + " ".join(new)], add_special_tokens=False)[0].ids, np.uint32)
+            at = np.flatnonzero(self.leads[ids]).tolist()
+            raw = ids.tobytes()
+            for p, a, z in zip(new, at, [*at[1:], len(ids)], strict=True):
+                known[p] = raw[4 * a : 4 * z]
 
 
 _ENCODERS: dict[str, CachedEncoder] = {}
@@ -85,11 +126,11 @@ def write_token_files(docs: DataFrame, tokenizer_path: str, path: str, partition
         end = np.array([end_id], np.uint32)
         for batch in batches:
             ids, sizes = [], []
-            for lo in range(0, batch.num_rows, 500):
-                some = batch.slice(lo, 500)
-                for t in texts_of(some):
-                    ids += [encoder(t), end]
-                    sizes.append(len(ids[-2]) + 1)
+            for lo in range(0, batch.num_rows, 250):
+                some = batch.slice(lo, 250)
+                for own in encoder.batch(texts_of(some)):
+                    ids += [own, end]
+                    sizes.append(len(own) + 1)
             if not sizes:
                 continue
             ends = np.cumsum(sizes)
