@@ -178,6 +178,7 @@ def repeated_passages(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     each = settle(reps.select("doc_id", "key", F.explode("anchors").alias("anchor")), "phrases-anchors")
     text = F.xxhash64("key")
     recurring = each.groupBy("anchor").agg(F.min(text).alias("a"), F.max(text).alias("z")).where("a < z").select("anchor")
+    recurring = settle(recurring, "phrases-recurring")  # so that a hot anchor's rows can be split in the join
     known = each.join(recurring, "anchor").groupBy("doc_id", "key").agg(F.collect_list("anchor").alias("anchors"))
 
     texts = docs.where(F.col("text").isNotNull()).select("doc_id", "text")
@@ -185,7 +186,8 @@ def repeated_passages(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     candidates = settle(_same_text(candidates), "phrases-candidates")
     windows = settle(_windows(candidates.select("doc_id", "text", "anchors"), window), "phrases-windows")
     firsts_of = windows.groupBy("w1", "w2").agg(F.min("doc_id").alias("source"), F.max("doc_id").alias("last")).where("source < last")
-    found = windows.join(firsts_of.drop("last"), ["w1", "w2"]).where("source < doc_id")
+    firsts_of = settle(firsts_of.drop("last"), "phrases-firsts")
+    found = windows.join(firsts_of, ["w1", "w2"]).where("source < doc_id")
     found = found.groupBy("doc_id").agg(F.collect_set(F.struct("pos", "source")).alias("found"))
     located = _locate(candidates.select("doc_id", "text").join(found, "doc_id"), window).dropDuplicates(["doc_id", "key"])
 
