@@ -83,7 +83,7 @@ def test_prefix_shortens_to_the_recall():
 
 
 def test_components_of_a_long_chain(spark):
-    n = 300
+    n = 60
     rng = random.Random(0)
     names = rng.sample(range(10_000), n)
     edges = [(names[k], names[k + 1]) for k in range(n - 1)] + [(20_000, 20_001), (7_777_777, 7_777_777)]
