@@ -347,11 +347,11 @@ def op_anti(spark, sf):
 
 
 @query("op_asof", f"""{C.CALLS_SQL}, t AS (SELECT rid, id, d * 86400 + bt AS tm, bsc FROM calls), b AS (SELECT id, tm, max(bsc) AS bsc FROM t GROUP BY id, tm)
-SELECT a.rid AS rid, b.bsc AS asof_bsc FROM t a ASOF LEFT JOIN b ON a.id = b.id AND a.tm > b.tm""")
+SELECT a.rid AS rid, coalesce(b.bsc, -1)::INT AS asof_bsc FROM t a ASOF LEFT JOIN b ON a.id = b.id AND a.tm > b.tm""")
 def op_asof(spark, sf):
     t = calls(spark, sf).select("rid", "id", (F.col("d") * 86400 + F.col("bt")).alias("at"), "bsc")
     last = t.groupBy("id", "at").agg(F.max("bsc").alias("bsc"))
-    return join_asof(t.select("rid", "id", "at"), last, "id", "at", ["bsc"]).select("rid", "asof_bsc")
+    return join_asof(t.select("rid", "id", "at"), last, "id", "at", ["bsc"]).select("rid", F.coalesce("asof_bsc", F.lit(-1)).alias("asof_bsc"))
 
 
 @query("op_salted", "SELECT event_type, (count(*) * 2)::BIGINT AS n FROM events GROUP BY event_type")
@@ -367,12 +367,12 @@ def op_topk(spark, sf):
 
 
 sql_operator("op_outer_left", "SELECT s_suppkey, count(c_custkey) AS n FROM supplier LEFT JOIN customer ON s_nationkey = c_nationkey AND c_acctbal > s_acctbal GROUP BY s_suppkey")
-sql_operator("op_outer_full", "SELECT s_suppkey, c_custkey FROM (SELECT * FROM supplier WHERE s_suppkey < 40) s FULL JOIN (SELECT * FROM customer WHERE c_custkey < 60) c ON s_suppkey = c_custkey AND s_acctbal < c_acctbal")
+sql_operator("op_outer_full", "SELECT coalesce(s_suppkey, -1) AS s_suppkey, coalesce(c_custkey, -1) AS c_custkey FROM (SELECT * FROM supplier WHERE s_suppkey < 40) s FULL JOIN (SELECT * FROM customer WHERE c_custkey < 60) c ON s_suppkey = c_custkey AND s_acctbal < c_acctbal")
 sql_operator("op_cube", "SELECT o_orderstatus, o_orderpriority, count(*) AS n, grouping(o_orderstatus) AS g FROM orders GROUP BY CUBE (o_orderstatus, o_orderpriority)")
-sql_operator("op_rollup", "SELECT c_mktsegment, c_nationkey, count(*) AS n FROM customer GROUP BY ROLLUP (c_mktsegment, c_nationkey)")
+sql_operator("op_rollup", "SELECT coalesce(seg, 'all') AS seg, coalesce(nat, -1) AS nat, n FROM (SELECT c_mktsegment AS seg, c_nationkey AS nat, count(*) AS n FROM customer GROUP BY ROLLUP (c_mktsegment, c_nationkey)) x")
 sql_operator("op_grouping_sets", "SELECT l_returnflag, l_linestatus, count(*) AS n FROM lineitem GROUP BY GROUPING SETS ((l_returnflag), (l_linestatus), ())")
 sql_operator("op_rank", "SELECT p_partkey, rank() OVER (PARTITION BY p_brand ORDER BY p_size) AS r, dense_rank() OVER (PARTITION BY p_brand ORDER BY p_size) AS dr, ntile(4) OVER (ORDER BY p_partkey) AS q FROM part")
-sql_operator("op_lag", "SELECT event_id, lag(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS before, lead(event_id, 2) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS later FROM events")
+sql_operator("op_lag", "SELECT event_id, coalesce(lag(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id), -1) AS before, coalesce(lead(event_id, 2) OVER (PARTITION BY user_id ORDER BY ts, event_id), -1) AS later FROM events")
 sql_operator("op_range_frame", "SELECT o_orderkey, count(*) OVER (PARTITION BY o_custkey ORDER BY o_totalprice RANGE BETWEEN 10000 PRECEDING AND 10000 FOLLOWING) AS near FROM orders")
 sql_operator("op_union", "SELECT c_nationkey AS k FROM customer UNION SELECT s_nationkey FROM supplier")
 sql_operator("op_intersect_all", "SELECT c_nationkey AS k FROM customer INTERSECT ALL SELECT s_nationkey FROM supplier")
@@ -404,10 +404,10 @@ def _call_stream(spark, sf):
     return S.file_stream(spark, e, 4, "40 days")
 
 
-@query("stream_station_load", "SELECT CAST(ts AS DATE) AS day, CAST(json_extract_string(props, '$.k') AS INT) AS bsc, count(*)::BIGINT AS calls FROM events GROUP BY ALL")
+@query("stream_station_load", "SELECT CAST(CAST(ts AS DATE) AS VARCHAR) AS day, CAST(json_extract_string(props, '$.k') AS INT) AS bsc, count(*)::BIGINT AS calls FROM events GROUP BY ALL")
 def stream_station_load(spark, sf):
     out = S.finish(S.station_load(_call_stream(spark, sf), "1 day"), "complete")
-    return out.select(F.to_date(F.col("window.start")).alias("day"), "bsc", "calls")
+    return out.select(F.date_format("window.start", "yyyy-MM-dd").alias("day"), "bsc", "calls")
 
 
 @query("stream_session", """WITH x AS (SELECT user_id AS id, ts, ts >= lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 6 HOUR AS fresh FROM events),
@@ -422,7 +422,7 @@ def stream_interval_chain(spark, sf):
     a = S.file_stream(spark, leg.where("leg = 'signup'").select(F.col("rid").alias("a_rid"), F.col("arr").cast("timestamp").alias("arr")), 3, "40 days", "arr")
     b = S.file_stream(spark, leg.where("leg = 'view'").select(F.col("rid").alias("b_rid"), F.col("dep").cast("timestamp").alias("dep")), 3, "40 days", "dep")
     # a bounded replay: the watermark spans all of it, so that no row is late whatever order its files come in
-    return S.finish(S.interval_edge(a, b, "arr", "dep", "5 minutes", "60 minutes")).select("a_rid", "b_rid")
+    return S.finish(S.interval_edge(a, b, "arr", "dep", 300, 3600)).select("a_rid", "b_rid")
 
 
 @query("stream_streak", f"""{C.CALLS_SQL}, x AS (SELECT DISTINCT id, d FROM calls) SELECT a.id AS id, c.d AS day FROM x a JOIN x b ON a.id = b.id AND b.d = a.d + 1 JOIN x c ON c.id = b.id AND c.d = b.d + 1""")

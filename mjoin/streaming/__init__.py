@@ -43,9 +43,16 @@ def finish(stream: DataFrame, mode: str = "append") -> DataFrame:
     return spark.read.schema(stream.schema).parquet(path)
 
 
-def interval_edge(left: DataFrame, right: DataFrame, arr: str, dep: str, low: str, high: str) -> DataFrame:
-    """Stream-stream inner join arr + low < dep < arr + high; watermarks on both sides bound the state."""
-    return left.join(right, F.expr(f"{dep} > {arr} + INTERVAL {low} AND {dep} < {arr} + INTERVAL {high}"))
+def interval_edge(left: DataFrame, right: DataFrame, arr: str, dep: str, low: int, high: int) -> DataFrame:
+    """Stream-stream inner join arr + low < dep < arr + high (seconds, 0 <= low < high); watermarks on both sides bound the state.
+
+    Streams join by equality only: time is cut into buckets of high seconds, and a left row goes to its own and the next.
+    """
+    seconds = lambda c: F.floor(F.col(c).cast("double") / high).cast("bigint")
+    a = left.withColumn("bucket_", F.explode(F.array(seconds(arr), seconds(arr) + 1)))
+    b = right.withColumn("bucket_of_", seconds(dep))
+    near = f"bucket_ = bucket_of_ AND {dep} > {arr} + INTERVAL {low} SECONDS AND {dep} < {arr} + INTERVAL {high} SECONDS"
+    return a.join(b, F.expr(near)).drop("bucket_", "bucket_of_")
 
 
 def join_static(stream: DataFrame, static: DataFrame, condition: F.Column) -> DataFrame:
