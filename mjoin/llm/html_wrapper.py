@@ -113,7 +113,7 @@ def parse(page: str) -> tuple[list[dict], list]:
         elif tag in RAW:
             if not closing and not attrs.rstrip().endswith("/"):
                 end = re.compile(rf"</{tag}\b[^>]*>", re.I).search(page, at)
-                at = end.end() if end else (n if tag in ("script", "style", "textarea", "title", "head") else at)
+                at = end.end() if end else (n if tag in ("script", "style", "textarea", "title") else at)
         elif tag in BLOCK and closing:
             depth = next((k for k in range(len(stack) - 1, 0, -1) if stack[k][1] == tag), 0)
             open_links = 0

@@ -45,8 +45,10 @@ def test_odd_pages(spark):
     long = "<p>" + "word " * 40_000 + "</p>"
     rows = [(1, "http://a/1", None, None, None), (2, "http://a/2", "", "", 0), (3, None, "plain text & more", "", 0), (4, "not a url", "<p>x</p><p>y", "", 0), (4, "not a url", "<p>x</p><p>y", "", 0), (5, "http://b/", f"<article>{long}</article>", "", 0)]
     rows += [(6, "http://c/", "<article><p>a</div></p>b<!-- open", "", 0), (7, "http://d/", "<" * 3000 + '"' * 3001, "", 0), (None, "http://e/", "<main>m</main>", "", 0)]
+    rows += [(8, "http://f/", "<html><head><title>t</title><body><p>no end of the head</p>", "", 0)]
     got = texts(spark, rows)
     assert got[1] == got[2] == "" and got[3] == "plain text & more" and got[4] == "x\ny" and got[6] == "a\nb" and got[None] == "m"
+    assert got[8] == "no end of the head"
     assert len(got[5]) == 199_999
     assert H.extract(spark.createDataFrame([], "page_id bigint, url string, html string")).count() == 0
 
