@@ -6,10 +6,12 @@ import contextlib
 import json
 import re
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..partition.assign import RegionAssignment, assign_regions
+from ..partition.assign import RegionAssignment, assign_regions, live_cells
 from ..query import MultiJoinQuery, RelOp
 
 _QUALIFIED = re.compile(r"\b([A-Za-z_]\w*)\.([A-Za-z_]\w*)")
@@ -144,9 +146,9 @@ def owned(df: DataFrame, dims: list[str], a: RegionAssignment, names: list[int])
         index = F.shiftleft(index, b) + F.col(f"{alias}__c")
     region = F.col(f"{dims[0]}__region")
     if len(a.owner) <= LITERAL_CELLS:
-        table = F.from_json(F.lit(json.dumps([names[r] for r in a.owner.tolist()])), "array<int>")
+        table = F.from_json(F.lit(json.dumps([names[r] if r >= 0 else None for r in a.owner.tolist()])), "array<int>")
         return df.where(table[index] == region)
-    rows = df.sparkSession.createDataFrame([(i, names[r]) for i, r in enumerate(a.owner.tolist())], "cell_ int, owner_ int")
+    rows = df.sparkSession.createDataFrame([(i, names[r]) for i, r in enumerate(a.owner.tolist()) if r >= 0], "cell_ int, owner_ int")
     return df.withColumn("cell_at_", index).join(F.broadcast(rows), (F.col("cell_at_") == F.col("cell_")) & (region == F.col("owner_"))).drop("cell_", "owner_", "cell_at_")
 
 
@@ -181,17 +183,22 @@ def equality_spans(q: MultiJoinQuery, labels: frozenset[int]) -> bool:
     return len({find(a) for a in root}) == 1
 
 
-def chain_join(q: MultiJoinQuery, labels=None, k: int = 8, curve: str = "hilbert", bits=None, seed: int = 0, coord: str = "hash", cards: list[float] | None = None, keep_owned: bool = True, hint: str = "merge", bounds: dict | None = None, payload: dict | None = None) -> DataFrame:
+def chain_join(q: MultiJoinQuery, labels=None, k: int = 8, curve: str = "hilbert", bits=None, seed: int = 0, coord: str = "hash", cards: list[float] | None = None, keep_owned: bool = True, hint: str = "merge", bounds: dict | None = None, payload: dict | None = None, prune: bool = False) -> DataFrame:
     """Row ids of all combinations of the conditions' relations that meet them, as columns alias__rid.
 
     One exchange for each relation and no other: regions are partitions of their own, joins use region and
-    equalities as keys and the other conditions as filters inside a region.
+    equalities as keys and the other conditions as filters inside a region. coord: "hash" of the id; "dense" rank of it;
+    "range" of the column in bounds (alias: (expression, sorted cuts)) where there is one, and then prune leaves out
+    cells in which no pair of values can meet a condition: rows of only such cells are not sent at all.
     """
     labels = frozenset(labels or (p.label for p in q.predicates))
     order = relations_of(q, labels)
     names = side_names(q, labels)
     a = assign_regions(len(order), k, curve, bits, cards)
     spark = q.relations[order[0]].sparkSession
+    if coord == "range" and prune:
+        a = a.restricted(_live(q, labels, order, a, bounds or {}))
+        k = a.k
     regions = region_names(k, int(spark.conf.get("spark.sql.shuffle.partitions")))
     out, seen = None, []
     for i, alias in enumerate(order):
@@ -218,6 +225,66 @@ def chain_join(q: MultiJoinQuery, labels=None, k: int = 8, curve: str = "hilbert
     return out.select(*_kept(order, payload))
 
 
+def _live(q: MultiJoinQuery, labels: frozenset[int], order: list[str], a: RegionAssignment, bounds: dict):
+    spans = []
+    for alias, b in zip(order, a.bits, strict=True):
+        cuts = bounds[alias][1][: (1 << b) - 1] if bounds.get(alias) else None
+        # coordinate c holds values above cut c - 1 up to cut c; those beyond the last cut share the last one
+        spans.append(None if cuts is None else [(cuts[c - 1] if 0 < c <= len(cuts) else None if c == 0 else cuts[-1], cuts[c] if c < len(cuts) else None) for c in range(1 << b)])
+    place = {alias: i for i, alias in enumerate(order)}
+    known = lambda s: bounds.get(s.alias) and bounds[s.alias][0] == s.expr
+    compared = [(place[p.left.alias], p.op.value, place[p.right.alias]) for p in q.predicates if p.label in labels and known(p.left) and known(p.right)]
+    return live_cells(a.bits, spans, compared)
+
+
+def sorted_pairs(q: MultiJoinQuery, labels=None, k: int = 8, curve: str = "hilbert", bits=None, seed: int = 0) -> DataFrame:
+    """Two relations in one job, met inside a region by sorting: one inequality gives each left row a range of the sorted right rows.
+
+    The rest of the conditions filters what the ranges hold. For regions with many more pairs tested than found.
+    """
+    labels = frozenset(labels or (p.label for p in q.predicates))
+    order, names = relations_of(q, labels), side_names(q, labels)
+    if len(order) != 2:
+        raise ValueError("two relations are needed")
+    a = assign_regions(2, k, curve, bits)
+    spark = q.relations[order[0]].sparkSession
+    regions = region_names(k, int(spark.conf.get("spark.sql.shuffle.partitions")))
+    parts = [route(prepare(q, x, names).withColumn(f"{x}__c", draw_coord(x, a.bits[i], seed)), x, a.routes[i], regions, k) for i, x in enumerate(order)]
+    number = {v: r for r, v in enumerate(regions)}
+    conditions = [(names[p.left.alias, p.left.expr], p.op.value, names[p.right.alias, p.right.expr]) for p in (p if p.left.alias == order[0] else p.flip() for p in (q.predicate(x) for x in sorted(labels)))]
+    owner, width, (left, right) = a.owner, a.bits[1], order
+    kinds = [next(f.dataType.simpleString() for f in d.schema if f.name == f"{x}__rid") for d, x in zip(parts, order, strict=True)]
+
+    def run(key, lt: pd.DataFrame, rt: pd.DataFrame) -> pd.DataFrame:
+        out = {f"{left}__rid": [], f"{right}__rid": []}
+        lead = next((c for c in conditions if c[1] != "<>"), conditions[0])
+        rt = rt.sort_values(lead[2], kind="stable")
+        values = rt[lead[2]].to_numpy()
+        n, x = len(rt), lt[lead[0]].to_numpy()
+        below, upto = np.searchsorted(values, x, "left"), np.searchsorted(values, x, "right")
+        lo = {"<": upto, "<=": below, "=": below}.get(lead[1], np.zeros(len(lt), int))
+        hi = {">": below, ">=": upto, "=": upto}.get(lead[1], np.full(len(lt), n))
+        size, region = np.maximum(hi - lo, 0), number[int(key[0])]
+        at, step = 0, 1 << 20
+        while at < len(lt):
+            end = max(at + 1, int(np.searchsorted(np.cumsum(size[at:]), step, "right")) + at)
+            i = np.repeat(np.arange(at, end), size[at:end])
+            j = np.arange(len(i)) - np.repeat(np.cumsum(size[at:end]) - size[at:end], size[at:end]) + np.repeat(lo[at:end], size[at:end])
+            good = owner[(lt[f"{left}__c"].to_numpy()[i].astype(np.int64) << width) + rt[f"{right}__c"].to_numpy()[j]] == region
+            for u, op, v in conditions:
+                good &= _COMPARE[op](lt[u].to_numpy()[i], rt[v].to_numpy()[j]).astype(bool)
+            out[f"{left}__rid"].append(lt[f"{left}__rid"].to_numpy()[i[good]])
+            out[f"{right}__rid"].append(rt[f"{right}__rid"].to_numpy()[j[good]])
+            at = end
+        return pd.DataFrame({c: np.concatenate(v) if v else [] for c, v in out.items()})
+
+    schema = f"{left}__rid {kinds[0]}, {right}__rid {kinds[1]}"
+    return parts[0].groupBy(f"{left}__region").cogroup(parts[1].groupBy(f"{right}__region")).applyInPandas(run, schema)
+
+
+_COMPARE = {"<": np.less, "<=": np.less_equal, "=": np.equal, ">=": np.greater_equal, ">": np.greater, "<>": np.not_equal}
+
+
 def _kept(order: list[str], payload: dict | None) -> list[str]:
     return [c for a in order for c in (f"{a}__rid", *(f"{a}__{c}" for c in (payload or {}).get(a, []) if c != "rid"))]
 

@@ -71,3 +71,18 @@ def sign_keys(vector: Column, planes: list[list[float]], bands: int) -> Column:
             key = key * 2 + s.cast("int")
         keys.append(key)
     return F.array(*keys)
+
+
+def register_regions_of(spark, assignment, aliases: list[str], name: str = "regions_of") -> None:
+    """Makes the table function regions_of(alias, coord) -> (region) of an assignment known to SQL, for LATERAL joins."""
+    from pyspark.sql.functions import udtf
+
+    routes = dict(zip(aliases, assignment.routes, strict=True))
+
+    @udtf(returnType="region: int")
+    class RegionsOf:
+        def eval(self, alias: str, coord: int):
+            for r in routes[alias][coord]:
+                yield (r,)
+
+    spark.udtf.register(name, RegionsOf)

@@ -30,11 +30,22 @@ class RegionAssignment:
     def routes(self) -> list[list[list[int]]]:
         """routes[i][c]: sorted regions that meet the slab at coordinate c of dimension i."""
         shaped = self.owner.reshape([1 << b for b in self.bits])
-        return [[np.unique(np.take(shaped, c, axis=i)).tolist() for c in range(1 << b)] for i, b in enumerate(self.bits)]
+        met = lambda i, c: np.unique(np.take(shaped, c, axis=i))
+        return [[met(i, c)[met(i, c) >= 0].tolist() for c in range(1 << b)] for i, b in enumerate(self.bits)]
 
     def shares(self) -> np.ndarray:
-        """Cells of each region."""
-        return np.bincount(self.owner, minlength=self.k)
+        """Cells of each region; cells that can hold no answer (owner -1) belong to none."""
+        return np.bincount(self.owner[self.owner >= 0], minlength=self.k)
+
+    def restricted(self, live: np.ndarray) -> RegionAssignment:
+        """The same order of cells, with only the live ones dealt out, evenly again."""
+        # the order within a region doesn't matter: regions are runs of one curve
+        order = np.argsort(self.owner, kind="stable")
+        owner = np.full(len(self.owner), -1, np.int64)
+        kept = order[live[order]]
+        k = max(1, min(self.k, len(kept)))
+        owner[kept] = np.arange(len(kept)) * k // max(1, len(kept))
+        return RegionAssignment(self.bits, k, self.curve, owner)
 
 
 def default_bits(m: int, k: int) -> int:
@@ -94,6 +105,33 @@ def _factorings(k: int, sides: list[int]):
     return [(f, *rest) for f in range(1, min(k, sides[0]) + 1) if k % f == 0 for rest in _factorings(k // f, sides[1:])]
 
 
+def live_cells(bits: tuple[int, ...], bounds: list[list[tuple] | None], comparisons: list[tuple[int, str, int]]) -> np.ndarray:
+    """Which cells can hold an answer: bounds[i][c] is the (least, greatest) value at coordinate c of dimension i, or None for any.
+
+    comparisons are (dimension, operator, dimension) of the values that the coordinates are ranges of. None as an end is unbounded.
+    """
+    grid = cells(bits)
+    live = np.ones(len(grid), bool)
+    for i, op, j in comparisons:
+        if bounds[i] is None or bounds[j] is None:
+            continue
+        table = np.array([[_possible(a, op, b) for b in bounds[j]] for a in bounds[i]])
+        live &= table[grid[:, i], grid[:, j]]
+    return live
+
+
+def _possible(a: tuple, op: str, b: tuple) -> bool:
+    (lo_a, hi_a), (lo_b, hi_b) = a, b
+    below = lambda x, y, strict: x is None or y is None or (x < y if strict else x <= y)
+    if op in ("<", "<="):
+        return below(lo_a, hi_b, op == "<")
+    if op in (">", ">="):
+        return below(lo_b, hi_a, op == ">")
+    if op == "=":
+        return below(lo_a, hi_b, False) and below(lo_b, hi_a, False)
+    return not (lo_a == hi_a == lo_b == hi_b and lo_a is not None)
+
+
 def copies_by_relation(a: RegionAssignment, cards: list[float]) -> list[float]:
     """Tuple copies of each relation, for tuples spread evenly over the coordinates."""
     return [n / (1 << b) * sum(map(len, routes)) for n, b, routes in zip(cards, a.bits, a.routes, strict=True)]

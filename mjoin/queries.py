@@ -9,8 +9,8 @@ from . import metrics as M
 from . import streaming as S
 from .api import MultiJoinEngine
 from .exec.merge import count_by
-from .exec.single_job import chain_join, co_partitioned
-from .functions import hilbert_expr, sign_keys, zorder_expr
+from .exec.single_job import chain_join, co_partitioned, sorted_pairs
+from .functions import hilbert_expr, register_regions_of, sign_keys, zorder_expr
 from .operators import anti_join, band_join, join_asof, salted_join, semi_join, top_k_by
 from .partition.assign import assign_regions, copies_by_relation, partition_score
 from .partition.reducers import delta_curve
@@ -132,6 +132,31 @@ def w1_range_coord(spark, sf):
         return count_by(q, materialise(chain_join(q, None, 7, coord="range", bounds=cuts)), "lead", "id", "id")
 
 
+@query("w1_range_pruned", W1_SQL)
+def w1_range_pruned(spark, sf):
+    c = C.relation(spark, sf, W1)
+    q = C.w1(c)
+    cuts = {"lead": ("bt", quantiles(c, "bt", 16)), "mid": ("bt", quantiles(c, "bt", 16))}
+    with co_partitioned(spark):
+        return count_by(q, materialise(chain_join(q, None, 7, coord="range", bounds=cuts, prune=True)), "lead", "id", "id")
+
+
+@query("w1_sorted_pairs", f"{C.CALLS_SQL} SELECT lead.id AS id, count(*)::BIGINT AS n FROM (SELECT * FROM calls WHERE d < 3) lead, (SELECT * FROM calls WHERE d < 3) mid WHERE lead.bt <= mid.bt AND lead.l >= mid.l AND lead.bsc <> mid.bsc GROUP BY lead.id")
+def w1_sorted_pairs(spark, sf):
+    c = C.relation(spark, sf, "d < 3")
+    q = multi_join(lead=c, mid=c).on("lead.bt <= mid.bt", "lead.l >= mid.l", "lead.bsc <> mid.bsc").build()
+    return count_by(q, sorted_pairs(q, None, 7), "lead", "id", "id")
+
+
+@query("regions_by_table_function")
+def regions_by_table_function(spark, sf):
+    """Copies of each relation by the table function; tests hold them against the routed rows."""
+    a = assign_regions(2, 5, "hilbert", 3)
+    register_regions_of(spark, a, ["left", "right"])
+    spark.range(8).selectExpr("CAST(id AS INT) AS c").createOrReplaceTempView("mjoin_coords")
+    return spark.sql("SELECT x.alias, c, region FROM (SELECT explode(array('left', 'right')) AS alias) x, mjoin_coords, LATERAL regions_of(x.alias, c)")
+
+
 # ---- baselines -----------------------------------------------------------------------------------------------------------
 
 

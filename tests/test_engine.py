@@ -9,7 +9,9 @@ from mjoin import metrics as M
 from mjoin.api import MultiJoinEngine
 from mjoin.exec.merge import hydrate, merge_outputs
 from mjoin.exec.runner import run_plan
-from mjoin.exec.single_job import answer, chain_join, co_partitioned, hash_join, region_names, spark_hash_int
+from mjoin import queries as Q
+from mjoin.exec.single_job import answer, chain_join, co_partitioned, hash_join, region_names, sorted_pairs, spark_hash_int
+from mjoin.partition.assign import assign_regions, live_cells
 from mjoin.operators import band_join, join_asof, same_bag
 from mjoin.query import RelOp, multi_join
 from mjoin.sources import calls, dense_ids, load, materialise, scale_calls
@@ -175,3 +177,31 @@ def test_asof_and_band(spark):
     assert (1, 5, "x") in set(map(tuple, join_asof(a, b, "k", "t", ["v"], inclusive=True).collect()))
     x, y = spark.range(40).select(F.col("id").alias("x")), spark.range(40).select((F.col("id") * 2).alias("y"))
     assert same_bag(band_join(x, y, "x", "y", -3, 4), x.crossJoin(y).where("y >= x - 3 AND y <= x + 4"))
+
+
+@pytest.mark.parametrize("op", ["<", ">=", "=", "<>"])
+def test_cells_without_answers_are_left_out(spark, op):
+    a, b = (spark.createDataFrame([(k, (k * 7 + s) % 50) for k in range(60)], "rid bigint, v bigint") for s in (0, 3))
+    q = multi_join(a=a, b=b).on(f"a.v {op} b.v").build()
+    cuts = {x: ("v", [5, 10, 20, 30, 40, 45, 48]) for x in "ab"}
+    pruned = chain_join(q, None, 6, bits=3, coord="range", bounds=cuts, prune=True)
+    assert same_bag(pruned, B.brute_force(q))
+    live = live_cells((3, 3), [[(k, k + 1) for k in range(8)]] * 2, [(0, op, 1)]).sum()
+    assert live == {"<": 36, ">=": 43, "=": 22, "<>": 64}[op]
+    rest = assign_regions(2, 6, "hilbert", 3).restricted(live_cells((3, 3), [[(k, k + 1) for k in range(8)]] * 2, [(0, op, 1)]))
+    assert rest.shares().sum() == live and rest.shares().max() - rest.shares().min() <= 1
+
+
+@pytest.mark.parametrize("on", [["l.a < r.a"], ["l.a >= r.a", "l.x <> r.x"], ["l.a = r.a", "l.t <= r.t"], ["l.x <> r.x"], ["r.s > l.s", "l.a <= r.a"]])
+def test_sorted_pairs(spark, on):
+    left, right = spark.createDataFrame(rows(1, 30), SCHEMA), spark.createDataFrame(rows(2, 30), SCHEMA)
+    if any(".x" in c for c in on):  # numpy's NaN equals nothing, Spark's equals itself
+        left, right = left.where("NOT isnan(x)"), right.where("NOT isnan(x)")
+    q = multi_join(l=left, r=right).on(*on).build()
+    assert same_bag(sorted_pairs(q, k=5), B.brute_force(q))
+
+
+def test_table_function(spark):
+    got = {(r["alias"], r["c"], r["region"]) for r in Q.regions_by_table_function(spark, "").collect()}
+    a = assign_regions(2, 5, "hilbert", 3)
+    assert got == {(x, c, r) for x, routes in zip(("left", "right"), a.routes, strict=True) for c, rs in enumerate(routes) for r in rs}
