@@ -11,6 +11,7 @@ from .plan.infer import tightened
 from .plan.planner import Plan, Planner, explain
 from .query import MultiJoinQuery, multi_join
 from .sources import materialise
+from .sqlfront import parse_sql
 
 __all__ = ["MultiJoinEngine", "multi_join"]
 
@@ -38,6 +39,10 @@ class MultiJoinEngine:
         """The answer's columns."""
         return hydrate(q, self.ids(q, **options))
 
+    def sql(self, text: str, tables: dict[str, DataFrame] | None = None, rid: dict[str, str] | None = None, **options) -> DataFrame:
+        """A plain join query in SQL text, planned and run."""
+        return self.run(parse_sql(self.spark, text, tables, rid), **options)
+
     def counts(self, q: MultiJoinQuery, alias: str, column: str, name: str = "id", **options) -> DataFrame:
         """Combinations by a column of one relation: (name, n)."""
         return count_by(q, self.ids(q, **options), alias, column, name)

@@ -113,10 +113,10 @@ def read_event_log(spark: SparkSession, path: str) -> DataFrame:
     kind = F.get_json_object("value", "$.Event")
     rows = log.where(kind == "SparkListenerTaskEnd")
     number = lambda p: F.coalesce(F.get_json_object("value", p).cast("long"), F.lit(0))
-    return rows.groupBy(F.get_json_object("value", "$.['Stage ID']").cast("int").alias("stage")).agg(
-        F.count("*").alias("tasks"), F.sum(number("$.['Task Metrics'].['Executor Run Time']") / 1000).alias("seconds"),
-        F.sum(number("$.['Task Metrics'].['Shuffle Write Metrics'].['Shuffle Bytes Written']")).alias("written"),
-        F.sum(number("$.['Task Metrics'].['Disk Bytes Spilled']")).alias("spilled"),
+    return rows.groupBy(F.get_json_object("value", "$['Stage ID']").cast("int").alias("stage")).agg(
+        F.count("*").alias("tasks"), F.sum(number("$['Task Metrics']['Executor Run Time']") / 1000).alias("seconds"),
+        F.sum(number("$['Task Metrics']['Shuffle Write Metrics']['Shuffle Bytes Written']")).alias("written"),
+        F.sum(number("$['Task Metrics']['Disk Bytes Spilled']")).alias("spilled"),
     )
 
 

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import time
+
 from pyspark.sql import functions as F
 
 from . import baselines as B
@@ -19,8 +21,8 @@ from .plan.planner import explain, trail_table
 from .plan.schedule import merge_plan, schedule_jobs
 from .plan.trails import build_pruned_trails, enumerate_trails
 from .query import multi_join
-from .sources import calls, legs, load, materialise, scale_calls
-from .stats import collect_statistics, quantiles
+from .sources import calls, legs, load, materialise, plain_load, scale_calls, scratch
+from .stats import collect_statistics, ingest, quantiles
 from .workloads import calls as C
 from .workloads import synthetic as Y
 from .workloads import tpch as T
@@ -333,6 +335,29 @@ def units_sweep(spark, sf):
     return spark.createDataFrame(rows, "workload string, units int, strategy string, seconds double, jobs int")
 
 
+@query("load_report")
+def load_report(spark, sf):
+    """Seconds of a plain copy, a copy with statistics and range layout, and I/O rates."""
+    c = calls(spark, sf)
+    rows = []
+    for name, action in (("plain", lambda path: plain_load(c, path)), ("statistics", lambda path: ingest(c, path, ["d", "bt"], 8))):
+        t = time.perf_counter()
+        action(scratch(spark, "load"))
+        rows.append((name, time.perf_counter() - t))
+    rates = M.io_probe(c, scratch(spark, "load-io"))
+    rows += [(k, float(v)) for k, v in rates.items()]
+    return spark.createDataFrame(rows, "measure string, value double")
+
+
+SQL_FRONT = "SELECT a.s_suppkey AS skey, b.c_custkey AS ckey FROM supplier a, customer b WHERE a.s_acctbal < b.c_acctbal AND a.s_acctbal + 20 > b.c_acctbal AND b.c_mktsegment = 'BUILDING'"
+
+
+@query("sql_front", SQL_FRONT)
+def sql_front(spark, sf):
+    tables = {t: load(spark, sf, t) for t in ("supplier", "customer")}
+    return MultiJoinEngine(spark).sql(SQL_FRONT, tables, {"a": "s_suppkey", "b": "c_custkey"})
+
+
 @query("controlled_output", "WITH e AS (SELECT event_id % 50 AS key FROM events) SELECT a.key AS key, (count(*) * count(*))::BIGINT AS n FROM e a GROUP BY a.key")
 def controlled_output(spark, sf):
     return Y.controlled_self_join(spark, sf, 50).groupBy("key").agg(F.count("*").alias("n"))
