@@ -121,7 +121,7 @@ def test_given_jobs_may_overlap(spark):
 
 
 def test_inference_keeps_the_answer(spark, sf):
-    c = calls(spark, sf).where("id < 20 AND d < 6")
+    c = calls(spark, sf).where("id < 8 AND d < 5")
     q = C.three_days(c, "<>", False)
     engine = MultiJoinEngine(spark, 4)
     order = [f"{a}__rid" for a in q.relations]
