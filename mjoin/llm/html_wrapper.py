@@ -41,6 +41,8 @@ _ATTR = re.compile(r"(class|id|role|hidden|style|itemprop|aria-hidden)\b(?:\s*=\
 _SPLIT = re.compile(r"[\s_:-]+|(?<=[a-z])(?=[A-Z])")
 _HOST = re.compile(r"^[a-zA-Z][a-zA-Z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]*)")
 PERIOD = 4
+#: Trees of a host that one task aligns.
+FAN_IN = 1000
 
 
 def host_of(url: str | None) -> str:
@@ -281,31 +283,30 @@ def parsed_pages(pages: DataFrame) -> DataFrame:
     return map_arrow(pages.select("page_id", "url", "html"), run, f"page_id {kind}, url string, host string, tree string, blocks {_BLOCKS}")
 
 
-def infer_wrappers(parsed: DataFrame, salt: int = 16) -> DataFrame:
+def infer_wrappers(parsed: DataFrame, fan_in: int = FAN_IN) -> DataFrame:
     """host, n_pages, n_trees, wrapper (JSON): one expression for each host, from all its pages.
 
-    Pages of one folded tree count once (a grouped sum), so a host's size is that of its variety. Trees are aligned
-    one after another, first in salt parts of a host, then the parts' wrappers; a task holds one wrapper and a stream.
+    Pages of one folded tree count once (a grouped sum), so a host's size is that of its variety. Trees are aligned one
+    after another in parts of about fan_in, then the parts' wrappers likewise, until each host has one: no task holds
+    more than a part, however many trees a host has.
     """
-    trees = parsed.groupBy("host", "tree").agg(F.count("*").alias("n"))
-
-    def merge(frames):
-        wrapper, pages, n_trees, host = None, 0, 0, None
-        for table in frames:
-            for r in table.to_pylist():
-                tree = json.loads(r["tree"])
-                wrapper = tree if wrapper is None else align(wrapper, tree)
-                pages, n_trees, host = pages + r["n"], n_trees + r["trees"], r["host"]
-        return pa.Table.from_pydict({"host": pa.array([host], pa.string()), "tree": [json.dumps(wrapper, separators=(",", ":"))], "n": pa.array([pages], pa.int64()), "trees": pa.array([n_trees], pa.int64())})
 
     def run(table: pa.Table) -> pa.Table:
-        return merge([table.sort_by([("n", "descending"), ("tree", "ascending")])])
-
-    schema = "host string, tree string, n bigint, trees bigint"
-    parts = trees.withColumn("trees", F.lit(1).cast("long")).withColumn("salt", F.pmod(F.xxhash64("tree"), F.lit(salt)))
-    parts = parts.groupBy("host", "salt").applyInArrow(run, schema)
-    whole = parts.groupBy("host").applyInArrow(run, schema)
-    return whole.select("host", F.col("n").alias("n_pages"), F.col("trees").alias("n_trees"), F.col("tree").alias("wrapper"))
+        wrapper, pages, trees = None, 0, 0
+        for r in table.sort_by([("n", "descending"), ("tree", "ascending")]).to_pylist():
+            tree = json.loads(r["tree"])
+            wrapper = tree if wrapper is None else align(wrapper, tree)
+            pages, trees = pages + r["n"], trees + r["trees"]
+        return pa.Table.from_pydict({"host": table.column("host").slice(0, 1), "tree": [json.dumps(wrapper, separators=(",", ":"))], "n": pa.array([pages], pa.int64()), "trees": pa.array([trees], pa.int64())})
+
+    parts = parsed.groupBy("host", "tree").agg(F.count("*").alias("n")).withColumn("trees", F.lit(1).cast("long"))
+    while True:
+        parts = settle(parts, "html-trees")
+        sizes = settle(parts.groupBy("host").agg(F.count("*").alias("in_host")), "html-sizes")
+        if (sizes.agg(F.max("in_host")).first()[0] or 0) <= 1:
+            return parts.select("host", F.col("n").alias("n_pages"), F.col("trees").alias("n_trees"), F.col("tree").alias("wrapper"))
+        salt = F.pmod(F.xxhash64("tree"), F.ceil(F.col("in_host") / fan_in))
+        parts = parts.join(sizes, "host").withColumn("salt", salt).drop("in_host").groupBy("host", "salt").applyInArrow(run, "host string, tree string, n bigint, trees bigint")
 
 
 def slot_statistics(parsed: DataFrame) -> DataFrame:

@@ -84,8 +84,20 @@ def test_alignment_gives_optional_and_repeated_groups():
 def test_wrappers_of_hosts(spark):
     rows = [(n, f"http://h/{n}", f"<div><h1>t</h1>{'<p>x</p>' * (n % 3 + 1)}{'<hr>' * (n % 2)}</div>") for n in range(20)]
     parsed = H.parsed_pages(spark.createDataFrame(rows, "page_id bigint, url string, html string"))
-    found = H.infer_wrappers(parsed, salt=3).collect()
+    found = H.infer_wrappers(parsed, fan_in=2).collect()
     assert len(found) == 1 and found[0]["n_pages"] == 20 and found[0]["n_trees"] == 2
     wrapper = json.loads(found[0]["wrapper"])
     assert H.expression(wrapper) == "<div> <h1> # </h1> (<p> # </p>)+ </div>"
     assert H._slot_paths(wrapper) == {"div/h1", "div/p"}
+
+
+def test_wrappers_in_many_parts(spark):
+    """However the trees of a host are parted, the wrapper covers all of them."""
+    pages = [f"<div>{''.join(f'<{t}>x</{t}>' for k, t in enumerate(('h1', 'p', 'table', 'ul', 'pre')) if n >> k & 1)}</div>" for n in range(32)]
+    parsed = H.parsed_pages(spark.createDataFrame([(n, "http://h/", p) for n, p in enumerate(pages)], "page_id bigint, url string, html string"))
+    for fan_in in (3, 1000):
+        found = H.infer_wrappers(parsed, fan_in).collect()
+        assert len(found) == 1 and found[0]["n_pages"] == 32 and found[0]["n_trees"] == 32
+        wrapper = json.loads(found[0]["wrapper"])
+        assert all(H.covers(wrapper, tree(p)) for p in pages)
+        assert H._slot_paths(wrapper) == {f"div/{t}" for t in ("h1", "p", "table", "ul", "pre")}
