@@ -205,7 +205,15 @@ def planes(n: int, dims: int) -> list[list[float]]:
     return [[1.0 if (i * 2654435761 + j * 40503 + i * j * 97) >> 7 & 1 else -1.0 for j in range(dims)] for i in range(n)]
 
 
-@query("key_set")
+KEY_SET_SQL = """WITH v AS (SELECT vec_id, list_transform(embedding, lambda x: x::DOUBLE) AS e FROM embeddings),
+s AS (SELECT vec_id, e, list_transform(range(0, 16), lambda i: (list_sum(list_transform(range(1, len(e) + 1), lambda j:
+  e[j] * CASE WHEN ((i * 2654435761 + (j - 1) * 40503 + i * (j - 1) * 97) >> 7) & 1 = 1 THEN 1.0 ELSE -1.0 END)) >= 0)::INT) AS b FROM v),
+k AS (SELECT vec_id, e, band, b[4 * band + 1] * 8 + b[4 * band + 2] * 4 + b[4 * band + 3] * 2 + b[4 * band + 4] AS code FROM s, range(0, 4) r(band))
+SELECT DISTINCT x.vec_id AS left_rid, y.vec_id AS right_rid FROM k x JOIN k y ON x.band = y.band AND x.code = y.code AND x.vec_id < y.vec_id
+WHERE list_dot_product(x.e, y.e) >= 0.3 * sqrt(list_dot_product(x.e, x.e) * list_dot_product(y.e, y.e))"""
+
+
+@query("key_set", KEY_SET_SQL)
 def key_set(spark, sf):
     """Pairs of embeddings of cosine 0.3 or more that share a side of the planes in some band; all verified."""
     e = load(spark, sf, "embeddings")
