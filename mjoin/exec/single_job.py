@@ -257,22 +257,23 @@ def sorted_pairs(q: MultiJoinQuery, labels=None, k: int = 8, curve: str = "hilbe
 
     def run(key, lt: pd.DataFrame, rt: pd.DataFrame) -> pd.DataFrame:
         out = {f"{left}__rid": [], f"{right}__rid": []}
-        lead = next((c for c in conditions if c[1] != "<>"), conditions[0])
-        rt = rt.sort_values(lead[2], kind="stable")
-        values = rt[lead[2]].to_numpy()
-        n, x = len(rt), lt[lead[0]].to_numpy()
+        lead = next((n for n, c in enumerate(conditions) if c[1] != "<>"), 0)
+        rt = rt.iloc[np.argsort(_pair(lt[conditions[lead][0]], rt[conditions[lead][2]])[1], kind="stable")]
+        sides = [(*_pair(lt[u], rt[v]), op) for u, op, v in conditions]
+        (x, values, op), n = sides[lead], len(rt)
         below, upto = np.searchsorted(values, x, "left"), np.searchsorted(values, x, "right")
-        lo = {"<": upto, "<=": below, "=": below}.get(lead[1], np.zeros(len(lt), int))
-        hi = {">": below, ">=": upto, "=": upto}.get(lead[1], np.full(len(lt), n))
+        lo = {"<": upto, "<=": below, "=": below}.get(op, np.zeros(len(lt), int))
+        hi = {">": below, ">=": upto, "=": upto}.get(op, np.full(len(lt), n))
         size, region = np.maximum(hi - lo, 0), number[int(key[0])]
+        cell, other = lt[f"{left}__c"].to_numpy().astype(np.int64) << width, rt[f"{right}__c"].to_numpy()
         at, step = 0, 1 << 20
         while at < len(lt):
             end = max(at + 1, int(np.searchsorted(np.cumsum(size[at:]), step, "right")) + at)
             i = np.repeat(np.arange(at, end), size[at:end])
             j = np.arange(len(i)) - np.repeat(np.cumsum(size[at:end]) - size[at:end], size[at:end]) + np.repeat(lo[at:end], size[at:end])
-            good = owner[(lt[f"{left}__c"].to_numpy()[i].astype(np.int64) << width) + rt[f"{right}__c"].to_numpy()[j]] == region
-            for u, op, v in conditions:
-                good &= _COMPARE[op](lt[u].to_numpy()[i], rt[v].to_numpy()[j]).astype(bool)
+            good = owner[cell[i] + other[j]] == region
+            for u, v, op in sides:
+                good &= _COMPARE[op](u[i], v[j]).astype(bool)
             out[f"{left}__rid"].append(lt[f"{left}__rid"].to_numpy()[i[good]])
             out[f"{right}__rid"].append(rt[f"{right}__rid"].to_numpy()[j[good]])
             at = end
@@ -282,6 +283,18 @@ def sorted_pairs(q: MultiJoinQuery, labels=None, k: int = 8, curve: str = "hilbe
     return parts[0].groupBy(f"{left}__region").cogroup(parts[1].groupBy(f"{right}__region")).applyInPandas(run, schema)
 
 
+def _pair(left: pd.Series, right: pd.Series) -> tuple[np.ndarray, np.ndarray]:
+    """Values of both sides of a condition in one order; floats as integers with NaN equal to itself and above all others, as Spark has it."""
+    if left.dtype.kind != "f" and right.dtype.kind != "f":
+        return left.to_numpy(), right.to_numpy()
+    return _ordered(left.to_numpy(np.float64)), _ordered(right.to_numpy(np.float64))
+
+
+def _ordered(x: np.ndarray) -> np.ndarray:
+    bits = (x + 0.0).view(np.int64)  # no negative zero
+    return np.where(np.isnan(x), np.iinfo(np.int64).max, np.where(bits < 0, bits ^ np.iinfo(np.int64).max, bits))
+
+
 _COMPARE = {"<": np.less, "<=": np.less_equal, "=": np.equal, ">=": np.greater_equal, ">": np.greater, "<>": np.not_equal}
 
 
