@@ -174,6 +174,7 @@ def repeated_passages(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     """
     rows = settle(_profile(docs, window), "phrases-profile")
     firsts = rows.where(F.col("doc_id").isNotNull() & (F.col("n_words") >= window)).groupBy("key").agg(F.min("doc_id").alias("first_id"))
+    firsts = settle(firsts, "phrases-texts")  # both joins with it then have exchanges of their own, which skew can split
     reps = firsts.join(rows.select("key", "doc_id", "anchors"), "key").where("doc_id = first_id").dropDuplicates(["key"])
     each = settle(reps.select("doc_id", "key", F.explode("anchors").alias("anchor")), "phrases-anchors")
     text = F.xxhash64("key")
