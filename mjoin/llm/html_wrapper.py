@@ -310,11 +310,14 @@ def infer_wrappers(parsed: DataFrame, fan_in: int = FAN_IN) -> DataFrame:
 
 
 def slot_statistics(parsed: DataFrame) -> DataFrame:
-    """host, path and what stands there over all pages of the host: pages, characters, linked characters, article, apart, and whether the text is always the same."""
-    b = parsed.select("page_id", "host", F.explode("blocks").alias("b"))
+    """host, path and what stands there over all pages of the host: pages, characters, linked characters, article, and whether the text is always the same.
+
+    Blocks in parts apart don't count, so that those of one page don't decide about others at the same path.
+    """
+    b = parsed.select("page_id", "host", F.explode("blocks").alias("b")).where(~F.col("b.apart"))
     h = F.xxhash64("b.text")
     return b.groupBy("host", F.col("b.path").alias("path")).agg(
-        F.count("*").alias("n"), F.sum(F.length("b.text")).alias("chars"), F.sum("b.linked").alias("linked"), F.min(h).alias("lo"), F.max(h).alias("hi"), F.max("b.article").alias("article"), F.max("b.apart").alias("apart")
+        F.count("*").alias("n"), F.sum(F.length("b.text")).alias("chars"), F.sum("b.linked").alias("linked"), F.min(h).alias("lo"), F.max(h).alias("hi"), F.max("b.article").alias("article")
     )
 
 
@@ -325,14 +328,14 @@ CONSTANT = 3
 def content_paths(slots: DataFrame, wrappers: DataFrame) -> DataFrame:
     """host, the article slots of its wrapper, and those that carry the text of pages without an article.
 
-    The latter are the slots of the container with most unlinked characters over all pages of the host. Slots in
-    parts apart, of mostly linked text (menus), and of text that never changes are left out.
+    The latter are the slots of the container with most unlinked characters over all pages of the host. Slots
+    of mostly linked text (menus) and of text that never changes are left out.
     """
 
     def run(table: pa.Table) -> pa.Table:
         rows = table.to_pylist()
         slots = _slot_paths(json.loads(rows[0]["wrapper"]))
-        rows = [r for r in rows if r["path"] in slots and not r["apart"]]
+        rows = [r for r in rows if r["path"] in slots]
         inside = [r["path"] for r in rows if r["article"]]
         own = [r for r in rows if not r["article"] and r["linked"] * 2 <= r["chars"] and not (r["n"] >= CONSTANT and r["lo"] == r["hi"])]
         weight: dict[str, int] = {}

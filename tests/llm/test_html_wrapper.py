@@ -41,6 +41,15 @@ def test_main_text_of_full_pages(spark, tag):
         assert got[n] == want(n) if tag != "div" else want(n).split("\n", 1)[1] == got[n]
 
 
+def test_a_part_apart_leaves_others_at_its_path(spark):
+    """One hidden paragraph, or a box of comments, says nothing about other blocks of the same path."""
+    rows = [(n, f"http://h/{n}", f"<article><h1>T{n}</h1>{'<p hidden>secret</p>' if n == 3 else ''}<p>Body {n}.</p><p style='display:none'>x</p></article>", "", 0) for n in range(6)]
+    rows += [(10 + n, f"http://g/{n}", f"<div class='box' id='body'><p>Body {n}.</p></div><div class='box' id='comments'><p>Nice {n}</p></div>", "", 0) for n in range(6)]
+    got = texts(spark, rows)
+    for n in range(6):
+        assert got[n] == f"T{n}\nBody {n}." and got[10 + n] == f"Body {n}."
+
+
 def test_odd_pages(spark):
     long = "<p>" + "word " * 40_000 + "</p>"
     rows = [(1, "http://a/1", None, None, None), (2, "http://a/2", "", "", 0), (3, None, "plain text & more", "", 0), (4, "not a url", "<p>x</p><p>y", "", 0), (4, "not a url", "<p>x</p><p>y", "", 0), (5, "http://b/", f"<article>{long}</article>", "", 0)]
