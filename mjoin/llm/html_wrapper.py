@@ -37,7 +37,8 @@ HEAD_WORDS = frozenset("header masthead topbar banner".split())
 # ------------------------------------------------------------------------------------------------------------------------
 
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*+>|<(/?)([a-zA-Z][a-zA-Z0-9:-]*+)((?:[^>\"']++|\"[^\"]*+\"|'[^']*+'|[\"'])*+)>", re.S)
-_ATTR = re.compile(r"(class|id|role|hidden|style|itemprop|aria-hidden)\b(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?", re.I)
+_ATTR = re.compile(r"([^\s\"'>/=]+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?")
+_TELLING = frozenset("class id role hidden style itemprop aria-hidden".split())
 _SPLIT = re.compile(r"[\s_:-]+|(?<=[a-z])(?=[A-Z])")
 _HOST = re.compile(r"^[a-zA-Z][a-zA-Z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]*)")
 PERIOD = 4
@@ -56,7 +57,8 @@ def _named(attrs: str) -> tuple[str, set[str], dict]:
         return "", set(), {}
     found = {}
     for m in _ATTR.finditer(attrs):
-        found.setdefault(m.group(1).lower(), m.group(2) or m.group(3) or m.group(4) or "")
+        if (key := m.group(1).lower()) in _TELLING:
+            found.setdefault(key, m.group(2) or m.group(3) or m.group(4) or "")
     names = f"{found.get('class', '')} {found.get('id', '')}".split()
     words = {w.lower() for n in names for w in _SPLIT.split(n) if w}
     # numbers in names (post-123) would make every page's path its own
@@ -69,11 +71,14 @@ def parse(page: str) -> tuple[list[dict], list]:
     A block has its path, its text (references decoded, white space runs as one space), the characters inside links,
     and whether it stands inside an article and inside a part that isn't one. Text and tags inside raw elements are
     skipped. Missing end tags are met as browsers do for lists, tables and paragraphs; an article ends what was open
-    around it of adverts and the like.
+    around it of adverts and the like. Words of class and id name a part apart only if it isn't the page, its main
+    part or an article that stands in no other, and doesn't hold most of the page's text outside links.
     """
     root = ["", "", []]
-    # label, tag, apart, article, children
-    stack = [("", "", False, False, root[2])]
+    # label, tag, apart by more than words, article, children, elements around that are apart by words
+    stack = [("", "", False, False, root[2], ())]
+    # whether each element that is apart by words stands in an article
+    worded: list[bool] = []
     blocks: list[dict] = []
     text, linked, links, open_links = [], 0, 0, 0
     at = 0
@@ -84,7 +89,7 @@ def parse(page: str) -> tuple[list[dict], list]:
         text.clear()
         if joined:
             top = stack[-1]
-            blocks.append({"path": "/".join(s[0] for s in stack[1:]), "text": joined, "linked": min(linked, len(joined)), "article": top[3], "apart": top[2]})
+            blocks.append({"path": "/".join(s[0] for s in stack[1:]), "text": joined, "linked": min(linked, len(joined)), "article": top[3], "apart": top[2], "worded": top[5]})
             top[4].append(["#", "", []])
         linked = 0
 
@@ -135,14 +140,15 @@ def parse(page: str) -> tuple[list[dict], list]:
             apart = (
                 tag in APART
                 or found.get("role", "").lower() in APART_ROLES
-                or bool(words & APART_WORDS)
                 or "hidden" in found
                 or found.get("aria-hidden") == "true"
                 or bool(re.search(r"display\s*:\s*none", found.get("style", "")))
-                or (not stack[-1][3] and (tag == "header" or bool(words & HEAD_WORDS)))
+                or (not stack[-1][3] and tag == "header")
             )
-            if opens and not apart and not stack[-1][3]:
-                depth = next((k for k in range(1, len(stack)) if stack[k][2]), 0)
+            named = bool(words & APART_WORDS) or (not stack[-1][3] and bool(words & HEAD_WORDS))
+            # what an article with such words stands in may be the comments
+            if opens and not apart and not named and not stack[-1][3]:
+                depth = next((k for k in range(1, len(stack)) if stack[k][2] or stack[k][5]), 0)
                 if depth:
                     pop(depth)
             if tag in VOID:
@@ -150,11 +156,33 @@ def parse(page: str) -> tuple[list[dict], list]:
             label = f"{tag}.{name}" if name else tag
             node = [label, "", []]
             stack[-1][4].append(node)
-            stack.append((label, tag, stack[-1][2] or apart, stack[-1][3] or (opens and not apart), node[2]))
+            around = stack[-1][5]
+            if named and (not (opens or tag in ("html", "body")) or any(s[1] == "article" for s in stack)):
+                around = (*around, len(worded))
+                worded.append(stack[-1][3])
+            stack.append((label, tag, stack[-1][2] or apart, stack[-1][3] or (opens and not apart), node[2], around))
     flush()
+    _weigh(blocks, worded)
     return blocks, fold(root)
 
 
+def _weigh(blocks: list[dict], worded: list[bool]) -> None:
+    """Settles which blocks are apart: by words only where the element so named holds at most half of the unlinked text.
+
+    Outside an article, an element that holds more is the content only if no article has text of its own.
+    """
+    held, total, articles = [0] * len(worded), 0, False
+    for b in blocks:
+        if not b["apart"]:
+            own = len(b["text"]) - b["linked"]
+            total += own
+            articles |= b["article"] and not b["worded"]
+            for k in b["worded"]:
+                held[k] += own
+    for b in blocks:
+        b["apart"] |= any(held[k] * 2 <= total or (articles and not worded[k]) for k in b.pop("worded"))
+
+
 def fold(node: list) -> list:
     """The tree with equal neighbours (or runs of up to PERIOD of them, again and again) as one repeated group."""
     label, mark, children = node

@@ -50,6 +50,25 @@ def test_a_part_apart_leaves_others_at_its_path(spark):
         assert got[n] == f"T{n}\nBody {n}." and got[10 + n] == f"Body {n}."
 
 
+LOOSE = {
+    "<body class='has-sidebar'><p>{}</p><div class='sidebar'><p>Other</p></div></body>": "{}",
+    "<body><div class='post no-sidebar'><p>{}</p></div><div class='share'><p>Share</p></div></body>": "{}",
+    "<article class='post comments-open'><h1>T</h1><p>{}</p></article><div class='comments'><p>Nice</p></div>": "T\n{}",
+    "<main class='search-results share'><p>{}</p><article class='post comments-open'><p>b</p></article></main>": "{}\nb",
+    "<article><h1>T</h1><div class='post no-sidebar'><p>{}</p></div><div class='ad'><p>Buy</p></div></article>": "T\n{}",
+    "<article><section data-title='Hidden gems'><p>{}</p></section></article>": "{}",
+    "<article><div data-hidden='false' data-id='comments' data-class='ad'><p>{}</p></div></article>": "{}",
+    "<article><p>{}</p><p HIDDEN>x</p><p aria-hidden=true>x</p><p class=ad>x</p></article>": "{}",
+    "<article><p>{}</p></article><section id='comments'><article class='comment'><p>" + "long " * 40 + "</p></article></section>": "{}",
+}
+
+
+def test_loose_words_keep_articles(spark):
+    rows = [(n, f"http://h{n}/", page.format("The body of the page"), "", 0) for n, page in enumerate(LOOSE)]
+    got = texts(spark, rows)
+    assert [got[n] for n in range(len(LOOSE))] == [w.format("The body of the page") for w in LOOSE.values()]
+
+
 def test_odd_pages(spark):
     long = "<p>" + "word " * 40_000 + "</p>"
     rows = [(1, "http://a/1", None, None, None), (2, "http://a/2", "", "", 0), (3, None, "plain text & more", "", 0), (4, "not a url", "<p>x</p><p>y", "", 0), (4, "not a url", "<p>x</p><p>y", "", 0), (5, "http://b/", f"<article>{long}</article>", "", 0)]
