@@ -5,7 +5,6 @@ from __future__ import annotations
 import hashlib
 import random
 import re
-from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -18,8 +17,8 @@ BASE_KINDS = ("email", "ip", "card", "phone")
 FIELD_KINDS = ("email", "phone", "ssn", "iban", "secret")
 KINDS = (*BASE_KINDS, *(k for k in FIELD_KINDS if k not in BASE_KINDS))
 LABELS = ("O", *(f"{p}-{k}" for k in FIELD_KINDS for p in "BI"))
-#: Words around a word with a digit or an @ that a span may reach, and that the field looks at besides.
-REACH, CONTEXT = 3, 3
+#: Characters of text whose words are held at once, words (with padding) that are decoded at once, and the longest word that is remembered.
+HELD, CELLS, REMEMBERED = 1 << 20, 1 << 17, 64
 _OFFSETS = (-2, -1, 0, 1, 2)
 
 _LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
@@ -78,14 +77,14 @@ def base_spans(text: str) -> list[tuple[int, int, str]]:
 # ---- the random field ---------------------------------------------------------------------------------------------
 
 _CHUNK = re.compile(r"\S+")
-_CORE = re.compile(r"^[^\w@+(]*(.*?)[^\w)]*$", re.S)
+_BEFORE = re.compile(r"[^\w@+(]*")
 _SHAPE = str.maketrans({**dict.fromkeys("abcdefghijklmnopqrstuvwxyz", "x"), **dict.fromkeys("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "X"), **dict.fromkeys("0123456789", "d")})
 
 
-@lru_cache(1 << 16)
 def word_features(chunk: str) -> tuple[str, ...]:
     """Shape features of a word between white space."""
-    core = _CORE.match(chunk[:200]).group(1)
+    a, z = core_span(chunk, 0)
+    core = chunk[a:z]
     shape = core.translate(_SHAPE)
     digits = shape.count("d")
     out = [f"s:{re.sub(r'(.)\1+', r'\1', shape)[:16]}", f"d:{min(digits, 13)}", f"n:{min(len(core), 40) // 4}"]
@@ -99,8 +98,10 @@ def word_features(chunk: str) -> tuple[str, ...]:
 
 
 def core_span(chunk: str, start: int) -> tuple[int, int]:
-    m = _CORE.match(chunk)
-    return start + m.start(1), start + m.end(1)
+    a, z = _BEFORE.match(chunk).end(), len(chunk)
+    while z > a and not (chunk[z - 1].isalnum() or chunk[z - 1] in "_)"):
+        z -= 1
+    return start + a, start + z
 
 
 def labelled_examples(spark: SparkSession, rows: int = 600, seed: int = 11) -> DataFrame:
@@ -113,12 +114,13 @@ def example_rows(rows: int = 600, seed: int = 11) -> list[tuple[list[str], list[
     num = lambda n: "".join(rng.choice("0123456789") for _ in range(n))
     key = lambda n, s: "".join(rng.choice(s) for _ in range(n))
     name = lambda: key(rng.randint(3, 8), "abcdefghiklmnoprstuw")
+    letters, tops = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz", ["com", "org", "net"]
     values = {
         "phone": lambda: rng.choice([f"({num(3)}) {num(3)}-{num(4)}", f"{num(3)}-{num(3)}-{num(4)}", f"{num(3)}.{num(3)}.{num(4)}", f"{num(3)} {num(3)} {num(4)}", f"0{num(3)} {num(7)}", f"0{num(2)} {num(4)} {num(4)}", f"0{num(3)}/{num(6)}"]),
         "ssn": lambda: f"{num(3)}-{num(2)}-{num(4)}",
         "iban": lambda: (lambda b: rng.choice([b, " ".join(b[i : i + 4] for i in range(0, len(b), 4))]))(f"{key(2, 'DEFRGBNLATCH')}{num(20)}"),
-        "email": lambda: rng.choice([f"{name()} (at) mail{num(1)} (dot) com", f"{name()}{num(2)} [at] {name()} [dot] org", f"{name()}{num(1)}@{name()}"]),
-        "secret": lambda: key(rng.choice([32, 40, 64]), "0123456789abcdef"),
+        "email": lambda: rng.choice([f"{name()} (at) mail{num(1)} (dot) com", f"{name()}{num(2)} [at] {name()} [dot] org", f"{name()}{num(1)}@{name()}", f"{name()} (at) {name()} (dot) {rng.choice(tops)}", f"{name()} [at] {name()} [dot] {rng.choice(tops)}"]),
+        "secret": lambda: key(rng.choice([32, 40, 64]), rng.choice(["0123456789abcdef", "0123456789abcdef", letters])),
     }
     # fixed values: words that come before personal data
     lead = {
@@ -132,6 +134,7 @@ def example_rows(rows: int = 600, seed: int = 11) -> list[tuple[list[str], list[
         lambda: num(4), lambda: num(rng.randint(1, 3)), lambda: f"{num(2)}.{num(2)}.{num(4)}", lambda: f"{num(4)}-{num(2)}-{num(2)}", lambda: f"{num(1)}.{num(1)}.{num(2)}", lambda: f"{num(1)},{num(3)}", lambda: f"${num(3)}.{num(2)}",
         lambda: f"{num(2)}:{num(2)}", lambda: f"{num(3)} of {num(3)}", lambda: f"{num(1)} {num(2)} {num(3)}", lambda: f"{num(rng.randint(5, 16))}", lambda: f"+{num(1)} ({num(3)}) {num(3)}-{num(4)}", lambda: f"{num(3)}.{num(2)}.{num(2)}.{num(3)}", lambda: f"{name()}.{num(2)}@mail{num(1)}.example.com",
         lambda: f"x{num(2)}", lambda: f"{name()}{num(2)}", lambda: f"{num(4)}-{num(4)}-{num(4)}-{num(4)}", lambda: f"v{num(1)}.{num(1)}", lambda: f"ISBN {num(3)}-{num(1)}-{num(3)}-{num(5)}-{num(1)}", lambda: f"page {num(2)}", lambda: f"{num(2)}%",
+        lambda: f"{name()} ({name()}) {name()}", lambda: f"[{name()}] {name()}", lambda: "-".join(name() for _ in range(5)), lambda: f"{name()}{name()}{name()}", lambda: f"{name()} at {name()} dot {name()}",
     ]
     wrap = ["{}", "{}.", "{},", '"{}"', "{}###", "{}!!", "{}&&&", "({})"]
     words = lambda n: [(f"{rng.choice([name(), name().title()])}{rng.choice(['', '', '', ',', '.'])}", "O") for _ in range(n)]
@@ -210,26 +213,37 @@ class ChainField:
             for k, o in enumerate(_OFFSETS):
                 ids = [i for f in word_features(chunk) if (i := self.names.get((o, f))) is not None]
                 known[k] = self.weight[ids].sum(0)
-            if len(self.cache) < 1 << 16:
+            if len(self.cache) < 1 << 16 and len(chunk) <= REMEMBERED:
                 self.cache[chunk] = known
         return known
 
     def decode(self, segments: list[tuple[list[str], np.ndarray]]) -> list[np.ndarray]:
         """Viterbi labels of (words, which may be part of a span), many segments at once, alike long ones together."""
         out: list = [None] * len(segments)
-        order = sorted(range(len(segments)), key=lambda k: len(segments[k][0]))
-        for lo in range(0, len(order), 512):
-            some = order[lo : lo + 512]
+        order = sorted((k for k in range(len(segments)) if segments[k][0]), key=lambda k: len(segments[k][0]))
+        for k in range(len(segments)):
+            out[k] = np.zeros(0, np.int8)
+        lo = 0
+        while lo < len(order):
+            hi = lo + 1
+            while hi < len(order) and (hi + 1 - lo) * len(segments[order[hi]][0]) <= CELLS:
+                hi += 1
+            some, lo = order[lo:hi], hi
             most = len(segments[some[-1]][0])
+            numbers: dict[str, int] = {}
+            known = [numbers.setdefault(w, len(numbers)) for k in some for w in segments[k][0]]
+            parts = np.stack([self.parts(w) for w in numbers])
             emit = np.zeros((len(some), most, len(LABELS)))
+            at = 0
             for r, k in enumerate(some):
                 words, free = segments[k]
-                parts = np.stack([self.parts(w) for w in words])
+                ids = np.array(known[at : at + len(words)])
+                at += len(words)
                 for j, o in enumerate(_OFFSETS):
                     # the word at position p + o gives part j to position p
                     a, z = max(0, -o), len(words) - max(0, o)
                     if z > a:
-                        emit[r, a:z] += parts[a + o : z + o, j]
+                        emit[r, a:z] += parts[ids[a + o : z + o], j]
                 emit[r, : len(words), 1:] -= np.where(free, 0, 1e4)[:, None]
                 emit[r, len(words) :, 1:] -= 1e4
             back = np.zeros((len(some), most, len(LABELS)), np.int8)
@@ -271,49 +285,37 @@ def _posteriors(emit: np.ndarray, step: np.ndarray, real: np.ndarray) -> tuple[n
     return post, steps
 
 
-def segments_of(text: str) -> list[tuple[list[tuple[str, int]], np.ndarray]]:
-    """Runs of words around those with a digit or an @: words with their starts, and which may be part of a span.
-
-    Words further than REACH from such a word are labelled O by definition, so decoding the runs alone is exact.
-    """
-    if "@" not in text and not _DIGIT.search(text):
-        return []
-    chunks = [(m.group(), m.start()) for m in _CHUNK.finditer(text)]
-    seeds = np.array([k for k, (w, _) in enumerate(chunks) if "@" in w or _DIGIT.search(w)])
-    free = np.zeros(len(chunks), bool)
-    near = np.zeros(len(chunks), bool)
-    for mask, reach in ((free, REACH), (near, REACH + CONTEXT)):
-        edge = np.zeros(len(chunks) + 1, np.int32)
-        np.add.at(edge, np.maximum(seeds - reach, 0), 1)
-        np.add.at(edge, np.minimum(seeds + reach + 1, len(chunks)), -1)
-        mask[:] = np.cumsum(edge[:-1]) > 0
-    turns = np.flatnonzero(np.diff(np.concatenate([[0], near.astype(np.int8), [0]])))
-    return [(chunks[a:z], free[a:z]) for a, z in zip(turns[::2], turns[1::2], strict=True)]
-
-
 def field_spans(texts: list[str], field: ChainField) -> list[list[tuple[int, int, str]]]:
-    """Spans that the field labels in each text."""
-    found = [segments_of(t) for t in texts]
-    paths = iter(field.decode([([w for w, _ in words], free) for segs in found for words, free in segs]))
-    out = []
-    for segs in found:
-        spans, own = [], None
-        for words, _ in segs:
-            for (chunk, start), y in zip(words, next(paths), strict=True):
-                label = LABELS[y]
-                if label[0] == "I" and own:
-                    own = (own[0], core_span(chunk, start)[1], own[2])
-                    spans[-1] = own
-                elif label != "O":
-                    own = (*core_span(chunk, start), label[2:])
-                    spans.append(own)
-                else:
-                    own = None
-            own = None
-        out.append([s for s in spans if s[0] < s[1]])
+    """Spans that the field labels in each text: every word of every text is decoded."""
+    out, lo = [], 0
+    while lo < len(texts):
+        hi, size = lo + 1, len(texts[lo])
+        while hi < len(texts) and size + len(texts[hi]) <= HELD:
+            size += len(texts[hi])
+            hi += 1
+        some, lo = texts[lo:hi], hi
+        words = [_CHUNK.findall(t) for t in some]
+        out += [_spans(t, path) for t, path in zip(some, field.decode([(w, np.ones(len(w), bool)) for w in words]), strict=True)]
     return out
 
 
+def _spans(text: str, path: np.ndarray) -> list[tuple[int, int, str]]:
+    spans: list = []
+    if path.any():
+        own = None
+        for m, y in zip(_CHUNK.finditer(text), path, strict=True):
+            label = LABELS[y]
+            if label[0] == "I" and own:
+                own = (own[0], core_span(m.group(), m.start())[1], own[2])
+                spans[-1] = own
+            elif label != "O":
+                own = (*core_span(m.group(), m.start()), label[2:])
+                spans.append(own)
+            else:
+                own = None
+    return [s for s in spans if s[0] < s[1]]
+
+
 def all_spans(texts: list[str], field: ChainField) -> list[tuple[list, list]]:
     """Base spans of each text, and all: those of the field that touch no base span are added."""
     out = []

@@ -110,3 +110,13 @@ def test_added_spans_and_redaction(spark, odd, none, field):
     assert pii.redact(docs, field).collect()[0]["text"] == 'Mail <email> or call me at <phone>. token = "<secret>" at <ip>'
     assert pii.find_personal_data(odd, field).count() == odd.count() and pii.redact(odd, field).columns == odd.columns
     assert pii.redact(odd, field).count() == odd.count() and pii.find_personal_data(none, field).count() == 0
+
+
+def test_words_without_digits_are_decoded(field):
+    """Nothing but the field decides which words are looked at."""
+    key = "kJhGfDsAqWeRtYuIoPzXcVbNmLkJhGfDsAqWeRtY"
+    texts = ["please write to jane (at) example (dot) com today", "contact bob [at] corner [dot] org", f"token = {key}", "the garden was green and calm"]
+    found = [[(t[a:z], k) for a, z, k in s] for t, s in zip(texts, pii.field_spans(texts, field), strict=True)]
+    assert found == [[("jane (at) example (dot) com", "email")], [("bob [at] corner [dot] org", "email")], [(key, "secret")], []]
+    assert "n:10" in pii.word_features("-" * 250 + "a" * 300) and pii.word_features("1" * 300)[1] == "d:13"
+    assert pii.core_span("-" * 250 + "ab)!", 5) == (255, 258)
