@@ -17,8 +17,8 @@ BASE_KINDS = ("email", "ip", "card", "phone")
 FIELD_KINDS = ("email", "phone", "ssn", "iban", "secret")
 KINDS = (*BASE_KINDS, *(k for k in FIELD_KINDS if k not in BASE_KINDS))
 LABELS = ("O", *(f"{p}-{k}" for k in FIELD_KINDS for p in "BI"))
-#: Characters of text whose words are held at once, words (with padding) that are decoded at once, and the longest word that is remembered.
-HELD, CELLS, REMEMBERED = 1 << 20, 1 << 17, 64
+#: Characters of text whose words are held at once, words (with padding) that are decoded at once, and words that are remembered.
+HELD, CELLS, TABLE = 1 << 20, 1 << 15, 300_000
 _OFFSETS = (-2, -1, 0, 1, 2)
 
 _LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
@@ -81,16 +81,20 @@ _BEFORE = re.compile(r"[^\w@+(]*")
 _SHAPE = str.maketrans({**dict.fromkeys("abcdefghijklmnopqrstuvwxyz", "x"), **dict.fromkeys("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "X"), **dict.fromkeys("0123456789", "d")})
 
 
+_RUNS = re.compile(r"(.)\1+", re.S)
+_KEY = re.compile(r"[A-Za-z0-9_-]+")
+
+
 def word_features(chunk: str) -> tuple[str, ...]:
     """Shape features of a word between white space."""
     a, z = core_span(chunk, 0)
     core = chunk[a:z]
     shape = core.translate(_SHAPE)
     digits = shape.count("d")
-    out = [f"s:{re.sub(r'(.)\1+', r'\1', shape)[:16]}", f"d:{min(digits, 13)}", f"n:{min(len(core), 40) // 4}"]
+    out = [f"s:{_RUNS.sub(r'\1', shape)[:16]}", f"d:{min(digits, 13)}", f"n:{min(len(core), 40) // 4}"]
     if len(shape) <= 14:
         out.append(f"f:{shape}")
-    if len(core) >= 24 and re.fullmatch(r"[0-9a-fA-F]+|[A-Za-z0-9_\-]+", core) and digits >= 3 and len(core) - digits >= 3:
+    if len(core) >= 24 and digits >= 3 and len(core) - digits >= 3 and _KEY.fullmatch(core):
         out.append("key")
     if not digits:
         out.append(f"w:{core.lower()}")
@@ -98,7 +102,7 @@ def word_features(chunk: str) -> tuple[str, ...]:
 
 
 def core_span(chunk: str, start: int) -> tuple[int, int]:
-    a, z = _BEFORE.match(chunk).end(), len(chunk)
+    a, z = 0 if chunk[:1].isalnum() else _BEFORE.match(chunk).end(), len(chunk)
     while z > a and not (chunk[z - 1].isalnum() or chunk[z - 1] in "_)"):
         z -= 1
     return start + a, start + z
@@ -159,7 +163,12 @@ class ChainField:
 
     def __init__(self, names: dict[tuple, int], weight: np.ndarray, step: np.ndarray):
         self.names, self.weight, self.step = names, weight, step
-        self.cache: dict[str, np.ndarray] = {}
+        self.offset = np.array([o - _OFFSETS[0] for o, _ in names], np.int64)
+        self.words = {f[2:] for _, f in names if f.startswith("w:")}
+        self.rows: dict[str, int] = {}
+        self.shapes: dict[tuple[str, str], int] = {}
+        self.sets: dict[tuple[int, ...], int] = {}
+        self.table, self.most = np.zeros((1024, len(_OFFSETS), len(LABELS))), np.zeros((1024, len(_OFFSETS)))
 
     @staticmethod
     def allowed() -> np.ndarray:
@@ -208,59 +217,130 @@ class ChainField:
 
     def parts(self, chunk: str) -> np.ndarray:
         """What a word adds to the label scores of the words at each offset from it."""
-        if (known := self.cache.get(chunk)) is None:
-            known = np.zeros((len(_OFFSETS), len(LABELS)))
-            for k, o in enumerate(_OFFSETS):
-                ids = [i for f in word_features(chunk) if (i := self.names.get((o, f))) is not None]
-                known[k] = self.weight[ids].sum(0)
-            if len(self.cache) < 1 << 16 and len(chunk) <= REMEMBERED:
-                self.cache[chunk] = known
-        return known
+        return self._sum(self._known(word_features(chunk)))
+
+    def _known(self, features: tuple[str, ...]) -> tuple[int, ...]:
+        return tuple(i for f in features for o in _OFFSETS if (i := self.names.get((o, f))) is not None)
+
+    def _sum(self, ids: tuple[int, ...]) -> np.ndarray:
+        out = np.zeros((len(_OFFSETS), len(LABELS)))
+        np.add.at(out, self.offset[list(ids)], self.weight[list(ids)])
+        return out
+
+    def numbers(self, words: list[str]) -> np.ndarray:
+        """Rows of the words in the table of parts: a row for each set of features that the field knows, row 0 for no word.
+
+        Rows of words and of shapes are remembered until there are TABLE of them; the table grows with the sets alone.
+        """
+        rows, shapes = self.rows, self.shapes
+        if len(rows) > TABLE:
+            rows.clear()
+        if len(shapes) > TABLE:
+            shapes.clear()
+        for w in set(words).difference(rows):
+            a, z = core_span(w, 0)
+            shape = w[a:z].translate(_SHAPE)
+            # words of one shape without a digit differ in the word itself alone, the others in whether they look like keys
+            own = w[a:z].lower() if "d" not in shape else ("#" if len(shape) >= 24 and _KEY.fullmatch(w, a, z) else "")
+            key = (shape, own if own in self.words or own == "#" else "")
+            if (row := shapes.get(key)) is None:
+                ids = self._known(word_features(w))
+                if (row := self.sets.get(ids)) is None:
+                    row = self.sets[ids] = len(self.sets) + 1
+                    if row == len(self.table):
+                        self.table, self.most = (np.concatenate([x, np.zeros_like(x)]) for x in (self.table, self.most))
+                    own_parts = self._sum(ids)
+                    self.table[row], self.most[row] = own_parts, (own_parts[:, 1:] - own_parts[:, :1]).max(1)
+                shapes[key] = row
+            rows[w] = row
+        return np.fromiter(map(rows.__getitem__, words), np.int64, len(words))
 
     def decode(self, segments: list[tuple[list[str], np.ndarray]]) -> list[np.ndarray]:
-        """Viterbi labels of (words, which may be part of a span), many segments at once, alike long ones together."""
-        out: list = [None] * len(segments)
-        order = sorted((k for k in range(len(segments)) if segments[k][0]), key=lambda k: len(segments[k][0]))
-        for k in range(len(segments)):
-            out[k] = np.zeros(0, np.int8)
+        """Viterbi labels of (words, which may be part of a span): every word is scored, and the best path is exact.
+
+        A label other than O gains at most a bound over O at each word: the largest difference of its scores and of a step.
+        Words of a bound that isn't positive can only lose; a span reaches past words of positive bound no further than
+        until the loss outweighs all that the text could gain. Steps are summed up within these stretches alone.
+        """
+        if not any(w for w, _ in segments):
+            return [np.zeros(0, np.int8) for _ in segments]
+        sizes = np.array([len(w) for w, _ in segments])
+        # two blanks (row 0) stand between texts, so that no text sees another's words
+        start = 2 + np.concatenate([[0], np.cumsum(sizes + 2)[:-1]])
+        ids = np.zeros(int(sizes.sum()) + 2 * len(sizes) + 2, np.int64)
+        place = np.repeat(start - np.concatenate([[0], np.cumsum(sizes)[:-1]]), sizes) + np.arange(sizes.sum())
+        ids[place] = self.numbers([w for words, _ in segments for w in words])
+        may = np.concatenate([f for _, f in segments])
+        still = self.step[:-1][0, 0]
+        enter = max((self.step[:-1, 1:] - still).max(), (self.step[-1, 1:] - self.step[-1, 0]).max())
+        leave = max(0.0, float((self.step[1:-1, 0] - still).max()))
+        bound = sum(self.most[ids[place + o], j] for j, o in enumerate(_OFFSETS)) + enter
+        bound[~may] = -1e4
+        near = np.flatnonzero(bound > -leave)
+        for lo in range(0, len(near), CELLS):
+            some = near[lo : lo + CELLS]
+            own = sum(self.table[ids[place[some] + o], j] for j, o in enumerate(_OFFSETS))
+            bound[some] = np.where(may[some], (own[:, 1:] - own[:, :1]).max(1) + enter, -1e4)
+        ends = np.cumsum(sizes)
+        stretches: list[tuple[int, int, int]] = []  # text, first word, after the last
+        for k in np.unique(np.searchsorted(ends, np.flatnonzero(bound > -leave), side="right")):
+            stretches += [(int(k), a, z) for a, z in _stretches(bound[ends[k] - sizes[k] : ends[k]], leave)]
+        out = [np.zeros(n, np.int8) for n in sizes]
+        stretches.sort(key=lambda s: s[2] - s[1])
         lo = 0
-        while lo < len(order):
+        while lo < len(stretches):
             hi = lo + 1
-            while hi < len(order) and (hi + 1 - lo) * len(segments[order[hi]][0]) <= CELLS:
+            while hi < len(stretches) and (hi + 1 - lo) * (stretches[hi][2] - stretches[hi][1] + 2) <= CELLS:
                 hi += 1
-            some, lo = order[lo:hi], hi
-            most = len(segments[some[-1]][0])
-            numbers: dict[str, int] = {}
-            known = [numbers.setdefault(w, len(numbers)) for k in some for w in segments[k][0]]
-            parts = np.stack([self.parts(w) for w in numbers])
-            emit = np.zeros((len(some), most, len(LABELS)))
-            at = 0
-            for r, k in enumerate(some):
-                words, free = segments[k]
-                ids = np.array(known[at : at + len(words)])
-                at += len(words)
-                for j, o in enumerate(_OFFSETS):
-                    # the word at position p + o gives part j to position p
-                    a, z = max(0, -o), len(words) - max(0, o)
-                    if z > a:
-                        emit[r, a:z] += parts[ids[a + o : z + o], j]
-                emit[r, : len(words), 1:] -= np.where(free, 0, 1e4)[:, None]
-                emit[r, len(words) :, 1:] -= 1e4
-            back = np.zeros((len(some), most, len(LABELS)), np.int8)
-            best = emit[:, 0] + self.step[-1]
-            for t in range(1, most):
-                ways = best[:, :, None] + self.step[None, :-1]
-                back[:, t] = ways.argmax(1)
-                best = ways.max(1) + emit[:, t]
-            label = best.argmax(1)
-            path = np.zeros((len(some), most), np.int8)
-            for t in range(most - 1, -1, -1):
-                path[:, t] = label
-                label = back[np.arange(len(some)), t, label]
-            for r, k in enumerate(some):
-                out[k] = path[r, : len(segments[k][0])]
+            self._best(stretches[lo:hi], ids, may, start, sizes, out)
+            lo = hi
         return out
 
+    def _best(self, stretches, ids, may, start, sizes, out) -> None:
+        """Writes the best labels of stretches, the words around which are O, into out."""
+        most = max(z - a for _, a, z in stretches) + 2
+        n = len(LABELS)
+        emit = np.zeros((len(stretches), most, n))
+        emit[:, :, 1:] = -1e4
+        before = np.zeros(len(stretches), int)
+        for r, (k, a, z) in enumerate(stretches):
+            at = np.arange(start[k] + a, start[k] + z)
+            before[r] = a > 0  # a word before the stretch, which is O
+            own = sum(self.table[ids[at + o], j] for j, o in enumerate(_OFFSETS))
+            own[:, 1:] -= np.where(may[at - 2 - 2 * k], 0, 1e4)[:, None]
+            emit[r, before[r] : before[r] + z - a] = own
+        back = np.zeros((len(stretches), most, n), np.int8)
+        best = emit[:, 0] + self.step[-1]
+        length = np.array([b + z - a + (z < sizes[k]) for b, (k, a, z) in zip(before, stretches, strict=True)])
+        ends = np.zeros((len(stretches), n))
+        ends[length == 1] = best[length == 1]
+        for t in range(1, most):
+            ways = best[:, :, None] + self.step[None, :-1]
+            back[:, t] = ways.argmax(1)
+            best = ways.max(1) + emit[:, t]
+            ends[length == t + 1] = best[length == t + 1]
+        path = np.zeros((len(stretches), most), np.int8)
+        label = ends.argmax(1)
+        for t in range(most - 1, -1, -1):
+            inside = t < length
+            path[inside, t] = label[inside]
+            label = np.where(inside, back[np.arange(len(stretches)), t, label], label)
+        for r, (k, a, z) in enumerate(stretches):
+            out[k][a:z] = path[r, before[r] : before[r] + z - a]
+
+
+def _stretches(bound: np.ndarray, leave: float) -> list[tuple[int, int]]:
+    """(first, after last) of the stretches of a text that may hold spans: its live words, and as many others around them as a span could cross."""
+    live = np.flatnonzero(bound > -leave)
+    reach = np.maximum(bound, 0).sum() + leave
+    lost = np.concatenate([[0], np.cumsum(np.minimum(bound, 0))])
+    # all words up to the one at which the loss since the live word exceeds the reach
+    after = np.searchsorted(-lost, -lost[live + 1] + reach, side="left")
+    first = np.searchsorted(-lost, -lost[live] - reach, side="right") - 1
+    first, after = np.maximum(first, 0), np.minimum(after, len(bound))
+    new = np.flatnonzero(np.concatenate([[True], first[1:] > after[:-1]]))
+    return list(zip(first[new].tolist(), after[[*(new[1:] - 1), len(live) - 1]].tolist(), strict=True))
+
 
 def _posteriors(emit: np.ndarray, step: np.ndarray, real: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Label probabilities of every cell, and expected label steps (the last row: first labels), by forward and backward sums."""
