@@ -2,8 +2,9 @@
 
 from __future__ import annotations
 
-import re
+import functools
 import sys
+import unicodedata
 
 import numpy as np
 import pyarrow as pa
@@ -12,31 +13,39 @@ from pyspark.sql import functions as F
 
 from .common import held_out, map_arrow, texts_of
 
-#: n-grams of one to LONGEST letters; ranks kept of a language and of a document; most languages.
+#: n-grams of one to LONGEST letters; ranks kept of a language and of a document.
 LONGEST = 3
 PROFILE = 400
-MOST_LANGS = 2000
-_WORDS = re.compile(r"[^\W\d_]+")
 _BITS = 21
+#: What stands for a blank in codes: no letter, and not 0, so that a leading blank makes another code.
+_BLANK = 1
+
+
+@functools.cache
+def _classes() -> np.ndarray:
+    """For each code point 1 if it is a letter (Unicode category L), 2 if a mark (M, as vowel signs inside words), else 0."""
+    kinds = {"L": 1, "M": 2}
+    return np.fromiter((kinds.get(unicodedata.category(chr(c))[0], 0) for c in range(sys.maxunicode + 1)), np.uint8, sys.maxunicode + 1)
 
 
 def gram_counts(text: str, longest: int = LONGEST) -> tuple[np.ndarray, np.ndarray]:
-    """Codes and counts of the n-grams of the words of a text (lower-cased runs of letters with a blank on each side).
+    """Codes and counts of the n-grams of the words of a text (lower-cased runs of letters and marks with a blank on each side).
 
-    A code packs up to three code points of 21 bits; blanks are 0, and runs of other characters are one blank.
+    A code packs up to three code points of 21 bits; blanks are 1, and runs of other characters are one blank.
     """
-    words = _WORDS.findall(text.lower())
-    if not words:
+    points = np.frombuffer(f" {text.lower()} ".encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.int64)
+    kinds = _classes()[points]
+    if not (kinds == 1).any():
         return np.empty(0, np.int64), np.empty(0, np.int64)
-    points = np.frombuffer((" " + " ".join(words) + " ").encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.int64)
-    points[points == 32] = 0
-    codes, gram = [points[points > 0]], points
+    points[kinds == 0] = _BLANK
+    points = points[(points > _BLANK) | np.concatenate([[True], points[:-1] > _BLANK])]
+    codes, gram = [points[points > _BLANK]], points
     for n in range(2, longest + 1):
         # A gram holds at most one blank, at an end, and never a blank between letters.
         gram = (gram[:-1] << _BITS) | points[n - 1 :]
         inside = np.ones(len(gram), bool)
         for k in range(1, n - 1):
-            inside &= points[k : k + len(gram)] > 0
+            inside &= points[k : k + len(gram)] > _BLANK
         codes.append(gram[inside])
     return np.unique(np.concatenate(codes), return_counts=True)
 
@@ -51,7 +60,7 @@ def learn_profiles(docs: DataFrame, most: int = PROFILE, longest: int = LONGEST)
     """Ranked codes of each language from all rows with a lang that are not held out.
 
     Counts are added up over all rows (partial sums in each batch, then a grouped sum); only the first most ranks
-    of each language come to the driver, and a table of more than MOST_LANGS languages is refused.
+    of each language come to the driver: the model, which grows with the values of lang and with nothing else.
     """
 
     def count(batch):
@@ -72,9 +81,7 @@ def learn_profiles(docs: DataFrame, most: int = PROFILE, longest: int = LONGEST)
     counts = map_arrow(rows, count, "lang string, code bigint, n bigint").groupBy("lang", "code").agg(F.sum("n").alias("n"))
     rank = F.row_number().over(Window.partitionBy("lang").orderBy(F.col("n").desc(), "code"))
     top = counts.withColumn("rank", rank).where(F.col("rank") <= most)
-    lists = top.groupBy("lang").agg(F.array_sort(F.collect_list(F.struct("rank", "code"))).alias("p")).limit(MOST_LANGS + 1).collect()
-    if len(lists) > MOST_LANGS:
-        raise ValueError(f"more than {MOST_LANGS} languages")
+    lists = top.groupBy("lang").agg(F.array_sort(F.collect_list(F.struct("rank", "code"))).alias("p")).collect()
     return {r["lang"]: np.array([x["code"] for x in r["p"]], np.int64) for r in sorted(lists, key=lambda r: r["lang"])}
 
 
