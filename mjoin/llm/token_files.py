@@ -26,7 +26,8 @@ class CachedEncoder:
     """Token ids by the tokenizers library, with one call for each distinct space-led piece.
 
     The byte-level splitter never joins across a single space between two other characters, so the pieces of a
-    text are encoded alone and remembered; a text in which white space meets white space goes to the library whole.
+    text are encoded alone and remembered; a text in which white space meets white space, or that holds the string of an
+    added token (which the library takes for that token), goes to the library whole.
     """
 
     def __init__(self, path: str):
@@ -34,7 +35,9 @@ class CachedEncoder:
 
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # tasks share the cores already
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
+        # strings of added tokens are cut out before the splitter: texts that hold one go to the library whole
+        added = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
+        self.added = re.compile("|".join(map(re.escape, added))) if added else None
         self.known: dict[str, bytes] = {}
         self.older: dict[str, bytes] = {}
         # Ġ is the space in the vocabulary's byte alphabet
@@ -51,7 +54,7 @@ class CachedEncoder:
             self.known, self.older = {}, self.known
         get, plain, new = self.known.get, [], {""}
         for t in texts:
-            if not t or t[0] == " " or t[-1] == " " or "  " in t or " \n" in t or "\n " in t or _ODD_SPACE.search(t):
+            if not t or t[0] == " " or t[-1] == " " or "  " in t or " \n" in t or "\n " in t or _ODD_SPACE.search(t) or (self.added and self.added.search(t)):
                 plain.append(None)
                 continue
             first, *rest = t.split(" ")
