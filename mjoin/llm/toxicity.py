@@ -46,15 +46,16 @@ class Model:
 def labelled_sample(docs: DataFrame, labels: DataFrame, most_rows: int = MOST_ROWS) -> DataFrame:
     """text and toxic of at most most_rows labelled rows, those of least hash of the id; never a held-out one.
 
-    One label for each id, the greater of several. The ids of the sample are few by the bound, so they are
-    broadcast to the texts and no text is shuffled; the texts of the sample are written once.
+    One label for each id, the greater of several, and one text, the least of several: repeated ids don't add rows. The
+    ids of the sample are few by the bound, so they are broadcast to the texts and only the sample's texts are shuffled.
     """
     picked = F.xxhash64(F.lit("toxicity"), "doc_id")
     known = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id")))
     known = known.groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic_label")).orderBy(picked, "doc_id").limit(most_rows)
     known = known.withColumnRenamed("doc_id", "label_id")
     rows = docs.select("doc_id", "text").join(F.broadcast(known), F.col("doc_id") == F.col("label_id"))
-    return settle(rows.select("text", F.col("toxic_label").alias("toxic")), "toxicity-sample")
+    rows = rows.groupBy("label_id").agg(F.min("text").alias("text"), F.max("toxic_label").alias("toxic"))
+    return settle(rows.select("text", "toxic"), "toxicity-sample")
 
 
 def presence(rows: DataFrame, bits: int = BITS) -> tuple[np.ndarray, np.ndarray]:
