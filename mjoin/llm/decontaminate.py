@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import contextlib
 import hashlib
 import re
 
@@ -14,7 +15,7 @@ from .common import map_arrow, texts_of
 
 #: Words of a window; UTF-8 bytes of test items in one broadcast block; words of a shard; distance of sampled positions.
 WINDOW = 10
-BLOCK_BYTES = 32 << 20
+BLOCK_BYTES = 4 << 20
 SHARD_WORDS = 1 << 20
 SAMPLE = 8
 # A-Z become a-z; every ASCII character but letters and digits becomes a space; bytes of other characters stay.
@@ -107,36 +108,62 @@ class FMIndex:
 
 
 class Windows:
-    """Distinct windows of some test items, by their length, over a vocabulary of their words."""
+    """Distinct windows of some test items, by their length, as arrays of word numbers over a vocabulary of their words.
+
+    names(n, row) are the items that hold a window: two arrays for each length, offsets and item numbers.
+    """
 
     def __init__(self, items: list[tuple[str, str]], window: int = WINDOW):
         self.vocabulary: dict[bytes, int] = {}
-        found: dict[tuple, set] = {}
-        for name, text in items:
-            ids = [self.vocabulary.setdefault(w, len(self.vocabulary) + 1) for w in folded_words(text)]
-            size = min(window, len(ids))
-            for k in range(len(ids) - size + 1 if ids else 0):
-                found.setdefault(tuple(ids[k : k + size]), set()).add(name)
-        self.by_length = {n: np.array([w for w in found if len(w) == n], np.int64) for n in sorted({len(w) for w in found})}
-        self.names = {n: [sorted(v) for w, v in found.items() if len(w) == n] for n in self.by_length}
+        vocabulary = self.vocabulary
+        self.items = [name for name, _ in items]
+        rows: dict[int, list] = {}
+        for number, (_, text) in enumerate(items):
+            ids = np.array([vocabulary.setdefault(w, len(vocabulary) + 1) for w in folded_words(text)], np.int32)
+            if size := min(window, len(ids)):
+                rows.setdefault(size, []).append((number, np.lib.stride_tricks.sliding_window_view(ids, size)))
+        self.by_length, self._owners = {}, {}
+        for n in sorted(rows):
+            every = np.concatenate([w for _, w in rows[n]])
+            owner = np.repeat(np.array([k for k, _ in rows[n]], np.int32), [len(w) for _, w in rows[n]])
+            order = np.lexsort((owner, *every.T[::-1]))
+            every, owner = every[order], owner[order]
+            fresh = np.concatenate([[True], (every[1:] != every[:-1]).any(1)])
+            self.by_length[n] = every[fresh]
+            self._owners[n] = np.append(np.flatnonzero(fresh), len(owner)).astype(np.int32), owner
+
+    def names(self, n: int, row: int) -> set[str]:
+        offsets, owner = self._owners[n]
+        return {self.items[k] for k in owner[offsets[row] : offsets[row + 1]]}
 
     @property
     def shortest(self) -> int:
         return min(self.by_length, default=0)
 
 
+@contextlib.contextmanager
+def held(block, alone: bool):
+    """The windows of a broadcast block; unless it is the only one, a worker lets them go afterwards and reads them again for the next shard."""
+    yield block.value
+    if not alone and getattr(block, "_path", None):
+        block.__dict__.pop("_value", None)
+
+
 def pattern_blocks(items: DataFrame, window: int = WINDOW, block_bytes: int = BLOCK_BYTES) -> list:
-    """Broadcast Windows of at most block_bytes of item text each (or one longer item); tasks hold one block at a time."""
-    blocks, held, size = [], [], 0
+    """Broadcast Windows of at most block_bytes of item text each (or one longer item); driver and tasks hold one block at a time.
+
+    A word of an item takes about 50 bytes, so a block about a tenth of a GB at most.
+    """
+    blocks, items_held, size = [], [], 0
     sc = items.sparkSession.sparkContext
     for r in items.select(F.coalesce(F.col("item_id").cast("string"), F.lit("")).alias("name"), "text").where("text is not null").toLocalIterator():
         more = len(r["text"].encode("utf-8", "surrogatepass"))
-        if held and size + more > block_bytes:
-            blocks.append(sc.broadcast(Windows(held, window)))
-            held, size = [], 0
-        held.append((r["name"], r["text"]))
+        if items_held and size + more > block_bytes:
+            blocks.append(sc.broadcast(Windows(items_held, window)))
+            items_held, size = [], 0
+        items_held.append((r["name"], r["text"]))
         size += more
-    return [*blocks, sc.broadcast(Windows(held, window))]
+    return [*blocks, sc.broadcast(Windows(items_held, window))]
 
 
 def shard_hits(docs: list[list[bytes]], windows: Windows) -> tuple[list[np.ndarray], list[set]]:
@@ -177,7 +204,7 @@ def shard_hits(docs: list[list[bytes]], windows: Windows) -> tuple[list[np.ndarr
         np.add.at(cover, at + n, -1)
         doc = np.searchsorted(start, at, side="right") - 1
         for d, w in np.unique(np.stack([doc, np.repeat(who, count)]), axis=1).T:
-            found[d].update(windows.names[n][w])
+            found[d].update(windows.names(n, w))
     hit = np.flatnonzero(np.cumsum(cover[:-1]) > 0)
     doc = np.searchsorted(start, hit, side="right") - 1
     cuts = np.searchsorted(doc, np.arange(len(docs) + 1))
@@ -201,7 +228,8 @@ def _hits(texts: list[str], blocks: list, shard_words: int = SHARD_WORDS):
     for _, docs in _shards(texts, shard_words):
         hits, names = None, None
         for block in blocks:
-            h, n = shard_hits(docs, block.value)
+            with held(block, len(blocks) == 1) as windows:
+                h, n = shard_hits(docs, windows)
             hits = h if hits is None else [np.union1d(a, b) for a, b in zip(hits, h, strict=True)]
             names = n if names is None else [a | b for a, b in zip(names, n, strict=True)]
         yield from zip(docs, hits, names, strict=True)

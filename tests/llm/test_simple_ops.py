@@ -1,13 +1,17 @@
 """Operators 1, 3, 5, 9 and 10 against brute force, round trips and held-out rows."""
 
+import functools
 import hashlib
 import random
+import unicodedata
 import zlib
+from collections import Counter
 
 import numpy as np
 import pytest
 from mjoin.llm import langid, mixing, queries, sketch, token_files, toxicity
-from mjoin.llm.common import load
+from mjoin.llm.common import load, mix64
+from tokenizers import Tokenizer
 
 
 def test_mix_reaches_targets_and_reruns_agree(spark, sf):
@@ -63,18 +67,19 @@ def test_empty_tables(spark, none):
 
 def test_pieces_encode_as_the_library_does():
     encoder = token_files.CachedEncoder(queries.vocabulary())
-    rng = random.Random(1)
+    rng, plain = random.Random(1), Tokenizer.from_file(queries.vocabulary())
+    assert encoder("a <|endoftext|> b").tolist() == [64, 220, 50256, 275]
     parts = ["a", "B", " ", "  ", "\n", "\t", "'s", "don't", "é", "1", "2", "!", "　", "<|endoftext|>", "漢", "\r"]
     for _ in range(4000):
         text = "".join(rng.choice(parts) for _ in range(rng.randint(0, 14)))
-        assert encoder(text).tolist() == encoder.tokenizer.encode(text, add_special_tokens=False).ids, text
+        assert encoder(text).tolist() == plain.encode(text, add_special_tokens=False).ids, text
 
 
 def test_token_files_round_trip(spark, sf, odd, tmp_path):
     docs, path = load(spark, sf, "documents"), f"file://{tmp_path}/set"
     token_files.write_token_files(docs, queries.vocabulary(), path, partitions=4)
     got = token_files.token_digest(token_files.read_token_files(spark, path)).orderBy("doc_id").collect()
-    encoder, start = token_files.CachedEncoder(queries.vocabulary()).tokenizer, 0
+    encoder, start = Tokenizer.from_file(queries.vocabulary()), 0
     for r, d in zip(got, docs.orderBy("doc_id").collect(), strict=True):
         ids = [*encoder.encode(d["text"] or "", add_special_tokens=False).ids, 0]
         assert (r["doc_id"], r["start"], r["n_tokens"]) == (d["doc_id"], start, len(ids))
@@ -141,6 +146,78 @@ def test_held_out_languages(spark, sf):
     assert np.mean([r["lang_pred"] == docs[r["doc_id"]]["lang"] for r in held]) > 0.95
 
 
+def test_languages_brute_force(spark):
+    """Counts, ranks and distances with plain strings and dictionaries."""
+    rng = random.Random(8)
+    words = {"xx": ["aba", "cab", "bca'd", "ñu"], "yy": ["dod", "\u0915\u093f\u0924", "odo", "ÀB"]}
+    rows = [(k, " ".join(rng.choice(words[lang]) for _ in range(rng.randint(1, 9))) + rng.choice(["", "! 12 ½", " ②"]), lang) for k, lang in enumerate(["xx", "yy"] * 15)]
+    rows += [(100, "½ ② Ⅷ 12", "xx"), (101, None, "yy"), (102, "cab dod", None), (None, "odo", "yy")]
+
+    def counts(text):
+        out = Counter()
+        inside = "".join(c if unicodedata.category(c)[0] in "LM" else " " for c in (text or "").lower())
+        for w in inside.split():
+            out.update(w)
+            out.update(f" {w} "[k : k + n] for n in (2, 3) for k in range(len(w) + 3 - n))
+        return out
+
+    def ranks(c):
+        code = lambda g: functools.reduce(lambda s, x: s << 21 | (ord(x) if x != " " else 1), g, 0)
+        return {g: k for k, g in enumerate(sorted(c, key=lambda g: (-c[g], code(g)))[:400])}
+
+    profiles = {}
+    for lang in ("xx", "yy"):
+        total = Counter()
+        for i, t, own in rows:
+            if own == lang and zlib.crc32(b"" if i is None else str(i).encode()) % 5:
+                total.update(counts(t))
+        profiles[lang] = ranks(total)
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string, lang string")
+    got = {r["doc_id"]: r for r in langid.identify(docs, langid.learn_profiles(docs)).collect()}
+    assert got[100]["lang_pred"] == got[101]["lang_pred"] == "und"
+    for i, t, _ in rows:
+        if own := ranks(counts(t)):
+            d = {lang: sum(abs(p[g] - k) if g in p else 400 for g, k in own.items()) / 400 / len(own) for lang, p in profiles.items()}
+            best = min(d, key=lambda lang: (d[lang], lang))
+            assert got[i]["lang_pred"] == best and abs(got[i]["score"] - (1 - d[best])) < 1e-12
+            assert got[i]["held_out"] == (zlib.crc32(b"" if i is None else str(i).encode()) % 5 == 0)
+
+
+def test_toxicity_brute_force(spark):
+    """Features, ratios and the gradient of the fitted weights, recomputed with plain loops; repeated ids count once."""
+    rng = random.Random(4)
+    rows = [(k, " ".join(rng.choice(["good", "calm", "green", "vile" if k % 3 == 0 else "kind"]) for _ in range(6)), int(k % 3 == 0)) for k in range(60)]
+    docs = spark.createDataFrame([(k, t) for k, t, _ in rows] + [(3, rows[3][1])] * 50, "doc_id bigint, text string")
+    labels = spark.createDataFrame([(k, y) for k, _, y in rows], "doc_id bigint, toxic int")
+    sample = toxicity.labelled_sample(docs, labels, 20).collect()
+    learned = sorted((k for k, _, _ in rows if zlib.crc32(str(k).encode()) % 5), key=str)
+    assert len(sample) == 20 and {r["text"] for r in sample} <= {t for k, t, _ in rows if k in set(learned)}
+    model = toxicity.fit(docs, labels)
+
+    def slots(text):
+        points = [ord(c) + 7 for c in f" {text.lower()} "]
+        mixed = [int(x) for x in mix64(np.array(points, np.uint64))]
+        out = set()
+        for n in toxicity.LENGTHS:
+            for k in range(len(mixed) - n + 1):
+                h = functools.reduce(lambda s, x: (s * 0x9E3779B97F4A7C15 + x) % 2**64, mixed[k : k + n], 0)
+                out.add(int(mix64(np.array([h], np.uint64))[0]) >> (64 - toxicity.BITS))
+        return out
+
+    own = [(slots(t), y) for k, t, y in rows if k in set(learned)]
+    n = [sum(y == c for _, y in own) for c in (0, 1)]
+    counts, got_n = toxicity.presence(toxicity.labelled_sample(docs, labels))
+    ratio = toxicity.log_count_ratios(counts, got_n)
+    assert got_n.tolist() == n
+    for s in set().union(*(f for f, _ in own)):
+        seen = [sum(s in f for f, y in own if y == c) for c in (0, 1)]
+        assert counts[:, s].tolist() == seen
+        assert abs(ratio[s] - np.log((seen[1] + 1) / (n[1] + 2) / ((seen[0] + 1) / (n[0] + 2)))) < 1e-12
+    for k, t, y in rows:
+        margin = sum(float(model.value[s]) for s in slots(t)) + model.bias
+        assert abs(model.score(t) - 1 / (1 + np.exp(-margin))) < 1e-6 and (model.score(t) >= 0.5) == ("vile" in t)
+
+
 def test_out_of_place_distance_by_hand():
     profiles = {"x": np.array([1, 2, 3]), "y": np.array([3, 9])}
     r = langid.Ranker(profiles, most=3)
