@@ -1,19 +1,24 @@
-"""Substring dedup: recurring passages are confirmed by window hashes, compiled into Aho-Corasick automata, and located."""
+"""Substring dedup: recurring passages are confirmed in the texts in which they first stand, compiled into sharded Aho-Corasick automata, and located by streaming the documents through them."""
 
 from __future__ import annotations
 
 import hashlib
 
+import ahocorasick
 import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
+from pyspark.sql.types import StructType
 
 from .common import WordHashes, map_arrow, settle, texts_of, window_hashes, words_of
 
-#: Words of a window.
+#: Words of a window; words of passages in one shard; bytes of texts that one task streams through a shard.
 WINDOW = 50
+SHARD_WORDS = 200_000
+UNIT_BYTES = 4 << 20
 _SECOND_BASE = 0xC2B2AE3D27D4EB4F
 _SURROGATES, _POINTS = 0xD800, 0x10F000
 
@@ -65,109 +70,197 @@ def _profile(docs: DataFrame, window: int) -> DataFrame:
 
 
 def _windows(candidates: DataFrame, window: int) -> DataFrame:
-    """Two hashes, doc_id and position of every window whose anchor is among the row's recurring anchors."""
+    """Two hashes, doc_id, text number and position of every window whose anchor is among the row's recurring anchors."""
 
     def run(batch):
-        hashes, out = WordHashes(), [[], [], [], []]
-        for doc, t, anchors in zip(batch.column("doc_id").to_pylist(), texts_of(batch), batch.column("anchors").to_pylist(), strict=True):
+        hashes, out, n = WordHashes(), [[], [], [], []], []
+        for own, t, anchors in zip(batch.column("t").to_pylist(), texts_of(batch), batch.column("anchors").to_pylist(), strict=True):
             h = hashes(words_of(t))
             least = window_anchors(h, window)[1]
             at = np.flatnonzero(np.isin(least, np.array(anchors, np.int64).view(np.uint64)))
             out[0].append(window_hashes(h, window)[at].view(np.int64))
             out[1].append(window_hashes(h, window, _SECOND_BASE)[at].view(np.int64))
-            out[2].append(np.full(len(at), doc, np.int64))
+            out[2].append(np.full(len(at), own, np.int64))
             out[3].append(at.astype(np.int32))
-        return {k: np.concatenate(v) for k, v in zip(("w1", "w2", "doc_id", "pos"), out, strict=True)}
+            n.append(len(at))
+        cols = {k: np.concatenate(v) for k, v in zip(("w1", "w2", "t", "pos"), out, strict=True)}
+        return cols | {"doc_id": batch.column("doc_id").take(pa.array(np.repeat(np.arange(len(n)), n)))}
 
-    return map_arrow(candidates, run, "w1 bigint, w2 bigint, doc_id bigint, pos int")
+    kind = next(f.dataType for f in candidates.schema if f.name == "doc_id").simpleString()
+    return map_arrow(candidates, run, f"w1 bigint, w2 bigint, doc_id {kind}, t bigint, pos int")
 
 
-class PhraseAutomaton:
-    """Aho-Corasick automaton over word sequences: every distinct word of the phrases is one code point."""
+def _passages(firsts: DataFrame, window: int) -> DataFrame:
+    """The passages of each row of firsts (doc_id, t, text, at: positions of recurring windows that first stand there).
 
-    def __init__(self, phrases: dict[tuple, int]):
-        import ahocorasick
+    A passage is a longest run of such windows: its source, its words (joined by a space), and the anchors of its windows.
+    """
+
+    def run(batch):
+        hashes, out, n = WordHashes(), [[], [], []], []
+        for t, at in zip(texts_of(batch), batch.column("at").to_pylist(), strict=True):
+            words, pos = words_of(t), np.unique(np.array(at, np.int64))
+            least = window_anchors(hashes(words), window)[1]
+            cuts = np.concatenate([[0], np.flatnonzero(np.diff(pos) != 1) + 1, [len(pos)]])
+            for a, z in zip(pos[cuts[:-1]], pos[cuts[1:] - 1] + 1, strict=True):
+                out[0].append(b" ".join(words[a : z - 1 + window]).decode("utf-8", "surrogatepass"))
+                out[1].append(z - 1 + window - a)
+                out[2].append(np.unique(least[a:z]).view(np.int64))
+            n.append(len(cuts) - 1)
+        at = pa.array(np.repeat(np.arange(len(n)), n))
+        return {"doc_id": batch.column("doc_id").take(at), "t": batch.column("t").take(at), "text": out[0], "n": out[1], "anchors": pa.array(out[2], pa.list_(pa.int64()))}
 
-        self.points: dict[bytes, str] = {}
-        self.machine = ahocorasick.Automaton()
-        for words, source in phrases.items():
-            self.machine.add_word("".join([self._point(w) for w in words]), (len(words), source))
-        self.machine.make_automaton()
+    kind = next(f.dataType for f in firsts.schema if f.name == "doc_id").simpleString()
+    return map_arrow(firsts, run, f"doc_id {kind}, t bigint, text string, n bigint, anchors array<bigint>")
 
-    def _point(self, word: bytes) -> str:
-        if (known := self.points.get(word)) is None:
-            n = len(self.points) + 1
-            known = self.points[word] = chr(n if n < _SURROGATES else n + 0x800)
-        return known
 
-    def occurrences(self, words: list[bytes]):
-        """(first word, words, source) of every occurrence of every phrase; a phrase inside another counts too."""
-        if not len(self.machine):
-            return
-        get = self.points.get
-        for last, (n, source) in self.machine.iter("".join([get(w, "\0") for w in words])):
-            yield last - n + 1, n, source
+def seed_layout(window: int) -> tuple[int, int]:
+    """Words of a seed, and the distance of seeds in a passage: any window of a passage holds a whole seed."""
+    size = max(1, window // 4)
+    return size, window - size + 1
 
 
-def _locate(marked: DataFrame, window: int) -> DataFrame:
-    """doc_id, key, n_removed, sha256 of the kept words and the removed ranges of rows with recurring windows.
+class PassageShard:
+    """Aho-Corasick automata over seeds of passages; what stands around a found seed is compared word by word.
 
-    Each batch of documents is a shard: its phrases are the maximal runs of its recurring windows, and all its
-    documents are streamed through its automaton. A phrase counts in a document whose id is above the ids in
-    which the phrase's windows first stand. Vocabularies too large for code points are met in several automata.
+    Every distinct word of a seed is one code point. Seeds beyond the number of code points go to further automata.
     """
 
+    def __init__(self, passages: list[tuple], window: int, points: int = _POINTS):
+        self.window, self.sources = window, [source for source, _ in passages]
+        self.size, gap = seed_layout(window)
+        self.numbers: dict[bytes, int] = {}
+        parts = [np.array([self.numbers.setdefault(w, len(self.numbers) + 1) for w in words], np.int64) for _, words in passages]
+        # passages after each other, -1 between them and at both ends
+        self.starts = 1 + np.concatenate([[0], np.cumsum([len(p) + 1 for p in parts])]).astype(np.int64)
+        self.flat = np.full(int(self.starts[-1]), -1, np.int64)
+        seeds: dict[tuple, list[int]] = {}
+        for first, p, (_, words) in zip(self.starts, parts, passages, strict=False):
+            self.flat[first : first + len(p)] = p
+            for k in range(0, len(words) - self.size + 1, gap):
+                seeds.setdefault(tuple(words[k : k + self.size]), []).append(int(first) + k)
+        self.machines = []
+        machine = None
+        for words, places in seeds.items():
+            if machine is None or len(known) + self.size > points:
+                machine, known = ahocorasick.Automaton(), {}
+                self.machines.append((machine, known))
+            for w in words:
+                if w not in known:
+                    k = len(known) + 1
+                    known[w] = chr(k if k < _SURROGATES else k + 0x800)
+            machine.add_word("".join(map(known.__getitem__, words)), places)
+        for machine, _ in self.machines:
+            machine.make_automaton()
+
+    def cover(self, words: list[bytes], own) -> list[tuple[int, int]]:
+        """(first, after last) of the stretches of a document that stand, at least a window long, in a passage of smaller source."""
+        out, numbers, done = [], None, {}
+        for machine, known in self.machines:
+            get = known.get
+            for last, places in machine.iter("".join([get(w, "\0") for w in words])):
+                if numbers is None:
+                    numbers = np.fromiter((self.numbers.get(w, 0) for w in words), np.int64, len(words))
+                at = last - self.size + 1
+                for place in places:
+                    if at < done.get(place - at, 0):  # this alignment was compared beyond here
+                        continue
+                    after = at + _equal(numbers[at:], self.flat[place:])
+                    first = at - _equal(numbers[:at][::-1], self.flat[:place][::-1])
+                    done[place - at] = after
+                    if after - first >= self.window and self.sources[int(np.searchsorted(self.starts, place, side="right")) - 1] < own:
+                        out.append((first, after))
+        return out
+
+
+def _equal(a: np.ndarray, b: np.ndarray) -> int:
+    """How many leading values agree."""
+    n, step, most = 0, 64, min(len(a), len(b))
+    while n < most:
+        other = np.flatnonzero(a[n : min(n + step, most)] != b[n : min(n + step, most)])
+        if len(other):
+            return n + int(other[0])
+        n, step = n + step, step * 2
+    return most
+
+
+def _locate(passages: DataFrame, candidates: DataFrame, window: int, shard_words: int, unit_bytes: int) -> DataFrame:
+    """doc_id, t and spans of the documents in which passages of smaller sources occur.
+
+    Passages are dealt into shards by their source text. A document holds an occurrence only if it has an anchor
+    of the passage (each window holds its anchor), so it is streamed through every shard that has one of its anchors.
+    A shard's documents are parted into units of about unit_bytes, each of which gets the shard's passages first.
+    """
+    shards = max(1, -(-(passages.agg(F.sum("n")).first()[0] or 0) // shard_words))
+    shard = F.pmod(F.xxhash64("t"), F.lit(shards)).cast("int").alias("shard")
+    known = settle(passages.select(F.explode("anchors").alias("anchor"), shard).distinct(), "phrases-passage-anchors")
+    routes = candidates.select("doc_id", "t", F.length("text").alias("size"), F.explode("anchors").alias("anchor")).join(known, "anchor")
+    routes = settle(routes.select("doc_id", "t", "size", "shard").distinct(), "phrases-routes")
+    units = routes.groupBy("shard").agg(F.ceil(F.sum("size") / unit_bytes).cast("int").alias("units"))
+    units = settle(units, "phrases-units")  # a row for each shard
+    first = passages.select(shard, "doc_id", "t", "text").join(units, "shard").withColumn("unit", F.explode(F.sequence(F.lit(0), F.col("units") - 1))).withColumn("side", F.lit(0))
+    texts = candidates.select("doc_id", "t", "text").join(routes.drop("size"), ["doc_id", "t"]).join(units, "shard")
+    texts = texts.withColumn("unit", F.pmod(F.xxhash64(F.lit("unit"), "doc_id", "t"), F.col("units")).cast("int")).withColumn("side", F.lit(1))
+    columns = ["shard", "unit", "side", "doc_id", "t", "text"]
+    both = first.select(*columns).unionByName(texts.select(*columns))
+    n = int(both.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    dealt = both.repartition(n, "shard", "unit").sortWithinPartitions("shard", "unit", "side", "doc_id", "t")
+    kind = next(f.dataType for f in candidates.schema if f.name == "doc_id").simpleString()
+    schema = f"doc_id {kind}, t bigint, spans array<struct<first:int,after:int>>"
+    out = to_arrow_schema(StructType.fromDDL(schema))
+
+    def run(batches):
+        own, held, machine = None, [], None
+        for batch in batches:
+            found = [[], [], []]
+            keys = zip(batch.column("shard").to_pylist(), batch.column("unit").to_pylist(), batch.column("side").to_pylist(), strict=True)
+            for key, doc, t, text in zip(keys, batch.column("doc_id").to_pylist(), batch.column("t").to_pylist(), texts_of(batch), strict=True):
+                if key[:2] != own:
+                    own, held, machine = key[:2], [], None
+                if key[2] == 0:
+                    held.append((doc, words_of(text)))
+                    continue
+                if machine is None:
+                    machine, held = PassageShard(held, window), []
+                if spans := machine.cover(words_of(text), doc):
+                    for c, v in zip(found, (doc, t, [{"first": a, "after": z} for a, z in spans]), strict=True):
+                        c.append(v)
+            yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(found, out, strict=True)], schema=out)
+
+    return dealt.mapInArrow(run, schema)
+
+
+def _cut(found: DataFrame) -> DataFrame:
+    """doc_id, t, n_removed, sha256 of the kept words and merged spans of rows (doc_id, t, text, spans)."""
+
     def run(batch):
-        docs = [words_of(t) for t in texts_of(batch)]
-        ids = batch.column("doc_id").to_pylist()
-        phrases: dict[tuple, int] = {}
-        for words, found in zip(docs, batch.column("found").to_pylist(), strict=True):
-            found = sorted((f["pos"], f["source"]) for f in found)
-            pos, source = np.array([f[0] for f in found]), np.array([f[1] for f in found])
-            cuts = np.concatenate([[0], np.flatnonzero(np.diff(pos) != 1) + 1, [len(pos)]])
-            for a, z in zip(cuts, cuts[1:], strict=False):
-                phrase = tuple(words[pos[a] : pos[z - 1] + window])
-                phrases[phrase] = min(int(source[a:z].max()), phrases.get(phrase, 1 << 62))
-        cover = [np.zeros(len(w) + 1, np.int32) for w in docs]
-        for part in _parts(phrases):
-            machine = PhraseAutomaton(part)
-            for words, own, c in zip(docs, ids, cover, strict=True):
-                for first, n, source in machine.occurrences(words):
-                    if source < own:
-                        c[first] += 1
-                        c[first + n] -= 1
         out = [[], [], []]
-        for words, c in zip(docs, cover, strict=True):
-            gone = np.cumsum(c[:-1]) > 0
+        for t, spans in zip(texts_of(batch), batch.column("spans").to_pylist(), strict=True):
+            words = words_of(t)
+            edge = np.zeros(len(words) + 1, np.int64)
+            np.add.at(edge, [s["first"] for s in spans], 1)
+            np.add.at(edge, [s["after"] for s in spans], -1)
+            gone = np.cumsum(edge[:-1]) > 0
             turns = np.flatnonzero(np.diff(np.concatenate([[0], gone.astype(np.int8), [0]])))
             out[0].append(int(gone.sum()))
             out[1].append(hashlib.sha256(b" ".join([w for w, g in zip(words, gone, strict=True) if not g])).hexdigest())
             out[2].append([{"first": int(a), "after": int(z)} for a, z in zip(turns[::2], turns[1::2], strict=True)])
-        return {"doc_id": batch.column("doc_id"), "key": [xxhash.xxh3_128_digest(b" ".join(w)) for w in docs], "n_removed": out[0], "kept": out[1], "spans": out[2]}
-
-    return map_arrow(marked, run, "doc_id bigint, key binary, n_removed bigint, kept string, spans array<struct<first:int,after:int>>")
-
+        return {"doc_id": batch.column("doc_id"), "t": batch.column("t"), "n_removed": out[0], "kept": out[1], "spans": out[2]}
 
-def _parts(phrases: dict[tuple, int], points: int = _POINTS):
-    part, seen = {}, 0
-    for phrase, source in phrases.items():
-        if part and seen + len(phrase) > points and len({w for p in (*part, phrase) for w in p}) > points:
-            yield part
-            part, seen = {}, 0
-        part[phrase] = source
-        seen += len(phrase)
-    if part:
-        yield part
+    kind = next(f.dataType for f in found.schema if f.name == "doc_id").simpleString()
+    return map_arrow(found, run, f"doc_id {kind}, t bigint, n_removed bigint, kept string, spans array<struct<first:int,after:int>>")
 
 
-def repeated_passages(docs: DataFrame, window: int = WINDOW) -> DataFrame:
+def repeated_passages(docs: DataFrame, window: int = WINDOW, shard_words: int = SHARD_WORDS, unit_bytes: int = UNIT_BYTES) -> DataFrame:
     """doc_id, n_words, n_removed, kept_sha256 and spans (removed word ranges) of every row of docs.
 
     A word goes if a window over it has a word sequence that also starts in a document of smaller doc_id; judged on
     the input. Texts of one word sequence are copies: but for those of the least id they go whole, and only one of
     each is searched. Windows are nominated by the anchors that recur in different texts (winnowing: each window
-    holds its anchor), confirmed by two 64-bit hashes of the whole window, and located by automata. Sums before
-    shuffles and skewed-join splitting keep a passage that many documents share out of any single task.
+    holds its anchor) and by two 64-bit hashes of the whole window. Each recurring window belongs to the document of
+    least id that has it; runs of them there are the passages, which are compiled into automata by shards. Documents
+    are streamed through the automata, and what is removed is found there, by words. Sums before shuffles,
+    skewed-join splitting and units of bounded size keep a passage that many documents share out of any single task.
 
     Texts of under window words, null and empty ones keep all words. Rows of a null doc_id stay as they are and
     precede nothing. Rows of an equal doc_id don't precede each other. No rows give no rows.
@@ -183,18 +276,22 @@ def repeated_passages(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     known = each.join(recurring, "anchor").groupBy("doc_id", "key").agg(F.collect_list("anchor").alias("anchors"))
 
     texts = docs.where(F.col("text").isNotNull()).select("doc_id", "text")
-    candidates = texts.join(known.withColumnRenamed("key", "key_"), "doc_id")
-    candidates = settle(_same_text(candidates), "phrases-candidates")
-    windows = settle(_windows(candidates.select("doc_id", "text", "anchors"), window), "phrases-windows")
-    firsts_of = windows.groupBy("w1", "w2").agg(F.min("doc_id").alias("source"), F.max("doc_id").alias("last")).where("source < last")
-    firsts_of = settle(firsts_of.drop("last"), "phrases-firsts")
-    found = windows.join(firsts_of, ["w1", "w2"]).where("source < doc_id")
-    found = found.groupBy("doc_id").agg(F.collect_set(F.struct("pos", "source")).alias("found"))
-    located = _locate(candidates.select("doc_id", "text").join(found, "doc_id"), window).dropDuplicates(["doc_id", "key"])
+    candidates = _same_text(texts.join(known.withColumnRenamed("key", "key_"), "doc_id"))
+    candidates = settle(candidates.select("doc_id", F.xxhash64("key_").alias("t"), "text", "anchors"), "phrases-candidates")
+    windows = settle(_windows(candidates, window), "phrases-windows")
+    sources = windows.groupBy("w1", "w2").agg(F.min("doc_id").alias("source"), F.max("doc_id").alias("last")).where("source < last")
+    sources = settle(sources.drop("last"), "phrases-firsts")
+    at = windows.join(sources, ["w1", "w2"]).where("source = doc_id").groupBy("w1", "w2", "doc_id", "t").agg(F.min("pos").alias("pos"))
+    at = at.groupBy("doc_id", "t").agg(F.collect_set("pos").alias("at"))
+    passages = settle(_passages(candidates.select("doc_id", "t", "text").join(at, ["doc_id", "t"]), window), "phrases-passages")
+    found = settle(_locate(passages, candidates, window, shard_words, unit_bytes), "phrases-found")
+    found = found.groupBy("doc_id", "t").agg(F.flatten(F.collect_list("spans")).alias("spans"))
+    located = _cut(candidates.select("doc_id", "t", "text").join(found, ["doc_id", "t"])).dropDuplicates(["doc_id", "t"])
 
     out = rows.drop("anchors").join(firsts, "key", "left")
     copies = F.col("first_id").isNotNull() & (F.col("doc_id") > F.col("first_id"))
-    out = out.join(located.withColumnsRenamed({"doc_id": "id_", "key": "key_"}), (F.col("doc_id") == F.col("id_")) & (F.col("key") == F.col("key_")), "left")
+    located = located.withColumnsRenamed({"doc_id": "id_", "t": "t_"})
+    out = out.withColumn("t", F.xxhash64("key")).join(located, (F.col("doc_id") == F.col("id_")) & (F.col("t") == F.col("t_")), "left")
     whole = F.array(F.struct(F.lit(0).alias("first"), F.col("n_words").cast("int").alias("after")))
     return out.select(
         "doc_id",

@@ -52,11 +52,28 @@ def test_equal_windows_share_their_anchor():
         assert window_hashes(h[7:], window)[0] == window_hashes(h, window)[7]
 
 
-def test_automaton_finds_overlaps_and_nested_phrases():
-    a, b = words_of("x y x y x"), words_of("y x")
-    machine = P.PhraseAutomaton({tuple(a): 1, tuple(b): 2})
-    assert sorted(machine.occurrences(words_of("q x y x y x y x"))) == [(1, 5, 1), (2, 2, 2), (3, 5, 1), (4, 2, 2), (6, 2, 2)]
-    assert [len(p) for p in P._parts({("a", "b"): 1, ("c", "d"): 1, ("a", "d"): 2}, points=3)] == [1, 2]
+@pytest.mark.parametrize("points", [1 << 16, 7])
+def test_shards_find_every_window_of_a_passage(points):
+    rng = random.Random(5)
+    for _ in range(60):
+        passages = [(k, [rng.choice([b"a", b"b", b"c"]) for _ in range(rng.randint(9, 40))]) for k in range(3)]
+        shard = P.PassageShard(passages, 9, points)
+        doc = sum([rng.choice([p[rng.randint(0, 5) :] for _, p in passages] + [[b"q"], [b"a", b"b"]]) for _ in range(4)], [])
+        known = {tuple(p[k : k + 9]): None for s, p in passages if s < 2 for k in range(len(p) - 8)}
+        want = {i for k in range(len(doc) - 8) if tuple(doc[k : k + 9]) in known for i in range(k, k + 9)}
+        assert {i for a, z in shard.cover(doc, 2) for i in range(a, z)} == want
+
+
+def test_words_decide_in_shards(spark):
+    text = " ".join(f"w{k}" for k in range(80))
+    docs = spark.createDataFrame([("b", f"x {text} y"), ("a", text), ("c", f"{text[:200]} z")], "doc_id string, text string")
+    removed = lambda: {r["doc_id"]: r["n_removed"] for r in P.repeated_passages(docs).collect()}
+    assert removed() == {"a": 0, "b": 80, "c": len(text[:200].split()) - 1}
+    other = " ".join(f"v{k}" for k in range(80))
+    docs = spark.createDataFrame([(1, text), (2, other), (3, f"{other} {text}")], "doc_id bigint, text string")
+    assert [r["n_removed"] for r in P.repeated_passages(docs, shard_words=60, unit_bytes=100).orderBy("doc_id").collect()] == [0, 0, 160]
+    shard = P.PassageShard([(1, words_of(text))], 50)
+    assert shard.cover(words_of(text.replace("w40 ", "V ")), 2) == [] and shard.cover(words_of(text), 1) == []
 
 
 def test_odd_tables(spark, odd, none):
