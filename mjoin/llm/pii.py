@@ -272,15 +272,15 @@ class ChainField:
         ids[place] = self.numbers([w for words, _ in segments for w in words])
         may = np.concatenate([f for _, f in segments])
         still = self.step[:-1][0, 0]
-        enter = max((self.step[:-1, 1:] - still).max(), (self.step[-1, 1:] - self.step[-1, 0]).max())
+        enter = np.maximum(self.step[:-1, 1:].max(0) - still, self.step[-1, 1:] - self.step[-1, 0])
         leave = max(0.0, float((self.step[1:-1, 0] - still).max()))
-        bound = sum(self.most[ids[place + o], j] for j, o in enumerate(_OFFSETS)) + enter
+        bound = sum(self.most[ids[place + o], j] for j, o in enumerate(_OFFSETS)) + enter.max()
         bound[~may] = -1e4
         near = np.flatnonzero(bound > -leave)
         for lo in range(0, len(near), CELLS):
             some = near[lo : lo + CELLS]
             own = sum(self.table[ids[place[some] + o], j] for j, o in enumerate(_OFFSETS))
-            bound[some] = np.where(may[some], (own[:, 1:] - own[:, :1]).max(1) + enter, -1e4)
+            bound[some] = np.where(may[some], (own[:, 1:] + enter).max(1) - own[:, 0], -1e4)
         ends = np.cumsum(sizes)
         stretches: list[tuple[int, int, int]] = []  # text, first word, after the last
         for k in np.unique(np.searchsorted(ends, np.flatnonzero(bound > -leave), side="right")):
@@ -298,20 +298,21 @@ class ChainField:
 
     def _best(self, stretches, ids, may, start, sizes, out) -> None:
         """Writes the best labels of stretches, the words around which are O, into out."""
-        most = max(z - a for _, a, z in stretches) + 2
-        n = len(LABELS)
+        text, first, after = np.array(stretches).T
+        many, n = after - first, len(LABELS)
+        most = int(many.max()) + 2
         emit = np.zeros((len(stretches), most, n))
         emit[:, :, 1:] = -1e4
-        before = np.zeros(len(stretches), int)
-        for r, (k, a, z) in enumerate(stretches):
-            at = np.arange(start[k] + a, start[k] + z)
-            before[r] = a > 0  # a word before the stretch, which is O
-            own = sum(self.table[ids[at + o], j] for j, o in enumerate(_OFFSETS))
-            own[:, 1:] -= np.where(may[at - 2 - 2 * k], 0, 1e4)[:, None]
-            emit[r, before[r] : before[r] + z - a] = own
+        before = (first > 0).astype(int)  # a word before the stretch, which is O
+        row = np.repeat(np.arange(len(stretches)), many)
+        step = np.arange(len(row)) - np.repeat(np.cumsum(many) - many, many)
+        at = (start[text] + first)[row] + step
+        own = sum(self.table[ids[at + o], j] for j, o in enumerate(_OFFSETS))
+        own[:, 1:] -= np.where(may[at - 2 - 2 * text[row]], 0, 1e4)[:, None]
+        emit[row, before[row] + step] = own
         back = np.zeros((len(stretches), most, n), np.int8)
         best = emit[:, 0] + self.step[-1]
-        length = np.array([b + z - a + (z < sizes[k]) for b, (k, a, z) in zip(before, stretches, strict=True)])
+        length = before + many + (after < sizes[text])
         ends = np.zeros((len(stretches), n))
         ends[length == 1] = best[length == 1]
         for t in range(1, most):
@@ -330,14 +331,21 @@ class ChainField:
 
 
 def _stretches(bound: np.ndarray, leave: float) -> list[tuple[int, int]]:
-    """(first, after last) of the stretches of a text that may hold spans: its live words, and as many others around them as a span could cross."""
+    """(first, after last) of the stretches of a text that may hold spans: its live words, and as many others around them as a span could cross.
+
+    A span over some words gains at most the sum of their bounds and leave. So it ends where the greatest sum up to a live
+    word and the loss since are used up, begins likewise, and crosses from one live word to the next only if the greatest
+    sum up to the one, the loss between them and the greatest sum from the other on come to more than nothing.
+    """
     live = np.flatnonzero(bound > -leave)
-    reach = np.maximum(bound, 0).sum() + leave
-    lost = np.concatenate([[0], np.cumsum(np.minimum(bound, 0))])
-    # all words up to the one at which the loss since the live word exceeds the reach
-    after = np.searchsorted(-lost, -lost[live + 1] + reach, side="left")
-    first = np.searchsorted(-lost, -lost[live] - reach, side="right") - 1
-    first, after = np.maximum(first, 0), np.minimum(after, len(bound))
+    total, lost = (np.concatenate([[0], np.cumsum(x)]) for x in (bound, np.minimum(bound, 0)))
+    upto = total[live + 1] - np.minimum.accumulate(total)[live] + leave
+    onward = np.maximum.accumulate(total[::-1])[::-1][live + 1] - total[live] + leave
+    after = np.searchsorted(-lost, -lost[live + 1] + upto, side="left")
+    first = np.searchsorted(-lost, -lost[live] - onward, side="right") - 1
+    crossed = upto[:-1] + lost[live[1:]] - lost[live[:-1] + 1] + onward[1:] - leave > 0
+    after[:-1] = np.maximum(after[:-1], np.where(crossed, live[1:] + 1, 0))
+    first, after = np.minimum.accumulate(np.maximum(first, 0)[::-1])[::-1], np.maximum.accumulate(np.minimum(after, len(bound)))
     new = np.flatnonzero(np.concatenate([[True], first[1:] > after[:-1]]))
     return list(zip(first[new].tolist(), after[[*(new[1:] - 1), len(live) - 1]].tolist(), strict=True))
 
