@@ -10,12 +10,16 @@ from pyspark.sql import functions as F
 
 from .common import WordHashes, map_arrow, mix64, settle, texts_of, window_hashes, words_of
 
-#: Words of a shingle, least similarity, tries of the forest, longest prefix, and the recall at which prefixes stop shrinking.
+#: Words of a shingle, least similarity, tries of the forest, longest prefix, the recall that each pair is sure of, and the
+#: number of lost links (as expected from those found) at which prefixes stop shrinking.
 SHINGLE = 5
 THRESHOLD = 0.8
 TREES = 24
 LONGEST_PREFIX = 12
 RECALL = 0.9999
+LOST = 0.5
+#: Classes of similarity between the threshold and 1 in which found links are counted.
+GRADES = 40
 #: Members of one block of a crowded node; increments of one counting step.
 BLOCK = 512
 _STEP = 1 << 22
@@ -27,48 +31,58 @@ def shingles(words: list[bytes], hashes: WordHashes, size: int = SHINGLE) -> np.
     return np.unique(window_hashes(h, min(size, len(h)))) if len(h) else np.empty(0, np.uint64)
 
 
+def meeting_chance(similarity, depth: int, trees: int = TREES):
+    """Probability that two sets share a prefix of depth values in one of the tries."""
+    return 1 - (1 - similarity**depth) ** trees
+
+
 def prefix_length(threshold: float = THRESHOLD, trees: int = TREES, recall: float = RECALL, longest: int = LONGEST_PREFIX) -> int:
-    """The longest prefix at which pairs of the least similarity still meet in some trie with the target recall.
+    """Values of a signature in each trie: the longest prefix at which pairs of the least similarity still meet with the recall."""
+    return next((d for d in range(longest, 1, -1) if meeting_chance(threshold, d, trees) >= recall), 1)
 
-    Starts from the longest and shortens: a pair of similarity s shares a prefix of d values in one of the tries
-    with probability 1 - (1 - s^d)^trees, which is least at the threshold.
-    """
-    for depth in range(longest, 0, -1):
-        if 1 - (1 - threshold**depth) ** trees >= recall:
-            return depth
-    return 1
+
+def expected_lost(grades: np.ndarray, depth: int, threshold: float = THRESHOLD, trees: int = TREES) -> float:
+    """Links that never met, as expected from the links found by grade of similarity: each found one stands for 1 / its chance."""
+    least = threshold + (1 - threshold) * np.arange(len(grades)) / len(grades)
+    return float((grades * (1 / meeting_chance(least, depth, trees) - 1)).sum())
 
 
 def _factors(count: int) -> tuple[np.ndarray, np.ndarray]:
     rng = np.random.default_rng(20240)
-    return rng.integers(1, 1 << 63, count, dtype=np.uint64) | np.uint64(1), rng.integers(0, 1 << 63, count, dtype=np.uint64)
+    return rng.integers(1, 1 << 32, count, dtype=np.uint32) | np.uint32(1), rng.integers(0, 1 << 32, count, dtype=np.uint32)
 
 
-def prefix_keys(s: np.ndarray, depth: int, trees: int = TREES) -> np.ndarray:
-    """For every trie one 64-bit key of the first depth values of the document's signature in it."""
+def signature(s: np.ndarray, depth: int, trees: int = TREES) -> np.ndarray:
+    """MinHash values of a set, (trees, depth): the path of the set in each trie."""
     a, b = _factors(depth * trees)
-    low = np.empty(depth * trees, np.uint64)
-    for k in range(depth * trees):
-        low[k] = (s * a[k] + b[k]).min()
-    key = np.arange(1, trees + 1, dtype=np.uint64)
-    for level in mix64(low.reshape(depth, trees)):
-        key = mix64(key * np.uint64(0x9E3779B97F4A7C15) + level)
+    x, low = (s >> np.uint64(32)).astype(np.uint32), np.full(depth * trees, 0xFFFFFFFF, np.uint32)
+    for lo in range(0, len(x), 256):  # blocks that stay in the cache
+        np.minimum(low, (x[lo : lo + 256, None] * a + b).min(0), out=low)
+    return low.reshape(trees, depth)
+
+
+def prefix_keys(paths: np.ndarray, depth: int) -> np.ndarray:
+    """(sets, trees): one 64-bit key of the first depth values of each path in paths (sets, trees, values)."""
+    key = np.broadcast_to(np.arange(1, paths.shape[1] + 1, dtype=np.uint64), paths.shape[:2])
+    for level in range(depth):
+        key = mix64(key * np.uint64(0x9E3779B97F4A7C15) + paths[:, :, level])
     return key
 
 
 def _profile(docs: DataFrame, depth: int, trees: int, size: int) -> DataFrame:
+    """doc_id, set_key, n_shingles and paths (big-endian, trie by trie, so that bytes sort as values do) of every row."""
     kind = next(f.dataType for f in docs.schema if f.name == "doc_id").simpleString()
 
     def run(batch):
-        hashes, key, n, keys = WordHashes(), [], [], []
+        hashes, key, n, paths = WordHashes(), [], [], []
         for t in texts_of(batch):
             s = shingles(words_of(t), hashes, size)
             n.append(len(s))
             key.append(xxhash.xxh3_128_digest(s.tobytes()))
-            keys.append(prefix_keys(s, depth, trees).view(np.int64) if len(s) else None)
-        return {"doc_id": batch.column("doc_id"), "set_key": key, "n_shingles": n, "keys": keys}
+            paths.append(signature(s, depth, trees).astype(">u4").tobytes() if len(s) else None)
+        return {"doc_id": batch.column("doc_id"), "set_key": key, "n_shingles": n, "paths": paths}
 
-    return map_arrow(docs.select("doc_id", "text"), run, f"doc_id {kind}, set_key binary, n_shingles int, keys array<bigint>")
+    return map_arrow(docs.select("doc_id", "text"), run, f"doc_id {kind}, set_key binary, n_shingles int, paths binary")
 
 
 def _common(a: list[np.ndarray], b: list[np.ndarray]):
@@ -95,36 +109,49 @@ def _common(a: list[np.ndarray], b: list[np.ndarray]):
         lo, work = hi + 1, 0
 
 
-def verified_links(members: list[dict], others: list[dict] | None, tree: int, threshold: float):
-    """Rows (of members, of others) that are alike enough and meet in no earlier trie; each unordered pair once."""
+def verified_links(members: list[dict], others: list[dict] | None, tree: int, depth: int, threshold: float):
+    """Rows (of members, of others) and similarity of the pairs that are alike enough and first meet here; each unordered pair once.
+
+    A pair meets first at its longest common prefix, and there in the first of the tries that have it.
+    """
     right = members if others is None else others
-    keys_a, keys_b = (np.array([m["keys"] for m in x], np.int64) for x in (members, right))
+    paths_a, paths_b = (np.stack([m["paths"] for m in x]) for x in (members, right))
+    here_a, here_b = prefix_keys(paths_a, depth)[:, :tree], prefix_keys(paths_b, depth)[:, :tree]
+    longer = depth < paths_a.shape[2]
+    deep_a, deep_b = (prefix_keys(x, depth + 1) for x in (paths_a, paths_b)) if longer else (None, None)
     size_a, size_b = (np.array([len(m["set"]) for m in x]) for x in (members, right))
     out = []
     for i, j, shared in _common([m["set"] for m in members], [m["set"] for m in right]):
-        # shared / (a + b - shared) >= threshold, without rounding at the bound
-        good = shared >= threshold * (size_a[i] + size_b[j] - shared) - 1e-9
+        every = size_a[i] + size_b[j] - shared
+        # shared / every >= threshold, without rounding at the bound
+        good = shared >= threshold * every - 1e-9
         if others is None:
             good &= i < j
-        i, j = i[good], j[good]
-        fresh = ~(keys_a[i, :tree] == keys_b[j, :tree]).any(1)
-        out.append(np.stack([i[fresh], j[fresh]]))
-    return np.concatenate(out, axis=1) if out else np.empty((2, 0), np.int64)
+        i, j, alike = i[good], j[good], shared[good] / every[good]
+        for lo in range(0, len(i), 1 << 16):
+            a, b = i[lo : lo + (1 << 16)], j[lo : lo + (1 << 16)]
+            known = (here_a[a] == here_b[b]).any(1)
+            if longer:
+                known |= (deep_a[a] == deep_b[b]).any(1)
+            out.append(np.stack([a, b, alike[lo : lo + (1 << 16)]])[:, ~known])
+    i, j, alike = np.concatenate(out, axis=1) if out else np.empty((3, 0))
+    return i.astype(np.int64), j.astype(np.int64), alike
 
 
-def _block_pairs(rows: DataFrame, threshold: float, size: int) -> DataFrame:
-    """Rows (node, part, side, tree, set_key, copies, keys, text) of one block pair to links by set, and a spanning forest."""
-    schema = pa.schema([("set_key", pa.binary()), ("other", pa.binary()), ("text_links", pa.int64()), ("links", pa.int64())])
+def _block_pairs(rows: DataFrame, threshold: float, size: int, depth: int, longest: int) -> DataFrame:
+    """Rows (node, part, side, tree, set_key, copies, paths, text) of one block pair to links by set, a spanning forest, and (without a set) numbers of links by grade."""
+    schema = pa.schema([("set_key", pa.binary()), ("other", pa.binary()), ("text_links", pa.int64()), ("links", pa.int64()), ("grades", pa.list_(pa.int64()))])
 
     def run(table: pa.Table) -> pa.Table:
         hashes, sides = WordHashes(), ([], [])
         for r in table.to_pylist():
-            sides[r["side"]].append({"id": r["set_key"], "copies": r["copies"], "keys": r["keys"], "set": shingles(words_of(r["text"]), hashes, size)})
+            paths = np.frombuffer(r["paths"], ">u4").astype(np.uint64).reshape(-1, longest)
+            sides[r["side"]].append({"id": r["set_key"], "copies": r["copies"], "paths": paths, "set": shingles(words_of(r["text"]), hashes, size)})
         tree = table.column("tree")[0].as_py()
         left, right = (sorted(s, key=lambda m: m["id"]) for s in sides)
         if not left:  # a block whose partner has no members
             return schema.empty_table()
-        i, j = verified_links(left, right or None, tree, threshold)
+        i, j, alike = verified_links(left, right or None, tree, depth, threshold)
         right = right or left
         n_a, n_b = np.array([m["copies"] for m in left]), np.array([m["copies"] for m in right])
         names = sorted({m["id"] for m in (*left, *right)})
@@ -144,9 +171,14 @@ def _block_pairs(rows: DataFrame, threshold: float, size: int) -> DataFrame:
                 break
             root = least
         some = np.flatnonzero(texts)
-        return pa.Table.from_arrays([pa.array([names[k] for k in some], pa.binary()), pa.array([names[root[k]] for k in some], pa.binary()), pa.array(texts[some]), pa.array(links[some])], schema=schema)
+        if not len(some):
+            return schema.empty_table()
+        grade = np.minimum(((alike - threshold) / max(1 - threshold, 1e-9) * GRADES + 1e-6).astype(int), GRADES - 1)
+        grades = [None] * len(some) + [np.bincount(np.maximum(grade, 0), minlength=GRADES).tolist()]
+        name = lambda ks: pa.array([*(names[k] for k in ks), None], pa.binary())
+        return pa.Table.from_arrays([name(some), name(root[some]), pa.array([*texts[some], 0]), pa.array([*links[some], 0]), pa.array(grades, pa.list_(pa.int64()))], schema=schema)
 
-    return rows.groupBy("node", "part").applyInArrow(run, "set_key binary, other binary, text_links bigint, links bigint")
+    return rows.groupBy("node", "part").applyInArrow(run, "set_key binary, other binary, text_links bigint, links bigint, grades array<bigint>")
 
 
 def components(edges: DataFrame, label: str = "components") -> DataFrame:
@@ -168,57 +200,96 @@ def components(edges: DataFrame, label: str = "components") -> DataFrame:
             return state.select("id", "root")
 
 
-def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, size: int = SHINGLE, trees: int = TREES, recall: float = RECALL, block: int = BLOCK) -> DataFrame:
-    """doc_id, class_id, rep_id, n_text_links and n_links of every row of docs.
+def plant_forest(keyed: DataFrame, depth: int, trees: int) -> DataFrame:
+    """The tries as one table (tree, path, set_key), sorted by trie and path: sets of one prefix stand side by side."""
+    width = 4 * depth
+    path = F.transform(F.sequence(F.lit(0), F.lit(trees - 1)), lambda t: F.substring("paths", t * width + 1, F.lit(width)))
+    forest = keyed.select("set_key", F.posexplode(path).alias("tree", "path"))
+    return settle(forest.repartitionByRange("tree", "path").sortWithinPartitions("tree", "path"), "ngram-forest")
 
-    class_id is the least id linked by any chain of pairs of similarity threshold or more (Jaccard, on sets of size
-    words), rep_id the least id of the rows of an equal shingle set, n_text_links the number of different sets
-    linked to the row's own, n_links the number of other rows linked to the row, equal sets included.
 
-    Rows of one shingle set meet in a grouped count, not in pairs; one row stands for them. Each trie is a sorted
-    map from prefixes to rows, and rows of a prefix shared by different sets are its node. Nodes of equal member sets are
-    worked once, a pair in the first trie in which it meets. Nodes beyond block members are cut into blocks, every
-    two of which are a task of bounded size; tasks return counts and spanning edges, never pairs. What the tries
-    nominate, whole shingle sets decide. Nothing is capped or sampled.
+def _crowds(forest: DataFrame, depth: int, block: int) -> tuple[DataFrame, DataFrame]:
+    """Nodes of a level of the tries with several sets (n and two sums that name their members), and their members in block pairs."""
+    member = forest.select("tree", F.substring("path", 1, 4 * depth).alias("prefix"), "set_key")
+    print_of = F.xxhash64("set_key")
+    nodes = member.groupBy("tree", "prefix").agg(F.count("*").alias("n"), F.sum(print_of % 1_000_000_007).alias("p"), F.bit_xor(print_of).alias("q")).where("n > 1")
+    # of nodes with equal members only that of the first trie
+    return member, settle(nodes.groupBy("n", "p", "q").agg(F.min(F.struct("tree", "prefix")).alias("x")).select("n", "p", "q", "x.tree", "x.prefix"), "ngram-nodes")
 
-    Rows whose text is null, empty or white space have no shingles and no links; their class is their own id, even
-    where several rows share it. Rows of a null id are their own, with null ids and no links. An empty table
-    gives an empty result.
-    """
+
+def _paired(member: DataFrame, nodes: DataFrame, block: int) -> DataFrame:
+    """node, tree, set_key, part and side of the members of nodes; a block meets itself and every other block once."""
+    blocks = F.greatest(F.lit(1), F.ceil(F.col("n") / block)).cast("int")
+    chosen = member.join(nodes.select("tree", "prefix", blocks.alias("blocks")), ["tree", "prefix"])
+    chosen = chosen.withColumn("own", F.pmod(F.xxhash64(F.lit("block"), "set_key"), F.col("blocks")).cast("int"))
+    # part = (smaller, larger) block, side 1 is the larger
+    part = lambda o: F.struct((F.least(o, F.col("own")) * F.col("blocks") + F.greatest(o, F.col("own"))).alias("part"), (o < F.col("own")).cast("int").alias("side"))
+    pairs = F.explode(F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), part))
+    return settle(chosen.select(F.xxhash64("tree", "prefix").alias("node"), "tree", "set_key", pairs.alias("x")).select("node", "tree", "set_key", "x.part", "x.side"), "ngram-members")
+
+
+def _links(docs: DataFrame, keyed: DataFrame, depth: int, trees: int, threshold: float, size: int, block: int, lost: float) -> DataFrame:
+    """Links by set, spanning edges and grades, from prefixes that shrink until so few links are expected to be lost."""
+    forest, done, found, grades = plant_forest(keyed, depth, trees), None, None, np.zeros(GRADES)
+    for level in range(depth, 0, -1):
+        member, nodes = _crowds(forest, level, block)
+        # what a longer prefix has brought together already is not worked again
+        fresh = nodes if done is None else nodes.join(done, ["n", "p", "q"], "left_anti")
+        chosen = _paired(member, fresh, block)
+        reps = settle(_texts_of_sets(docs, keyed.join(chosen.select("set_key").distinct(), "set_key"), size), "ngram-texts")
+        work = chosen.join(reps, "set_key").select("node", "part", "side", "tree", "set_key", "copies", "paths", "text")
+        now = settle(_block_pairs(work, threshold, size, level, depth), "ngram-links")
+        for r in now.select(F.posexplode("grades").alias("grade", "n")).groupBy("grade").agg(F.sum("n").alias("n")).collect():  # GRADES rows
+            grades[r["grade"]] += r["n"]
+        found = now if found is None else found.unionByName(now)
+        if expected_lost(grades, level, threshold, trees) <= lost:
+            break
+        done = nodes.select("n", "p", "q") if done is None else done.unionByName(nodes.select("n", "p", "q"))
+    return found.where("set_key is not null").drop("grades")
+
+
+def _labelled(docs: DataFrame, threshold: float, size: int, trees: int, recall: float, block: int, lost: float) -> DataFrame:
+    """What near_duplicates gives, with set_key and the least set of the class, which is null for rows without shingles or id."""
     depth = prefix_length(threshold, trees, recall)
     rows = settle(_profile(docs, depth, trees, size), "ngram-profile")
     has_sets = F.col("doc_id").isNotNull() & (F.col("n_shingles") > 0)
     real = rows.where(has_sets)
     sets = settle(real.groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies")), "ngram-sets")
-    keyed = sets.join(real.select("set_key", F.col("doc_id").alias("rep"), "keys"), ["set_key", "rep"]).dropDuplicates(["set_key", "rep"])
+    keyed = sets.join(real.select("set_key", F.col("doc_id").alias("rep"), "paths"), ["set_key", "rep"]).dropDuplicates(["set_key", "rep"])
     keyed = settle(keyed, "ngram-keys")
-
-    member = keyed.select("set_key", F.posexplode("keys").alias("tree", "key"))
-    print_of = F.xxhash64("set_key")
-    nodes = member.groupBy("tree", "key").agg(F.count("*").alias("n"), F.sum(print_of % 1_000_000_007).alias("p"), F.bit_xor(print_of).alias("q")).where("n > 1")
-    # of nodes with equal members only that of the first trie
-    first = nodes.groupBy("n", "p", "q").agg(F.min(F.struct("tree", "key")).alias("x")).select("n", "x.tree", "x.key")
-    blocks = F.greatest(F.lit(1), F.ceil(F.col("n") / block)).cast("int")
-    chosen = member.join(first.withColumn("blocks", blocks), ["tree", "key"])
-    chosen = chosen.withColumn("own", F.pmod(F.xxhash64(F.lit("block"), "set_key"), F.col("blocks")).cast("int"))
-    # A block meets itself and every other block once: part = (smaller, larger), side 1 is the larger.
-    part = lambda o: F.struct((F.least(o, F.col("own")) * F.col("blocks") + F.greatest(o, F.col("own"))).alias("part"), (o < F.col("own")).cast("int").alias("side"))
-    pairs = F.explode(F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), part))
-    chosen = settle(chosen.select(F.xxhash64("tree", "key").alias("node"), "tree", "set_key", pairs.alias("x")).select("node", "tree", "set_key", "x.part", "x.side"), "ngram-nodes")
-
-    reps = settle(_texts_of_sets(docs, keyed.join(chosen.select("set_key").distinct(), "set_key"), size), "ngram-texts")
-    work = chosen.join(reps, "set_key").select("node", "part", "side", "tree", "set_key", "copies", "keys", "text")
-    found = settle(_block_pairs(work, threshold, size), "ngram-links")
+    found = _links(docs, keyed, depth, trees, threshold, size, block, lost)
     links = found.groupBy("set_key").agg(F.sum("text_links").alias("text_links"), F.sum("links").alias("links"))
     roots = components(found.select(F.col("set_key").alias("id"), "other")).withColumnRenamed("id", "set_key")
     roots = roots.join(sets.select("set_key", "rep"), "set_key")
-    classes = roots.join(settle(roots.groupBy("root").agg(F.min("rep").alias("class_id")), "ngram-classes"), "root").select("set_key", "class_id")
+    classes = roots.join(settle(roots.groupBy("root").agg(F.min("rep").alias("class_id")), "ngram-classes"), "root").select("set_key", "class_id", "root")
 
     by_set = sets.join(links, "set_key", "left").join(classes, "set_key", "left")
-    by_set = settle(by_set.select("set_key", F.col("rep").alias("rep_id"), F.coalesce("class_id", "rep").alias("class_id"), F.coalesce("text_links", F.lit(0)).alias("n_text_links"), (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links")), "ngram-by-set")
-    linked = real.select("doc_id", "set_key").join(by_set, "set_key").select("doc_id", "class_id", "rep_id", "n_text_links", "n_links")
-    alone = rows.where(~has_sets)
-    return linked.unionByName(alone.select("doc_id", F.col("doc_id").alias("class_id"), F.col("doc_id").alias("rep_id"), F.lit(0).cast("long").alias("n_text_links"), F.lit(0).cast("long").alias("n_links")))
+    by_set = settle(by_set.select("set_key", F.coalesce("root", "set_key").alias("root"), F.col("rep").alias("rep_id"), F.coalesce("class_id", "rep").alias("class_id"), F.coalesce("text_links", F.lit(0)).alias("n_text_links"), (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links")), "ngram-by-set")
+    names = ["doc_id", "class_id", "rep_id", "n_text_links", "n_links", "set_key", "root"]
+    none = F.lit(0).cast("long")
+    alone = rows.where(~has_sets).select("doc_id", F.col("doc_id").alias("class_id"), F.col("doc_id").alias("rep_id"), none.alias("n_text_links"), none.alias("n_links"), "set_key", F.lit(None).cast("binary").alias("root"))
+    return real.select("doc_id", "set_key").join(by_set, "set_key").select(*names).unionByName(alone)
+
+
+def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, size: int = SHINGLE, trees: int = TREES, recall: float = RECALL, block: int = BLOCK, lost: float = LOST) -> DataFrame:
+    """doc_id, class_id, rep_id, n_text_links and n_links of every row of docs.
+
+    class_id is the least id linked by any chain of pairs of similarity threshold or more (Jaccard, on sets of size
+    words), rep_id the least id of the rows of an equal shingle set, n_text_links the number of different sets
+    linked to the row's own, n_links the number of other rows linked to the row, equal sets included.
+
+    Rows of one shingle set meet in a grouped count, not in pairs; one row stands for them. Each trie of the forest is
+    a sorted table of MinHash paths. Sets meet at the longest prefix at which pairs of the threshold meet with the
+    recall; prefixes then shrink value by value until the links found, each weighed by its chance to meet, let expect no
+    more than lost links missing among all. Nodes of equal member sets are worked once, a pair where it first meets.
+    Nodes beyond block members are cut into blocks, every two of which are a task of bounded size; tasks return counts
+    and spanning edges, never pairs. What the tries nominate, whole shingle sets decide. Nothing is capped or sampled.
+
+    Rows whose text is null, empty or white space have no shingles and no links; their class is their own id, even
+    where several rows share it. Rows of a null id are their own, with null ids and no links. An empty table
+    gives an empty result.
+    """
+    return _labelled(docs, threshold, size, trees, recall, block, lost).select("doc_id", "class_id", "rep_id", "n_text_links", "n_links")
 
 
 def _texts_of_sets(docs: DataFrame, keyed: DataFrame, size: int) -> DataFrame:
@@ -234,16 +305,31 @@ def _texts_of_sets(docs: DataFrame, keyed: DataFrame, size: int) -> DataFrame:
     return both.mapInArrow(run, both.schema).dropDuplicates(["set_key"]).drop("rep")
 
 
-def one_of_each(docs: DataFrame, **options) -> DataFrame:
-    """The rows of docs that stay when one row of each class stays: that of the class's own id, and of equal ids one.
+def one_of_each(docs: DataFrame, threshold: float = THRESHOLD, size: int = SHINGLE, trees: int = TREES, recall: float = RECALL, block: int = BLOCK, lost: float = LOST) -> DataFrame:
+    """The rows of docs that stay when one row of each class stays: one of the class's own id, and of equal texts one.
 
-    Rows without shingles or without an id all stay, with all their columns.
+    Rows without shingles or without an id all stay, with all their columns. Rows that share an id but not the text
+    are told apart by their shingle sets.
     """
-    kept = near_duplicates(docs, **options).where("doc_id = class_id").groupBy(F.col("doc_id").alias("kept_id_")).agg(F.count("*").alias("kept_n_"))
-    out = docs.join(kept, docs["doc_id"] == F.col("kept_id_"), "left").where(F.col("kept_id_").isNotNull() | docs["doc_id"].isNull())
-    if not kept.where("kept_n_ > 1").limit(1).count():
-        return out.select(*[docs[c] for c in docs.columns])
-    once = out.where("coalesce(kept_n_, 1) = 1").select(*[docs[c] for c in docs.columns])
-    again = out.where("kept_n_ > 1").select(*[docs[c] for c in docs.columns])
+    rows = settle(_labelled(docs, threshold, size, trees, recall, block, lost), "ngram-labelled")
+    own = rows.where("doc_id = class_id and root is not null").groupBy("root").agg(F.min(F.struct("doc_id", "set_key")).alias("x"))
+    stays = settle(own.select("x.doc_id", "x.set_key").withColumnsRenamed({"doc_id": "kept_id_", "set_key": "kept_key_"}), "ngram-stays")
+    by_id = rows.where("doc_id is not null").groupBy(F.col("doc_id").alias("id_")).agg(F.count("*").alias("n_"), F.max(F.col("root").isNull()).alias("blank_"))
+    once = by_id.join(stays.select("kept_id_").distinct(), F.col("id_") == F.col("kept_id_"), "left")
+    once = once.where("n_ > 1 or blank_ or kept_id_ is not null").select("id_", "n_")
+    near = docs.join(once, docs["doc_id"] == F.col("id_"), "left").where(F.col("n_").isNotNull() | docs["doc_id"].isNull())
+    names = [docs[c] for c in docs.columns]
+    if not rows.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").limit(1).count():
+        return near.select(*names)
     blank = F.col("text").isNull() | ~F.col("text").rlike(r"[^\x20\x09-\x0D]")
-    return once.unionByName(again.where(blank)).unionByName(again.where(~blank).dropDuplicates(["doc_id"]))
+    sure = (F.coalesce("n_", F.lit(1)) == 1) | blank
+    again = near.where(~sure).select(F.struct(*names).alias("row_"), F.col("doc_id").alias("again_id_"), F.col("text").alias("again_text_"))
+    key = F.pandas_udf(lambda texts: _set_keys(texts, size), "binary")
+    again = again.withColumn("again_key_", key("again_text_")).join(stays, (F.col("again_id_") == F.col("kept_id_")) & (F.col("again_key_") == F.col("kept_key_")))
+    again = again.dropDuplicates(["again_id_", "again_key_"]).select("row_.*")
+    return near.where(sure).select(*names).unionByName(again)
+
+
+def _set_keys(texts, size: int):
+    hashes = WordHashes()
+    return texts.map(lambda t: xxhash.xxh3_128_digest(shingles(words_of(t), hashes, size).tobytes()))

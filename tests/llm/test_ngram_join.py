@@ -7,6 +7,7 @@ import numpy as np
 import pytest
 from mjoin.llm import ngram_join as J
 from mjoin.llm.common import WordHashes, load, words_of
+from pyspark.sql import functions as F
 
 
 def brute(docs, threshold=0.8, size=5):
@@ -70,16 +71,37 @@ def test_whole_small_corpus(spark, sf):
     assert rows_of(J.near_duplicates(docs)) == brute([(r["doc_id"], r["text"]) for r in docs.collect()])
 
 
-def test_prefix_shortens_to_the_recall():
+def test_prefixes_shrink_by_what_is_found(spark, monkeypatch):
     depth = J.prefix_length(0.8, 24, 0.9999)
-    assert 1 - (1 - 0.8**depth) ** 24 >= 0.9999 > 1 - (1 - 0.8 ** (depth + 1)) ** 24
+    assert J.meeting_chance(0.8, depth) >= 0.9999 > J.meeting_chance(0.8, depth + 1)
+    # many links at the threshold let expect losses, the same number of closer ones doesn't
+    close, far = np.zeros(J.GRADES), np.zeros(J.GRADES)
+    far[0], close[-1] = 20_000, 20_000
+    assert J.expected_lost(far, depth) > J.LOST > J.expected_lost(far, depth - 1) and J.expected_lost(close, depth) < 1e-6
     rng = random.Random(2)
     base = [str(rng.random()) for _ in range(400)]
-    met = 0
-    for _ in range(200):
-        a, b = (J.prefix_keys(J.shingles(words_of(" ".join(edited(rng, base, 0.012))), WordHashes()), depth) for _ in range(2))
-        met += bool((a == b).any())
-    assert met >= 198
+    paths = np.stack([J.signature(J.shingles(words_of(" ".join(edited(rng, base, 0.012))), WordHashes()), depth) for _ in range(400)]).astype(np.uint64)
+    keys = J.prefix_keys(paths, depth)
+    assert (keys[::2] == keys[1::2]).any(1).sum() >= 198
+    # few tries of long prefixes miss links; shrinking finds them again
+    docs = spark.createDataFrame([(k, " ".join(edited(rng, base[:60], 0.02))) for k in range(80)], "doc_id bigint, text string")
+    want = brute([(r["doc_id"], r["text"]) for r in docs.collect()])
+    levels = []
+    crowds = J._crowds
+    monkeypatch.setattr(J, "_crowds", lambda forest, level, block: levels.append(level) or crowds(forest, level, block))
+    assert rows_of(J.near_duplicates(docs, trees=6, recall=0.3, lost=1e9)) != want
+    assert len(levels) == 1
+    assert rows_of(J.near_duplicates(docs, trees=6, recall=0.3, lost=0.01)) == want
+    assert levels[1:] == list(range(levels[0], levels[-1] - 1, -1)) and len(levels) > 2
+
+
+def test_the_forest_is_sorted_by_trie_and_path(spark):
+    docs = spark.createDataFrame([(k, f"a{k % 7} b c d e f{k}") for k in range(40)], "doc_id bigint, text string")
+    rows = J._profile(docs, 3, 4, 5).withColumn("rep", F.col("doc_id")).withColumn("copies", F.lit(1))
+    forest = J.plant_forest(rows, 3, 4).collect()
+    assert len(forest) == 160 and {len(r["path"]) for r in forest} == {12}
+    own = {r["set_key"]: np.frombuffer(r["paths"], ">u4").reshape(4, 3) for r in rows.collect()}
+    assert all(bytes(r["path"]) == own[r["set_key"]][r["tree"]].tobytes() for r in forest)
 
 
 def test_components_of_a_long_chain(spark):
@@ -106,4 +128,8 @@ def test_one_of_each(spark, sf, odd, none):
     assert sorted(str(r["doc_id"]) for r in kept.collect()) == sorted(want)
     assert sorted(str(r["doc_id"]) for r in J.one_of_each(odd).collect()) == ["1", "2", "3", "4", "5", "6", "None"]
     assert J.one_of_each(odd).columns == odd.columns
+    text = "one two three four five six seven"
+    rows = [(5, text), (3, text), (5, "quite another text with words of its own"), (7, "short"), (7, "long"), (7, "long"), (8, None), (8, " ")]
+    kept = J.one_of_each(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()
+    assert sorted(map(str, map(tuple, kept))) == sorted(map(str, [rows[1], rows[2], *rows[3:5], *rows[6:]]))
     assert J.near_duplicates(none).count() == J.one_of_each(none).count() == 0
