@@ -17,8 +17,8 @@ from .common import WordHashes, map_arrow, settle, texts_of, window_hashes, word
 
 #: Words of a window; words of passages in one shard; bytes of texts that one task streams through a shard.
 WINDOW = 50
-SHARD_WORDS = 200_000
-UNIT_BYTES = 4 << 20
+SHARD_WORDS = 2_000_000
+UNIT_BYTES = 24 << 20
 _SECOND_BASE = 0xC2B2AE3D27D4EB4F
 _SURROGATES, _POINTS = 0xD800, 0x10F000
 
