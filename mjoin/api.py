@@ -4,9 +4,10 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from .exec.merge import count_by, hydrate
+from .exec.grouped import grouped_counts
+from .exec.merge import count_by, hydrate, per_id
 from .exec.runner import Run, run_plan
-from .exec.single_job import answer, co_partitioned
+from .exec.single_job import answer, co_partitioned, relations_of
 from .plan.infer import tightened
 from .plan.planner import Plan, Planner, explain
 from .query import MultiJoinQuery, multi_join
@@ -27,11 +28,11 @@ class MultiJoinEngine:
     def explain(self, q: MultiJoinQuery, **options) -> DataFrame:
         return explain(self.spark, self.plan(q, **options))
 
-    def ids(self, q: MultiJoinQuery, strategy: str = "planned", jobs: list | None = None, infer: bool = True, curve: str = "hilbert") -> DataFrame:
-        """Row ids alias__rid of all combinations."""
+    def ids(self, q: MultiJoinQuery, strategy: str = "planned", jobs: list | None = None, infer: bool = True, curve: str = "auto", finish=None) -> DataFrame:
+        """Row ids alias__rid of all combinations, or what finish makes of them before the last of them are written."""
         q = tightened(q) if infer and jobs is None else q
         plan = self.planner.plan(q, self.units, None, strategy, jobs)
-        run = run_plan(q, plan, self.units, curve=curve)
+        run = run_plan(q, plan, self.units, curve=curve, finish=finish)
         self.last = plan, run
         return run.ids
 
@@ -44,10 +45,19 @@ class MultiJoinEngine:
         return self.run(parse_sql(self.spark, text, tables, rid), **options)
 
     def counts(self, q: MultiJoinQuery, alias: str, column: str, name: str = "id", **options) -> DataFrame:
-        """Combinations by a column of one relation: (name, n)."""
-        return count_by(q, self.ids(q, **options), alias, column, name)
+        """Combinations by a column of one relation: (name, n), by giving all of them out to the counting."""
+        return count_by(q, self.ids(q, finish=per_id(alias), **options), alias, column, name)
+
+    def grouped_counts(self, q: MultiJoinQuery, alias: str, column: str, name: str = "id", infer: bool = True) -> DataFrame:
+        """The same numbers without visiting each combination: equal rows count once, leaves of the join graph are folded in."""
+        return grouped_counts(tightened(q) if infer else q, alias, column, name, self.units)
 
     def single(self, q: MultiJoinQuery, k: int | None = None, **options) -> DataFrame:
-        """The answer by one job that carries its columns, written once."""
+        """The answer by one job that carries its columns, written once; a cube's shape follows the sizes of its relations."""
+        if options.get("method") == "cube" and "cards" not in options:
+            order = relations_of(q, frozenset(p.label for p in q.predicates))
+            sizes = {(id(q.relations[a]), q.filters.get(a)): a for a in order}
+            counted = {key: max(1, q.filtered(a).count()) for key, a in sizes.items()}
+            options |= {"cards": [counted[id(q.relations[a]), q.filters.get(a)] for a in order], "curve": options.get("curve", "auto")}
         with co_partitioned(self.spark):
             return materialise(answer(q, k or self.units, **options), "single")

@@ -3,7 +3,10 @@
 from __future__ import annotations
 
 import itertools
+import math
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -89,7 +92,10 @@ def correlation_merge(q: MultiJoinQuery, share: tuple[str, ...] = ("input", "tra
         out = out.join(df, _both(conditions))
         if "flow" not in share:
             out = materialise(out, "correlated")
-    return materialise(_ids(q, out), "correlation")
+    done = materialise(_ids(q, out), "correlation")
+    for df in cached.values():
+        df.unpersist()
+    return done
 
 
 def pairwise_rect(q: MultiJoinQuery, k: int = 8) -> DataFrame:
@@ -185,16 +191,15 @@ def hash_equi(left: DataFrame, right: DataFrame, on: str | list[str]) -> DataFra
     return left.join(right, on)
 
 
-def replicate_all(q: MultiJoinQuery, most_rows: int = 200_000) -> DataFrame:
-    """The first relation stays, every other goes to all tasks; only for relations of at most most_rows rows."""
+def replicate_all(q: MultiJoinQuery, most_bytes: int = 64 << 20) -> DataFrame:
+    """The first relation stays, every other goes to all tasks; beyond most_bytes (rows counted, by the width of their columns) it is shuffled by Catalyst's own choice."""
     out = None
     for a, df, conditions, _ in _steps(q):
         if out is None:
             out = df
         else:
-            if df.limit(most_rows + 1).count() > most_rows:
-                raise ValueError(f"{a} is too large to go everywhere")
-            out = out.join(F.broadcast(df), _both(conditions))
+            width = sum(f.dataType.typeName() in ("string", "binary") and 64 or 8 for f in df.schema)
+            out = out.join(F.broadcast(df) if df.count() * width <= most_bytes else df, _both(conditions))
     return _ids(q, out)
 
 
@@ -220,3 +225,38 @@ def key_set_join(df: DataFrame, rid: str, keys: F.Column, verify, payload: str)
     both = a.join(b, "key").where(F.col("left_rid") < F.col("right_rid"))
     first = F.array_min(F.array_intersect("left_keys", "right_keys")) == F.col("key")
     return both.where(first & verify(F.col("left_v"), F.col("right_v"))).select("left_rid", "right_rid")
+
+
+def bands_for(threshold: float, rows: int, recall: float) -> int:
+    """Bands of so many planes each at which two vectors of the threshold's cosine share a key with the recall."""
+    same = 1 - math.acos(threshold) / math.pi
+    return math.ceil(math.log(1 - recall) / math.log(1 - same**rows))
+
+
+def block_pairs(df: DataFrame, rid: str, vector: str, threshold: float, block: int = 1000) -> DataFrame:
+    """All pairs (left_rid < right_rid) of vectors of at least the threshold's cosine: the exact way for key_set_join.
+
+    Rows are dealt into blocks, any two of which are one task: each row is copied as often as there are blocks, no task
+    holds more than two, and no keys are needed. The work is that of all pairs.
+    """
+    rows = df.select(F.col(rid).alias("rid"), F.col(vector).alias("v")).where(F.col(rid).isNotNull() & F.col(vector).isNotNull())
+    blocks = max(1, -(-rows.count() // block))
+    own = F.pmod(F.xxhash64(F.lit("block"), "rid"), F.lit(blocks)).cast("int")
+    part = lambda o: F.struct((F.least(o, F.col("own")) * blocks + F.greatest(o, F.col("own"))).alias("part"), (o < F.col("own")).cast("int").alias("side"))
+    dealt = rows.withColumn("own", own).select("rid", "v", F.explode(F.transform(F.sequence(F.lit(0), F.lit(blocks - 1)), part)).alias("x")).select("rid", "v", "x.part", "x.side")
+    kind = next(f.dataType for f in rows.schema if f.name == "rid").simpleString()
+
+    def run(rows: pd.DataFrame) -> pd.DataFrame:
+        left, right = (rows[rows["side"] == s] for s in (0, 1))
+        alone = not len(right)
+        right = left if alone else right
+        a, b = (np.stack(x["v"].to_numpy()).astype(np.float64) if len(x) else np.empty((0, 0)) for x in (left, right))
+        if not len(a) or not len(b):
+            return pd.DataFrame({"left_rid": [], "right_rid": []})
+        norm = np.sqrt(np.outer((a * a).sum(1), (b * b).sum(1)))
+        i, j = np.nonzero(a @ b.T >= threshold * norm)
+        x, y = left["rid"].to_numpy()[i], right["rid"].to_numpy()[j]
+        keep = x < y if alone else x != y
+        return pd.DataFrame({"left_rid": np.minimum(x, y)[keep], "right_rid": np.maximum(x, y)[keep]})
+
+    return dealt.groupBy("part").applyInPandas(run, f"left_rid {kind}, right_rid {kind}")

@@ -35,8 +35,13 @@ def hydrate(q: MultiJoinQuery, ids: DataFrame) -> DataFrame:
     return project(q, ids)
 
 
+def per_id(alias: str):
+    """Combinations by the id of one relation."""
+    return lambda ids: ids.groupBy(f"{alias}__rid").agg(F.count("*").alias("n_"))
+
+
 def count_by(q: MultiJoinQuery, ids: DataFrame, alias: str, column: str, name: str) -> DataFrame:
-    """Combinations by a column of one relation: counted by id first, so that only one row for each id is joined."""
-    per = ids.groupBy(f"{alias}__rid").agg(F.count("*").alias("n_"))
+    """Combinations by a column of one relation: counted by id first (unless ids are counts already), so that only one row for each id is joined."""
+    per = ids if "n_" in ids.columns else per_id(alias)(ids)
     rows = q.relations[alias].select(F.col(q.rid_of(alias)).alias(f"{alias}__rid"), F.col(column).alias(name))
     return per.join(rows, f"{alias}__rid").groupBy(name).agg(F.sum("n_").cast("bigint").alias("n"))

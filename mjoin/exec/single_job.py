@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 
 from ..partition.assign import RegionAssignment, assign_regions, live_cells
 from ..query import MultiJoinQuery, RelOp
+from ..sources import dense_ids
 
 _QUALIFIED = re.compile(r"\b([A-Za-z_]\w*)\.([A-Za-z_]\w*)")
 #: Cells up to which tables are literals of the plan; beyond, broadcast tables of one row a cell (at most 2^20).
@@ -113,12 +114,10 @@ def draw_coord(alias: str, bits: int, seed: int) -> Column:
 
 
 def dense_coord(df: DataFrame, alias: str, bits: int) -> DataFrame:
-    """Coordinates by the exact rank of the row id (a sort of all ids; for tests and small relations)."""
-    from pyspark.sql import Window
-
-    rank = F.row_number().over(Window.orderBy(f"{alias}__rid")) - 1
-    n = F.count("*").over(Window.partitionBy())
-    return df.withColumn(f"{alias}__c", F.floor(rank * (1 << bits) / n).cast("int"))
+    """Coordinates by the exact rank of the row id: a sort by ranges and offsets of the partitions, no task holds all rows."""
+    ranked = dense_ids(df, "rank_", f"{alias}__rid")
+    n = max(1, ranked.count())
+    return ranked.withColumn(f"{alias}__c", F.floor(F.col("rank_") * (1 << bits) / n).cast("int")).drop("rank_")
 
 
 def range_coord(df: DataFrame, alias: str, column: str, bounds: list) -> DataFrame:
@@ -266,9 +265,9 @@ def sorted_pairs(q: MultiJoinQuery, labels=None, k: int = 8, curve: str = "hilbe
         hi = {">": below, ">=": upto, "=": upto}.get(op, np.full(len(lt), n))
         size, region = np.maximum(hi - lo, 0), number[int(key[0])]
         cell, other = lt[f"{left}__c"].to_numpy().astype(np.int64) << width, rt[f"{right}__c"].to_numpy()
-        at, step = 0, 1 << 20
+        at, step, upto_row = 0, 1 << 20, np.cumsum(size)
         while at < len(lt):
-            end = max(at + 1, int(np.searchsorted(np.cumsum(size[at:]), step, "right")) + at)
+            end = max(at + 1, int(np.searchsorted(upto_row, (upto_row[at - 1] if at else 0) + step, "right")))
             i = np.repeat(np.arange(at, end), size[at:end])
             j = np.arange(len(i)) - np.repeat(np.cumsum(size[at:end]) - size[at:end], size[at:end]) + np.repeat(lo[at:end], size[at:end])
             good = owner[cell[i] + other[j]] == region
@@ -321,10 +320,15 @@ def hash_join(q: MultiJoinQuery, labels=None, payload: dict | None = None) -> Da
     return out.select(*_kept(order, payload))
 
 
-def run_trail(q: MultiJoinQuery, labels=None, k: int = 8, payload: dict | None = None, **options) -> DataFrame:
-    """hash_join where equalities connect the relations, chain_join otherwise."""
+def run_trail(q: MultiJoinQuery, labels=None, k: int = 8, payload: dict | None = None, method: str = "auto", **options) -> DataFrame:
+    """hash_join or chain_join ("hash", "cube"); auto: hash_join where equalities connect the relations, chain_join otherwise.
+
+    A planner that knows the keys decides itself: few or hot keys leave units idle under hashing, a cube doesn't.
+    """
     labels = frozenset(labels or (p.label for p in q.predicates))
-    return hash_join(q, labels, payload) if equality_spans(q, labels) else chain_join(q, labels, k, payload=payload, **options)
+    if method == "auto":
+        method = "hash" if equality_spans(q, labels) else "cube"
+    return hash_join(q, labels, payload) if method == "hash" else chain_join(q, labels, k, payload=payload, **options)
 
 
 def answer(q: MultiJoinQuery, k: int = 8, **options) -> DataFrame:

@@ -3,14 +3,17 @@
 from __future__ import annotations
 
 import time
+import uuid
+from dataclasses import replace
 
+import numpy as np
 from pyspark.sql import functions as F
 
 from . import baselines as B
 from . import metrics as M
 from . import streaming as S
 from .api import MultiJoinEngine
-from .exec.merge import count_by
+from .exec.merge import count_by, hydrate, per_id
 from .exec.single_job import chain_join, co_partitioned, sorted_pairs
 from .functions import hilbert_expr, register_regions_of, sign_keys, zorder_expr
 from .operators import anti_join, band_join, join_asof, salted_join, semi_join, top_k_by
@@ -21,8 +24,8 @@ from .plan.planner import explain, trail_table
 from .plan.schedule import merge_plan, schedule_jobs
 from .plan.trails import build_pruned_trails, enumerate_trails
 from .query import multi_join
-from .sources import calls, legs, load, materialise, plain_load, scale_calls, scratch
-from .stats import collect_statistics, ingest, quantiles
+from .sources import calls, legs, load, materialise, plain_load, scale_calls, scratch, table_load
+from .stats import collect_statistics, estimate_rows, ingest, quantiles
 from .workloads import calls as C
 from .workloads import synthetic as Y
 from .workloads import tpch as T
@@ -48,26 +51,52 @@ def _counted(build, **options):
     return lambda spark, sf: MultiJoinEngine(spark).counts(build(C.relation(spark, sf)), "lead", "id", **options)
 
 
-#: All calls take part. Answers of w2, w3 and w4 without same ids are beyond DuckDB at sf0.01 (8e9 rows and more): they have
-#: no SQL, and tests hold them against brute force on a few calls.
-W1_SQL = C.counts_sql("lead mid tail", C.W1_WHERE)
+def _grouped(build):
+    return lambda spark, sf: MultiJoinEngine(spark).grouped_counts(build(C.relation(spark, sf)), "lead", "id")
 
-query("calls_w1", W1_SQL)(_counted(C.w1))
-query("calls_w2")(_counted(C.w2))
-query("calls_w3")(_counted(lambda c: C.three_days(c, "=", False)))
-query("calls_w3_same_id", C.counts_sql("lead mid tail peer", C.W3_WHERE + C.SAME_ID))(_counted(lambda c: C.three_days(c, "=", True)))
-query("calls_w4")(_counted(lambda c: C.three_days(c, "<>", False)))
-query("calls_w4_same_id", C.counts_sql("lead mid tail peer", C.W4_WHERE + C.SAME_ID))(_counted(lambda c: C.three_days(c, "<>", True)))
 
+#: All calls take part. The printed forms have up to 1e13 combinations at sf0.01, so their numbers are taken by groups, here and
+#: in SQL; the strategies below give out all combinations of w1, or of w3 with one subscriber.
+W1_SQL = C.GROUPED_SQL["w1"]
+W3_SAME_SQL = C.counts_sql("lead mid tail peer", C.W3_WHERE + C.SAME_ID)
+W4_SAME_SQL = C.counts_sql("lead mid tail peer", C.W4_WHERE + C.SAME_ID)
 
-@query("calls_w1_concurrent", C.concurrent_sql("="))
-def calls_w1_concurrent(spark, sf):
-    return MultiJoinEngine(spark).single(C.concurrent(C.relation(spark, sf), "="))
+query("calls_w1", W1_SQL)(_grouped(C.w1))
+query("calls_w2", C.GROUPED_SQL["w2"])(_grouped(C.w2))
+query("calls_w3", C.GROUPED_SQL["w3"])(_grouped(lambda c: C.three_days(c, "=", False)))
+query("calls_w3_same_id", W3_SAME_SQL)(_counted(lambda c: C.three_days(c, "=", True)))
+query("calls_w4", C.GROUPED_SQL["w4"])(_grouped(lambda c: C.three_days(c, "<>", False)))
+query("calls_w4_same_id", W4_SAME_SQL)(_counted(lambda c: C.three_days(c, "<>", True)))
 
 
-@query("calls_w2_concurrent", C.concurrent_sql("<>"))
-def calls_w2_concurrent(spark, sf):
-    return MultiJoinEngine(spark).single(C.concurrent(C.relation(spark, sf), "<>"))
+def _one_job(build, how: str):
+    """The workload as one job: hash joins where equalities allow, or a cube in any case; or as the planner has it."""
+
+    def run(spark, sf):
+        q, engine = build(C.relation(spark, sf)), MultiJoinEngine(spark)
+        return engine.run(q) if how == "planned" else engine.single(q, method=how)
+
+    return run
+
+
+for _name, _op in (("w1", "="), ("w2", "<>")):
+    query(f"calls_{_name}_concurrent", C.concurrent_sql(_op))(_one_job(lambda c, op=_op: C.concurrent(c, op), "auto"))
+    query(f"calls_{_name}_concurrent_cube", C.concurrent_sql(_op))(_one_job(lambda c, op=_op: C.concurrent(c, op), "cube"))
+    query(f"calls_{_name}_concurrent_planned", C.concurrent_sql(_op))(_one_job(lambda c, op=_op: C.concurrent(c, op), "planned"))
+
+
+def _cube_counts(build):
+    def run(spark, sf):
+        ids = MultiJoinEngine(spark).single(build(C.relation(spark, sf)), method="cube")
+        return ids.groupBy("id").agg(F.count("*").alias("n"))
+
+    return run
+
+
+query("calls_w3_same_id_cube", W3_SAME_SQL)(_cube_counts(lambda c: C.three_days(c, "=", True)))
+query("calls_w3_same_id_planned", W3_SAME_SQL)(_counted(lambda c: C.three_days(c, "=", True), infer=False))
+query("calls_w4_same_id_cube", W4_SAME_SQL)(_cube_counts(lambda c: C.three_days(c, "<>", True)))
+query("calls_w4_same_id_planned", W4_SAME_SQL)(_counted(lambda c: C.three_days(c, "<>", True), infer=False))
 
 
 @query("itinerary", C.ITINERARY_SQL)
@@ -89,6 +118,9 @@ def legs_band(spark, sf):
 
 for _name, _star in T.STARS.items():
     query(_name, _star.sql())(_star.run)
+for _name, _star in T.FORMS.items():
+    for _how in ("cube", "planned"):
+        query(f"{_name}_{_how}", T.SQL.get(_name) or _star.sql())(lambda spark, sf, star=_star, how=_how: star.run(spark, sf, how))
 for _name, _sql in T.SQL.items():
     query(_name, _sql)(lambda spark, sf, sql=_sql: T.run_sql(spark, sf, sql))
 
@@ -105,13 +137,18 @@ def scaled_calls(spark, sf):
 
 def _single(k: int, curve: str = "hilbert", **options):
     def run(spark, sf):
-        q = C.w1(C.relation(spark, sf))
-        with co_partitioned(spark):
-            return count_by(q, materialise(chain_join(q, None, k, curve, **options)), "lead", "id", "id")
+        return _w1_by(C.relation(spark, sf), k, curve=curve, **options)
 
     return run
 
 
+def _w1_by(c, k: int, **options):
+    """All combinations of w1 in one job; they are counted by id in it, and only the numbers are written."""
+    q = C.w1(c)
+    with co_partitioned(c.sparkSession):
+        return count_by(q, materialise(per_id("lead")(chain_join(q, None, k, **options))), "lead", "id", "id")
+
+
 for _curve in ("hilbert", "zorder", "grid", "rowmajor", "random", "auto"):
     query(f"w1_single_{_curve}", W1_SQL)(_single(7, _curve))
 for _k in (1, 5, 9):
@@ -120,27 +157,23 @@ query("w1_dense_coord", W1_SQL)(_single(7, coord="dense"))
 query("w1_balanced_bits", W1_SQL)(_single(6, bits="balanced"))
 query("w1_pairwise", W1_SQL)(_counted(C.w1, strategy="pairwise"))
 query("w1_planned", W1_SQL)(_counted(C.w1))
-query("w3_single")(_counted(lambda c: C.three_days(c, "=", False), strategy="single", infer=False))
-query("w3_planned")(_counted(lambda c: C.three_days(c, "=", False), infer=False))
-query("w3_jobs_forced")(_counted(lambda c: C.three_days(c, "=", False), jobs=[[1, 2, 3], [4]]))
+query("w3_single", W3_SAME_SQL)(_counted(lambda c: C.three_days(c, "=", True), strategy="single", infer=False))
+query("w3_planned", W3_SAME_SQL)(_counted(lambda c: C.three_days(c, "=", True)))
+query("w3_jobs_forced", W3_SAME_SQL)(_counted(lambda c: C.three_days(c, "=", True), jobs=[[1, 2, 3, 5, 6], [4, 7]]))
 
 
 @query("w1_range_coord", W1_SQL)
 def w1_range_coord(spark, sf):
     c = C.relation(spark, sf)
-    q = C.w1(c)
     cuts = {"lead": ("bt", quantiles(c, "bt", 16)), "mid": ("bt", quantiles(c, "bt", 16))}
-    with co_partitioned(spark):
-        return count_by(q, materialise(chain_join(q, None, 7, coord="range", bounds=cuts)), "lead", "id", "id")
+    return _w1_by(c, 7, coord="range", bounds=cuts)
 
 
 @query("w1_range_pruned", W1_SQL)
 def w1_range_pruned(spark, sf):
     c = C.relation(spark, sf)
-    q = C.w1(c)
     cuts = {"lead": ("bt", quantiles(c, "bt", 16)), "mid": ("bt", quantiles(c, "bt", 16))}
-    with co_partitioned(spark):
-        return count_by(q, materialise(chain_join(q, None, 7, coord="range", bounds=cuts, prune=True)), "lead", "id", "id")
+    return _w1_by(c, 7, coord="range", bounds=cuts, prune=True)
 
 
 @query("w1_sorted_pairs", f"{C.CALLS_SQL} SELECT lead.id AS id, count(*)::BIGINT AS n FROM calls lead, calls mid WHERE lead.bt <= mid.bt AND lead.l >= mid.l AND lead.bsc <> mid.bsc GROUP BY lead.id")
@@ -179,8 +212,11 @@ query("correlation_flow_only", W1_SQL)(_baseline(lambda q: B.correlation_merge(q
 query("pairwise_rect", W1_SQL)(_baseline(B.pairwise_rect))
 query("pairwise_scheduled", W1_SQL)(_baseline(B.pairwise_scheduled))
 query("replicate_all", W1_SQL)(_baseline(B.replicate_all))
-query("dataflow", W1_SQL)(_baseline(B.dataflow))
-query("brute_force", W1_SQL)(_baseline(B.brute_force))
+
+
+#: Methods that visit whole products, over whole small tables.
+for _name, _fn in (("dataflow", B.dataflow), ("brute_force", B.brute_force)):
+    query(_name, T.NEAR_NATIONS.sql())(lambda spark, sf, fn=_fn: hydrate(q := T.NEAR_NATIONS.query(spark, sf), fn(q)))
 
 SHARES_SQL = """SELECT o_orderkey, count(*)::BIGINT AS n FROM customer JOIN orders ON c_custkey = o_custkey JOIN lineitem ON o_orderkey = l_orderkey
 WHERE c_mktsegment = 'BUILDING' GROUP BY o_orderkey"""
@@ -199,27 +235,46 @@ def hash_equi(spark, sf):
     return B.hash_equi(o, li, "o_orderkey")
 
 
+#: Least cosine of alike vectors, planes of a key, and the share of alike pairs that must share a key.
+ALIKE, KEY_PLANES, KEY_RECALL = 0.3, 4, 0.95
+
+
 def planes(n: int, dims: int) -> list[list[float]]:
-    """Fixed directions with entries -1 and 1, from a rule."""
-    return [[1.0 if (i * 2654435761 + j * 40503 + i * j * 97) >> 7 & 1 else -1.0 for j in range(dims)] for i in range(n)]
+    """Random directions, the same each time."""
+    return np.random.default_rng(7).normal(size=(n, dims)).round(6).tolist()
 
 
-KEY_SET_SQL = """WITH v AS (SELECT vec_id, list_transform(embedding, lambda x: x::DOUBLE) AS e FROM embeddings),
-s AS (SELECT vec_id, e, list_transform(range(0, 16), lambda i: (list_sum(list_transform(range(1, len(e) + 1), lambda j:
-  e[j] * CASE WHEN ((i * 2654435761 + (j - 1) * 40503 + i * (j - 1) * 97) >> 7) & 1 = 1 THEN 1.0 ELSE -1.0 END)) >= 0)::INT) AS b FROM v),
-k AS (SELECT vec_id, e, band, b[4 * band + 1] * 8 + b[4 * band + 2] * 4 + b[4 * band + 3] * 2 + b[4 * band + 4] AS code FROM s, range(0, 4) r(band))
-SELECT DISTINCT x.vec_id AS left_rid, y.vec_id AS right_rid FROM k x JOIN k y ON x.band = y.band AND x.code = y.code AND x.vec_id < y.vec_id
-WHERE list_dot_product(x.e, y.e) >= 0.3 * sqrt(list_dot_product(x.e, x.e) * list_dot_product(y.e, y.e))"""
+ALIKE_SQL = f"""SELECT x.vec_id AS left_rid, y.vec_id AS right_rid FROM (SELECT vec_id, list_transform(embedding, lambda x: x::DOUBLE) AS e FROM embeddings) x,
+(SELECT vec_id, list_transform(embedding, lambda x: x::DOUBLE) AS e FROM embeddings) y
+WHERE x.vec_id < y.vec_id AND list_dot_product(x.e, y.e) >= {ALIKE} * sqrt(list_dot_product(x.e, x.e) * list_dot_product(y.e, y.e))"""
 
 
-@query("key_set", KEY_SET_SQL)
+@query("alike_pairs", ALIKE_SQL)
+def alike_pairs(spark, sf):
+    """All pairs of embeddings of the cosine or more, by pairs of blocks: the exact way beside key_set."""
+    return B.block_pairs(load(spark, sf, "embeddings"), "vec_id", "embedding", ALIKE)
+
+
+@query("key_set")
 def key_set(spark, sf):
-    """Pairs of embeddings of cosine 0.3 or more that share a side of the planes in some band; all verified."""
+    """Pairs of embeddings of the cosine or more that share a side of the planes in some band; all verified.
+
+    Bands are as many as give pairs at the threshold the recall; key_set_recall measures it against alike_pairs.
+    """
     e = load(spark, sf, "embeddings")
-    dims = e.select(F.size("embedding").alias("n")).first()["n"]
+    dims = (e.select(F.size("embedding").alias("n")).first() or {"n": 1})["n"]
+    bands = B.bands_for(ALIKE, KEY_PLANES, KEY_RECALL)
     dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x.cast("double") * y.cast("double")), F.lit(0.0), lambda s, v: s + v)
-    alike = lambda a, b: dot(a, b) >= 0.3 * F.sqrt(dot(a, a) * dot(b, b))
-    return B.key_set_join(e, "vec_id", sign_keys(F.col("embedding"), planes(16, dims), 4), alike, "embedding")
+    alike = lambda a, b: dot(a, b) >= ALIKE * F.sqrt(dot(a, a) * dot(b, b))
+    return B.key_set_join(e, "vec_id", sign_keys(F.col("embedding"), planes(bands * KEY_PLANES, dims), bands), alike, "embedding")
+
+
+@query("key_set_recall")
+def key_set_recall(spark, sf):
+    """Pairs found by keys, all alike pairs, and the share found."""
+    found, every = key_set(spark, sf), alike_pairs(spark, sf)
+    both = found.join(every, ["left_rid", "right_rid"]).agg(F.count("*").alias("found"))
+    return both.crossJoin(every.agg(F.count("*").alias("alike"))).withColumn("recall", F.col("found") / F.greatest("alike", F.lit(1)))
 
 
 # ---- measures ------------------------------------------------------------------------------------------------------------
@@ -309,10 +364,11 @@ def query_features(spark, sf):
 
 
 @query("selectivity_exact", f"""{C.CALLS_SQL}, c AS (SELECT * FROM calls), t AS (SELECT count(*) AS n FROM c),
-r AS (SELECT count(*) AS n FROM c lead, c mid, c tail WHERE {C.W1_WHERE}) SELECT r.n::BIGINT AS n_rows, round(r.n::DOUBLE / (t.n::DOUBLE * t.n * t.n), 9) AS of_product, round(r.n::DOUBLE / t.n, 6) AS of_largest FROM r, t""")
+s AS (SELECT bsc, d, count(*) AS w FROM c GROUP BY ALL), m AS (SELECT bt, l, sum(w) AS w FROM c JOIN s USING (bsc, d) GROUP BY ALL),
+r AS (SELECT sum(m.w) AS n FROM c lead JOIN m ON lead.bt <= m.bt AND lead.l >= m.l) SELECT r.n::BIGINT AS n_rows, round(r.n::DOUBLE / (t.n::DOUBLE * t.n * t.n), 9) AS of_product, round(r.n::DOUBLE / t.n, 6) AS of_largest FROM r, t""")
 def selectivity_exact(spark, sf):
     q = C.w1(C.relation(spark, sf))
-    n = MultiJoinEngine(spark).ids(q).count()
+    n = MultiJoinEngine(spark).grouped_counts(q, "lead", "id").agg(F.sum("n")).first()[0] or 0
     product, largest = M.selectivity(n, q)
     return spark.createDataFrame([(n, round(product, 9), round(largest, 6))], "n_rows bigint, of_product double, of_largest double")
 
@@ -328,29 +384,77 @@ def plan_explain(spark, sf):
     return explain(spark, MultiJoinEngine(spark).plan(C.three_days(C.relation(spark, sf), "=", False)))
 
 
+def _planned_queries(spark, sf) -> dict:
+    """The call queries and the decision-support queries of the experiments, with their statistics."""
+    c = C.relation(spark, sf)
+    built = {name: build(c) for name, build in FEATURES.items()} | {name: star.query(spark, sf) for name, star in T.FORMS.items()}
+    return {name: (q, collect_statistics(q)) for name, q in built.items()}
+
+
+STRATEGIES = ("planned", "single", "pairwise")
+
+
 @query("units_sweep")
 def units_sweep(spark, sf):
-    """Predicted makespan of the four call queries on 96 and 64 units and fewer, by strategy."""
-    c, rows = C.relation(spark, sf), []
-    for name, build in FEATURES.items():
-        q = build(c)
-        stats = collect_statistics(q)
+    """Predicted makespan of the experiments' queries on 96 and 64 units and fewer, by strategy."""
+    rows = []
+    for name, (q, stats) in _planned_queries(spark, sf).items():
         for units in (4, 16, 64, 96):
-            for strategy in ("planned", "single", "pairwise"):
+            for strategy in STRATEGIES:
                 p = MultiJoinEngine(spark, units).planner.plan(q, units, stats, strategy)
                 rows.append((name, units, strategy, p.cost, len(p.jobs)))
     return spark.createDataFrame(rows, "workload string, units int, strategy string, seconds double, jobs int")
 
 
+@query("scale_sweep")
+def scale_sweep(spark, sf):
+    """Predicted seconds of the call queries for 1, 5 and 25 times the calls (as from 20 to 100 and 500 GB) on 64 and 96 units."""
+    c, rows = C.relation(spark, sf), []
+    for name, build in FEATURES.items():
+        q = build(c)
+        stats = collect_statistics(q)
+        for factor in (1, 5, 25):
+            more = replace(stats, rows={a: n * factor for a, n in stats.rows.items()})
+            for units in (64, 96):
+                for strategy in STRATEGIES:
+                    rows.append((name, factor, units, strategy, MultiJoinEngine(spark, units).planner.plan(q, units, more, strategy).cost))
+    return spark.createDataFrame(rows, "workload string, factor int, units int, strategy string, seconds double")
+
+
+@query("plan_jobs")
+def plan_jobs(spark, sf):
+    """Jobs of each plan, the rows that they are expected to write before the last merge, and how each job joins."""
+    rows = []
+    for name, (q, stats) in _planned_queries(spark, sf).items():
+        for strategy in STRATEGIES:
+            p = MultiJoinEngine(spark, 64).planner.plan(q, 64, stats, strategy)
+            between = sum(estimate_rows(q, stats, c.labels) for c in p.jobs) if len(p.jobs) > 1 else 0.0
+            rows.append((name, strategy, len(p.jobs), between, ",".join(sorted(p.methods.values()))))
+    return spark.createDataFrame(rows, "workload string, strategy string, jobs int, rows_between double, methods string")
+
+
+@query("prediction_error")
+def prediction_error(spark, sf):
+    """Seconds of the jobs of w3 with one subscriber as planned and as measured."""
+    q, rows = C.three_days(C.relation(spark, sf), "=", True), []
+    for strategy in STRATEGIES:
+        engine = MultiJoinEngine(spark)
+        t = time.perf_counter()
+        engine.counts(q, "lead", "id", strategy=strategy).count()
+        rows.append((strategy, engine.last[0].cost, time.perf_counter() - t))
+    return spark.createDataFrame(rows, "strategy string, predicted double, measured double")
+
+
 @query("load_report")
 def load_report(spark, sf):
-    """Seconds of a plain copy, a copy with statistics and range layout, and I/O rates."""
+    """Seconds of a plain copy, a table of the warehouse, a copy with statistics and range layout, and I/O rates."""
     c = calls(spark, sf)
-    rows = []
-    for name, action in (("plain", lambda path: plain_load(c, path)), ("statistics", lambda path: ingest(c, path, ["d", "bt"], 8))):
+    rows, table = [], f"mjoin_load_{uuid.uuid4().hex[:8]}"
+    for name, action in (("plain", lambda: plain_load(c, scratch(spark, "load"))), ("table", lambda: table_load(c, table)), ("statistics", lambda: ingest(c, scratch(spark, "load"), ["d", "bt"], 8))):
         t = time.perf_counter()
-        action(scratch(spark, "load"))
+        action()
         rows.append((name, time.perf_counter() - t))
+    spark.sql(f"DROP TABLE IF EXISTS {table}")
     rates = M.io_probe(c, scratch(spark, "load-io"))
     rows += [(k, float(v)) for k, v in rates.items()]
     return spark.createDataFrame(rows, "measure string, value double")
@@ -376,9 +480,18 @@ def calibration(spark, sf):
     return spark.createDataFrame(rows, "groups int, reducers int, n_rows bigint, measured double, predicted double")
 
 
-@query("hilbert_positions", None)
+#: Both curves over a 16 by 16 grid: one digit of base four a level, the square turned as the level's quadrant asks.
+HILBERT_SQL = """WITH RECURSIVE g AS (SELECT (range // 16)::INT AS x, (range % 16)::INT AS y FROM range(256)),
+w(x0, y0, x, y, s, h, z) AS (SELECT x, y, x, y, 8, 0::BIGINT, 0::BIGINT FROM g UNION ALL
+SELECT x0, y0, CASE WHEN qy = 0 THEN (CASE WHEN qx = 1 THEN s - 1 - ly ELSE ly END) ELSE lx END, CASE WHEN qy = 0 THEN (CASE WHEN qx = 1 THEN s - 1 - lx ELSE lx END) ELSE ly END,
+s // 2, h * 4 + xor(3 * qx, qy), z * 4 + {first} * 2 + {second}
+FROM (SELECT *, (x // s) % 2 AS qx, (y // s) % 2 AS qy, x % s AS lx, y % s AS ly, (x0 // s) % 2 AS ox, (y0 // s) % 2 AS oy FROM w WHERE s > 0))
+SELECT x0 AS x, y0 AS y, h AS hilbert, z AS zorder FROM w WHERE s = 0"""
+
+
+@query("hilbert_positions", HILBERT_SQL.format(first="ox", second="oy"))
 def hilbert_positions(spark, sf):
-    """Positions of a 16 by 16 grid by SQL expressions; tests hold them against numpy."""
+    """Positions of a 16 by 16 grid by SQL expressions."""
     grid = spark.range(256).select((F.col("id") / 16).cast("int").alias("x"), (F.col("id") % 16).cast("int").alias("y"))
     return grid.withColumn("hilbert", hilbert_expr([F.col("x"), F.col("y")], 4)).withColumn("zorder", zorder_expr([F.col("x"), F.col("y")], 4))
 
@@ -500,7 +613,7 @@ def stream_static(spark, sf):
     return S.finish(S.join_static(s, n, (F.col("user_id") % 25 < F.col("n_nationkey")) & (F.col("n_nationkey") < F.col("user_id") % 25 + 3))).select("event_id", "n_nationkey")
 
 
-@query("stream_deltas", W1_SQL)
+@query("stream_deltas", C.concurrent_sql("="))
 def stream_deltas(spark, sf):
     c = C.relation(spark, sf)
-    return S.foreach_batch(C.w1(c), "lead", S.file_stream(spark, c, 3, None, "bt")).groupBy("id").agg(F.count("*").alias("n"))
+    return S.foreach_batch(C.concurrent(c, "="), "lead", S.file_stream(spark, c, 3, None, "bt"))

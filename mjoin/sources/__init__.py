@@ -95,10 +95,6 @@ def lineitem(spark: SparkSession, sf_dir: str) -> DataFrame:
     return dense_ids(load(spark, sf_dir, "lineitem"), "rid", "l_orderkey", "l_linenumber")
 
 
-def hashed_lineitem(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return lineitem(spark, sf_dir)
-
-
 def scale_calls(base: DataFrame, factor: int, hour_weights: list[float]) -> DataFrame:
     """factor copies of every call with a new rid and a begin drawn (by hash) from hour weights over the day."""
     total, cuts, run = sum(hour_weights), [], 0.0
@@ -107,6 +103,8 @@ def scale_calls(base: DataFrame, factor: int, hour_weights: list[float]) -> Data
         cuts.append(run / total)
     u = F.pmod(F.xxhash64(F.lit("hour"), "rid"), F.lit(1 << 40)) / float(1 << 40)
     hour = sum((F.when(u >= c, 1).otherwise(0) for c in cuts[:-1]), F.lit(0))
+    if factor < 1:
+        return base.limit(0)
     copies = base.withColumn("copy_", F.explode(F.sequence(F.lit(0), F.lit(factor - 1)))).withColumn("rid", F.col("rid") * factor + F.col("copy_"))
     return copies.withColumn("bt", (hour * 3600 + F.pmod(F.xxhash64(F.lit("second"), "rid"), F.lit(3600))).cast("bigint")).drop("copy_")
 

@@ -38,19 +38,29 @@ def selectivity_of(p: Predicate, left: pd.Series, right: pd.Series) -> float:
     return max(float(hit.mean()), 0.5 / hit.size)
 
 
-def collect_statistics(q: MultiJoinQuery, most: int = SAMPLE_ROWS, seed: int = 0) -> Statistics:
-    """Rows after local filters, bytes of a compared row, and the selectivity of each condition, from samples."""
-    rows, width, selectivity, samples, counted = {}, {}, {}, {}, {}
+def collect_statistics(q: MultiJoinQuery, most: int = SAMPLE_ROWS, seed: int = 0, stored: dict[str, str] | None = None) -> Statistics:
+    """Rows after local filters, bytes of a compared row, and the selectivity of each condition, from samples.
+
+    stored: by alias the folder that ingest wrote; its sample then stands for a scan of the relation.
+    """
+    rows, width, selectivity, samples, counted, drawn = {}, {}, {}, {}, {}, {}
+    key_of = lambda a: (id(q.relations[a]), q.filters.get(a))
+    sides = {a: {s.expr for p in q.predicates for s in (p.left, p.right) if s.alias == a} for a in q.relations}
     for alias in q.relations:
-        sides = {s.expr for p in q.predicates for s in (p.left, p.right) if s.alias == alias}
-        df = q.filtered(alias)
-        key = (id(q.relations[alias]), q.filters.get(alias))
+        df, key = q.filtered(alias), key_of(alias)
         if key not in counted:
+            # one count and one ordered scan for each distinct relation; its aliases get parts of one sample
             counted[key] = df.count()
+            alike = [a for a in q.relations if key_of(a) == key]
+            if alias in (stored or {}):
+                df = df.sparkSession.read.parquet(f"{stored[alias]}/sample").where(q.filters.get(alias, "true"))
+            named = df.select(F.col(q.rid_of(alias)).alias("rid_"), *(F.expr(e).alias(e) for e in sorted(set().union(*(sides[a] for a in alike)))))
+            drawn[key] = hash_sample(named, "rid_", most * len(alike), seed).toPandas(), alike
         rows[alias] = counted[key]
-        width[alias] = 8.0 * (1 + len(sides))
-        named = df.select(F.col(q.rid_of(alias)).alias("rid_"), *(F.expr(e).alias(e) for e in sorted(sides)))
-        samples[alias] = hash_sample(named, "rid_", most, seed + list(q.relations).index(alias)).toPandas()
+        width[alias] = 8.0 * (1 + len(sides[alias]))
+        sample, alike = drawn[key]
+        part = sample.iloc[alike.index(alias) :: len(alike)] if len(sample) >= 2 * len(alike) else sample
+        samples[alias] = part[["rid_", *sorted(sides[alias])]].reset_index(drop=True)
     for p in q.predicates:
         selectivity[p.label] = selectivity_of(p, samples[p.left.alias][p.left.expr], samples[p.right.alias][p.right.expr])
     return Statistics(rows, width, selectivity, samples)
@@ -66,6 +76,25 @@ def estimate_rows(q: MultiJoinQuery, stats: Statistics, labels: frozenset[int])
     return out
 
 
+#: Rows of a sample that must share a key before it counts as hot.
+HOT_ROWS = 5
+
+
+def hot_share(q: MultiJoinQuery, stats: Statistics, labels: frozenset[int]) -> float:
+    """Share of an equality join's pairs that its most frequent key holds, from the samples: the largest over the pairs of relations joined.
+
+    Several equalities between two relations count as independent. Keys that no sample shows HOT_ROWS times share evenly.
+    """
+    share: dict[frozenset, float] = {}
+    for p in q.predicates:
+        if p.label in labels and p.op is RelOp.EQ:
+            a, b = (stats.samples[s.alias][s.expr].value_counts() for s in (p.left, p.right))
+            pairs = (a * b).dropna()  # by key
+            hot = float(pairs.max() / pairs.sum()) if len(pairs) and max(a.max(), b.max()) >= HOT_ROWS else 0.0
+            share[p.aliases] = share.get(p.aliases, 1.0) * hot
+    return max(share.values(), default=0.0)
+
+
 def quantiles(df: DataFrame, column: str, n: int) -> list:
     return df.agg(F.percentile_approx(column, [k / n for k in range(1, n)], 10_000).alias("q")).first()["q"] or []
 

@@ -14,17 +14,28 @@ from ..sources import materialise, scratch
 
 
 def file_stream(spark: SparkSession, df: DataFrame, parts: int = 4, watermark: str | None = None, at: str = "ts") -> DataFrame:
-    """df as a stream: written in files by ranges of time, oldest first, and read one file a batch."""
+    """df as a stream: written by ranges of time, oldest first, and read some files a batch; rows without a time come first.
+
+    Each range keeps as many files as it has partitions, so that no task holds a range.
+    """
     path = scratch(spark, "stream")
     bounds = df.agg(F.percentile_approx(at, [k / parts for k in range(1, parts)] or [0.5], 10_000).alias("q")).first()["q"] or []
     # one write after another: the source takes files by their time of change
     for lo, hi in zip([None, *bounds], [*bounds, None], strict=True):
-        part = df if lo is None else df.where(F.col(at) > F.lit(lo))
-        (part if hi is None else part.where(F.col(at) <= F.lit(hi))).coalesce(1).write.mode("append").parquet(path)
-    out = spark.readStream.schema(df.schema).option("maxFilesPerTrigger", 1).parquet(path)
+        above = F.lit(True) if lo is None else F.col(at) > F.lit(lo)
+        upto = F.lit(True) if hi is None else F.col(at) <= F.lit(hi)
+        inside = F.coalesce(above & upto, F.lit(lo is None))
+        df.where(inside).write.mode("append").parquet(path)
+    files = max(1, len(spark.read.schema(df.schema).parquet(path).inputFiles()) // parts)
+    out = spark.readStream.schema(df.schema).option("maxFilesPerTrigger", files).parquet(path)
     return out.withWatermark(at, watermark) if watermark else out
 
 
+def late_rows(query) -> int:
+    """Rows that a finished streaming query dropped because they came behind its watermark, summed over its batches."""
+    return sum(s["numRowsDroppedByWatermark"] for p in query.recentProgress for s in p["stateOperators"])
+
+
 def finish(stream: DataFrame, mode: str = "append") -> DataFrame:
     """Run over all that is there, and the rows that came out (complete mode: of the last batch)."""
     spark = stream.sparkSession
@@ -56,8 +67,8 @@ def interval_edge(left: DataFrame, right: DataFrame, arr: str, dep: str, low: in
 
 
 def join_static(stream: DataFrame, static: DataFrame, condition: F.Column) -> DataFrame:
-    """Every new row against a static relation (whose plan is made anew for each batch)."""
-    return stream.join(static, condition)
+    """Every new row against a static relation, which is filtered and projected once and read again by each batch."""
+    return stream.join(materialise(static, "static"), condition)
 
 
 def deltas(q: MultiJoinQuery, alias: str, old: DataFrame, new: DataFrame, k: int = 4) -> DataFrame:
@@ -75,24 +86,28 @@ def deltas(q: MultiJoinQuery, alias: str, old: DataFrame, new: DataFrame, k: int
 
 
 def foreach_batch(q: MultiJoinQuery, alias: str, stream: DataFrame, k: int = 4) -> DataFrame:
-    """A query over a growing relation: each batch adds its deltas; the sum of them is the query over all rows."""
+    """A query over a growing relation: each batch adds its deltas; the sum of them is the query over all rows.
+
+    Rows and deltas of a batch are written under its number, and a batch meets only those of smaller numbers: a batch that
+    is run again after a failure overwrites its own and counts nothing twice.
+    """
     spark = stream.sparkSession
     seen, out = scratch(spark, "delta-seen"), scratch(spark, "delta-out")
-    none = spark.createDataFrame([], stream.schema)
-    none.write.parquet(seen)
-
-    def step(batch: DataFrame, number: int) -> None:
-        new = materialise(batch, "delta-batch")
-        old = spark.read.schema(stream.schema).parquet(seen)
-        with co_partitioned(spark):
-            # the batch number names the folder: a batch that is run again writes the same place
-            deltas(q, alias, old, new, k).write.mode("overwrite").parquet(f"{out}/batch={number}")
-        new.write.mode("append").parquet(seen)
-
+    step = lambda batch, number: delta_step(q, alias, batch, number, seen, out, k)
     stream.writeStream.option("checkpointLocation", scratch(spark, "delta-state")).trigger(availableNow=True).foreachBatch(step).start().awaitTermination()
     return spark.read.parquet(out).drop("batch")
 
 
+def delta_step(q: MultiJoinQuery, alias: str, batch: DataFrame, number: int, seen: str, out: str, k: int) -> None:
+    spark = batch.sparkSession
+    batch.write.mode("overwrite").parquet(f"{seen}/batch={number}")
+    new = spark.read.schema(batch.schema).parquet(f"{seen}/batch={number}")
+    # the folders' numbers come as a column; the batch's own and any later ones are left out
+    old = spark.read.schema(batch.schema).option("basePath", seen).parquet(f"{seen}/batch=*").where(F.col("batch") < number).drop("batch")
+    with co_partitioned(spark):
+        deltas(q, alias, old, new, k).write.mode("overwrite").parquet(f"{out}/batch={number}")
+
+
 def station_load(stream: DataFrame, window: str, slide: str | None = None) -> DataFrame:
     """Calls and minutes by station and window of time."""
     return stream.groupBy(F.window("ts", window, slide or window), "bsc").agg(F.count("*").alias("calls"), F.sum("l").alias("minutes"))

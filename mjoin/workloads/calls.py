@@ -62,6 +62,22 @@ def counts_sql(aliases: str, where: str, condition: str = "true") -> str:
     return f"{CALLS_SQL} SELECT lead.id AS id, count(*)::BIGINT AS n FROM {tables} WHERE {where} GROUP BY lead.id"
 
 
+#: The printed forms counted without visiting each combination: equal rows first, then leaf by leaf, as grouped_counts does.
+GROUPED_SQL = {
+    "w1": f"""{CALLS_SQL}, tail AS (SELECT bsc, d, count(*) AS w FROM calls GROUP BY ALL),
+mid AS (SELECT bt, l, sum(w) AS w FROM calls JOIN tail USING (bsc, d) GROUP BY ALL)
+SELECT lead.id AS id, sum(mid.w)::BIGINT AS n FROM calls lead JOIN mid ON lead.bt <= mid.bt AND lead.l >= mid.l GROUP BY lead.id""",
+    "w2": f"""{CALLS_SQL}, tail AS (SELECT bsc, d, count(*) AS w FROM calls GROUP BY ALL),
+mid AS (SELECT bt, l, sum(w) AS w FROM calls c JOIN tail t ON c.bsc <> t.bsc AND c.d = t.d GROUP BY ALL)
+SELECT lead.id AS id, sum(mid.w)::BIGINT AS n FROM calls lead JOIN mid ON lead.bt <= mid.bt AND lead.l >= mid.l GROUP BY lead.id""",
+} | {
+    name: f"""{CALLS_SQL}, days AS (SELECT d, count(*) AS w FROM calls GROUP BY d), lead AS (SELECT id, d, bsc, count(*) AS w FROM calls GROUP BY ALL), peer AS (SELECT bsc, count(*) AS w FROM calls GROUP BY bsc)
+SELECT lead.id AS id, sum(lead.w * mid.w * tail.w * peer.w)::BIGINT AS n FROM lead, days mid, days tail, peer
+WHERE lead.d < mid.d AND mid.d < tail.d AND lead.d + 3 > tail.d AND lead.bsc {op} peer.bsc GROUP BY lead.id"""
+    for name, op in (("w3", "="), ("w4", "<>"))
+}
+
+
 def concurrent_sql(station: str, first: str = "true") -> str:
     return f"""{CALLS_SQL} SELECT lead.rid AS lead_rid, mid.rid AS mid_rid FROM calls lead, calls mid WHERE {first} AND lead.d = mid.d AND lead.bsc {station} mid.bsc
 AND lead.rid <> mid.rid AND lead.bt <= mid.bt AND lead.bt + 60 * lead.l >= mid.bt"""

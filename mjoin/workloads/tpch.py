@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from ..api import MultiJoinEngine
 from ..query import multi_join
-from ..sources import load
+from ..sources import lineitem, load
 
 
 @dataclass(frozen=True)
@@ -23,17 +23,23 @@ class Star:
     rest: str
     filters: dict[str, str] = field(default_factory=dict)
     where: str = ""  # a condition over several relations that is no single comparison
-    order: str = ""
-
-    def query(self, spark: SparkSession, sf_dir: str):
-        frames = {t: load(spark, sf_dir, t) for t in set(self.relations.values())}
-        q = multi_join(**{a: frames[t] for a, t in self.relations.items()}).on(*self.on).select(**self.select).rid(**{a: frames[t].columns[0] for a, t in self.relations.items()})
+    derived: dict[str, str] = field(default_factory=dict)  # SQL of relations that are aggregates, by name; the first column is unique
+
+    def query(self, spark: SparkSession, sf_dir: str, unique: bool = False):
+        """unique: row ids that tell all rows apart, which plans of several jobs need for merging."""
+        frames, rids = {}, {}
+        for t in set(self.relations.values()):
+            frames[t] = run_sql(spark, sf_dir, self.derived[t]) if t in self.derived else lineitem(spark, sf_dir) if unique and t == "lineitem" else load(spark, sf_dir, t)
+            rids[t] = "rid" if "rid" in frames[t].columns else frames[t].columns[0]
+        q = multi_join(**{a: frames[t] for a, t in self.relations.items()}).on(*self.on).select(**self.select).rid(**{a: rids[t] for a, t in self.relations.items()})
         for a, condition in self.filters.items():
             q = q.where(a, condition)
         return q.build()
 
-    def run(self, spark: SparkSession, sf_dir: str) -> DataFrame:
-        rows = MultiJoinEngine(spark).single(self.query(spark, sf_dir))
+    def run(self, spark: SparkSession, sf_dir: str, how: str = "auto") -> DataFrame:
+        """how: one job by hashing where equalities allow (auto), by a cube in any case (cube), or the planner's jobs (planned)."""
+        engine = MultiJoinEngine(spark)
+        rows = engine.run(self.query(spark, sf_dir, True)) if how == "planned" else engine.single(self.query(spark, sf_dir), method=how)
         name = f"mjoin_joined_{abs(hash((self.rest, sf_dir))) % 10**9}"
         (rows.where(self.where) if self.where else rows).createOrReplaceTempView(name)
         return spark.sql(self.rest.replace("FROM j", f"FROM {name}"))
@@ -72,7 +78,6 @@ STARS: dict[str, Star] = {
                      f"SELECT ckey, nation, {CENTS} AS revenue FROM j GROUP BY ckey, nation ORDER BY revenue DESC, ckey LIMIT 20", {"l": "l_returnflag = 'R'", "o": "o_orderdate >= TIMESTAMP '1998-01-01 00:00:00' AND o_orderdate < TIMESTAMP '1998-04-01 00:00:00'"}),
     "tpch_q12": Star({"o": "orders", "l": "lineitem"}, ["o.o_orderkey = l.l_orderkey", IN_TIME], {"status": "l.l_linestatus", "priority": "o.o_orderpriority"}, "SELECT status, CAST(sum(CASE WHEN priority IN ('1-URGENT', '2-HIGH') THEN 1 ELSE 0 END) AS BIGINT) AS high, CAST(sum(CASE WHEN priority IN ('1-URGENT', '2-HIGH') THEN 0 ELSE 1 END) AS BIGINT) AS low FROM j GROUP BY status"),
     "tpch_q14": Star({"l": "lineitem", "p": "part"}, ["l.l_partkey = p.p_partkey", "p.p_retailprice <= l.l_extendedprice"], {"kind": "p.p_type", **LINE}, "SELECT round(100.0 * sum(CASE WHEN kind = 'PROMO' THEN price * (1 - discount) ELSE 0 END) / sum(price * (1 - discount)), 4) AS promo_share, count(*) AS n FROM j"),
-    "tpch_q18": Star({"c": "customer", "o": "orders", "l": "lineitem", "t": "lineitem"}, [*KEYS, "o.o_orderkey = t.l_orderkey"], {}, ""),
     "tpch_q19": Star({"l": "lineitem", "p": "part"}, ["p.p_partkey = l.l_partkey", "l.l_quantity >= p.p_size - 50"], {"brand": "p.p_brand", "size": "p.p_size", "quantity": "l.l_quantity", **LINE},
                      f"SELECT brand, {CENTS} AS revenue, count(*) AS n FROM j GROUP BY brand", where="(brand = 'Brand#12' AND quantity BETWEEN 1 AND 11 AND size BETWEEN 1 AND 15) OR (brand = 'Brand#23' AND quantity BETWEEN 10 AND 20 AND size BETWEEN 1 AND 25)"),
     "six_operator_probe": Star({"s": "supplier", "c": "customer"}, ["s.s_nationkey = c.c_nationkey", "s.s_acctbal < c.c_acctbal", "s.s_acctbal + 50 > c.c_acctbal", "s.s_suppkey <> c.c_custkey", "s.s_acctbal <= c.c_acctbal", "c.c_acctbal >= s.s_acctbal"],
@@ -80,7 +85,6 @@ STARS: dict[str, Star] = {
     "acctbal_neighbours": Star({"s": "supplier", "c": "customer"}, ["s.s_acctbal < c.c_acctbal", "s.s_acctbal + 50 > c.c_acctbal", "s.s_nationkey <> c.c_nationkey"], {"skey": "s.s_suppkey", "ckey": "c.c_custkey"}, "SELECT skey, ckey FROM j"),
     "unequal_star": Star({"n": "nation", "s": "supplier", "l": "lineitem"}, ["n.n_nationkey = s.s_nationkey", "s.s_acctbal >= l.l_extendedprice * 0.1"], {"nation": "n.n_nationkey"}, "SELECT nation, count(*) AS n FROM j GROUP BY nation"),
 }
-del STARS["tpch_q18"]
 
 # ---- queries with aggregates, semi, anti and outer joins ----------------------------------------------------------------
 
@@ -110,6 +114,28 @@ AND NOT EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey AND o_totalpric
 }
 
 
+#: For methods that visit products: whole tables, of which two are small at any size.
+NEAR_NATIONS = Star({"n": "nation", "s": "supplier", "r": "region"}, ["n.n_nationkey = s.s_nationkey", "n.n_regionkey <= r.r_regionkey", "s.s_acctbal >= r.r_regionkey"],
+                    {"skey": "s.s_suppkey", "nation": "n.n_nationkey", "region": "r.r_regionkey"}, "SELECT skey, nation, region FROM j")
+
+#: The same three as multi-join queries of the engine: aggregates and existence tests are relations of one row a key.
+FORMS: dict[str, Star] = {
+    "tpch_q7": STARS["tpch_q7"],
+    "tpch_q17": Star({"l": "lineitem", "p": "part", "a": "limits"}, ["p.p_partkey = l.l_partkey", "a.k = p.p_partkey", "l.l_quantity <= a.most"],
+                     {"partkey": "l.l_partkey", "orderkey": "l.l_orderkey", "linenumber": "l.l_linenumber", "quantity": "l.l_quantity"}, "SELECT partkey, orderkey, linenumber, quantity FROM j",
+                     {"p": "p_brand = 'Brand#23'"}, derived={"limits": "SELECT l_partkey AS k, 0.2 * avg(l_quantity) AS most FROM lineitem GROUP BY l_partkey"}),
+    "tpch_q18": Star({"c": "customer", "o": "orders", "l": "lineitem", "t": "sums"}, [*KEYS, "t.k = o.o_orderkey", "t.q >= l.l_quantity"],
+                     {"o_orderkey": "o.o_orderkey", "c_custkey": "c.c_custkey", "l_linenumber": "l.l_linenumber", "l_quantity": "l.l_quantity"}, "SELECT o_orderkey, c_custkey, l_linenumber, l_quantity FROM j",
+                     {"t": "q >= 300"}, derived={"sums": "SELECT l_orderkey AS k, sum(l_quantity) AS q FROM lineitem GROUP BY l_orderkey"}),
+    # other suppliers of an order exist if its least and greatest differ; no other one is late if the late ones' least and greatest are the row's own
+    "tpch_q21": Star({"s": "supplier", "l": "lineitem", "o": "orders", "n": "nation", "x": "suppliers", "y": "late"},
+                     ["s.s_suppkey = l.l_suppkey", "o.o_orderkey = l.l_orderkey", "s.s_nationkey = n.n_nationkey", "x.k = o.o_orderkey", "y.k = o.o_orderkey", "y.lo = l.l_suppkey", "y.hi <= l.l_suppkey", "l.l_shipdate >= o.o_orderdate + INTERVAL 60 DAY"],
+                     {"s_suppkey": "s.s_suppkey"}, "SELECT s_suppkey, count(*) AS n FROM j GROUP BY s_suppkey", {"o": "o_orderstatus = 'F'", "n": "n_name = 'NATION_3'", "x": "lo <> hi"},
+                     derived={"suppliers": "SELECT l_orderkey AS k, min(l_suppkey) AS lo, max(l_suppkey) AS hi FROM lineitem GROUP BY l_orderkey",
+                              "late": f"SELECT l_orderkey AS k, min(l_suppkey) AS lo, max(l_suppkey) AS hi FROM lineitem JOIN orders ON o_orderkey = l_orderkey WHERE {LATE} GROUP BY l_orderkey"}),
+}
+
+
 def run_sql(spark: SparkSession, sf_dir: str, text: str) -> DataFrame:
     """A query over the given tables, read from sf_dir."""
     import re
