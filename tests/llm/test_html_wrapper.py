@@ -2,11 +2,14 @@
 
 import html
 import json
+import random
 import re
+import time
 
 import pytest
 from mjoin.llm import html_wrapper as H
 from mjoin.llm.common import load
+from pyspark.sql import functions as F
 
 FULL = """<!DOCTYPE html><html><head><title>T &amp; t</title><style>p > a {{}}</style><script>if (a < b) "</p>"</script></head><body>
 <!-- <p>not this</p> --><div class="cookie-notice"><p>We use cookies</p><button>OK</button></div>
@@ -90,6 +93,50 @@ def test_given_pages(spark, sf):
         assert got[r["page_id"]] == "\n".join(p for p in parts if p)
 
 
+@pytest.mark.parametrize("page", ["<div>" * 100_000 + "deep", "<svg>" * 100_000 + "x", "<iframe>" * 50_000, "<!" * 200_000, "<a " * 200_000, "<a 'x\">" * 60_000, "<!--" * 100_000, "</p>" * 100_000, "<div class=ad>" * 60_000 + "x", "<div></span>" * 50_000, "<p>x<li>" * 30_000, "<x y='" * 50_000 + ">"])
+def test_hostile_pages_stay_linear(page):
+    began = time.time()
+    blocks, folded = H.parse(page)
+    json.dumps(folded)
+    assert time.time() - began < 20
+    assert page[-4:] != "deep" or [b["text"] for b in blocks] == ["deep"]
+
+
+def test_many_unlike_children_are_aligned_in_bounded_time():
+    rng = random.Random(0)
+    pages = ["".join(f"<{rng.choice(['p', 'ul', 'h2', 'pre', 'hr', 'table'])}>x" for _ in range(3000)) for _ in range(2)]
+    a, b = map(tree, pages)
+    began = time.time()
+    both = H.align(a, b)
+    assert time.time() - began < 20
+    assert set(H.slot_marks(a)) | set(H.slot_marks(b)) <= set(H.slot_marks(both))
+
+
+def test_the_wrapper_decides_about_hinted_parts(spark):
+    """A varying part that is named like an advert stays where every page of the host has it, and goes where only some do."""
+    part = "<div class='promo'><p>Part {n} of this very series</p></div>"
+    page = "<article><h1>Title {n}</h1><p>{n} long body of an article with many words in it</p>{part}<p>The end, {n}.</p></article>"
+    rows = [(n, "http://always/", page.format(n=n, part=part.format(n=n))) for n in range(6)]
+    rows += [(10 + n, "http://sometimes/", page.format(n=n, part=part.format(n=n) if n % 2 else "")) for n in range(6)]
+    frame = spark.createDataFrame(rows, "page_id bigint, url string, html string")
+    got = {r["page_id"]: r["text"] for r in H.extract(frame).collect()}
+    for n in range(6):
+        ends = f"Title {n}\n{n} long body of an article with many words in it", f"The end, {n}."
+        assert got[n] == f"{ends[0]}\nPart {n} of this very series\n{ends[1]}" and got[10 + n] == "\n".join(ends)
+    # without alignment, the first tree stands for all pages, and what is dropped changes
+    parsed = H.parsed_pages(frame)
+    slots, aligned = H.slot_statistics(parsed.select("host", "blocks")), H.infer_wrappers(parsed.select("host", "tree"))
+    first = parsed.groupBy("host").agg(F.max_by("tree", F.length("tree")).alias("wrapper")).join(aligned.select("host", "n_pages"), "host")
+    dropped = lambda wrappers: {r["host"]: r["dropped"] for r in H.content_paths(slots, wrappers).collect()}
+    assert dropped(aligned) == {"always": [], "sometimes": ["article/div.promo/p"]} != dropped(first)
+
+
+def test_text_that_never_changes_is_template(spark):
+    rows = [(n, f"http://h/{n}", f"<div id='a'><div class='box'><p>Body {n} of the page</p><p>same</p></div><div class='note'><p>Read on</p></div></div>") for n in range(5)]
+    got = [r["text"] for r in H.extract(spark.createDataFrame(rows, "page_id bigint, url string, html string")).orderBy("page_id").collect()]
+    assert got == [f"Body {n} of the page\nsame" for n in range(5)]
+
+
 def tree(page):
     return H.parse(page)[1]
 
@@ -116,7 +163,7 @@ def test_wrappers_of_hosts(spark):
     assert len(found) == 1 and found[0]["n_pages"] == 20 and found[0]["n_trees"] == 2
     wrapper = json.loads(found[0]["wrapper"])
     assert H.expression(wrapper) == "<div> <h1> # </h1> (<p> # </p>)+ </div>"
-    assert H._slot_paths(wrapper) == {"div/h1", "div/p"}
+    assert set(H.slot_marks(wrapper)) == {"div/h1", "div/p"}
 
 
 def test_wrappers_in_many_parts(spark):
@@ -128,4 +175,4 @@ def test_wrappers_in_many_parts(spark):
         assert len(found) == 1 and found[0]["n_pages"] == 32 and found[0]["n_trees"] == 32
         wrapper = json.loads(found[0]["wrapper"])
         assert all(H.covers(wrapper, tree(p)) for p in pages)
-        assert H._slot_paths(wrapper) == {f"div/{t}" for t in ("h1", "p", "table", "ul", "pre")}
+        assert set(H.slot_marks(wrapper)) == {f"div/{t}" for t in ("h1", "p", "table", "ul", "pre")}
