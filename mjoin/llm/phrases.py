@@ -127,18 +127,18 @@ class PassageShard:
     """
 
     def __init__(self, passages: list[tuple], window: int, points: int = _POINTS):
-        self.window, self.sources = window, [source for source, _ in passages]
+        self.window = window
         self.size, gap = seed_layout(window)
         self.numbers: dict[bytes, int] = {}
         parts = [np.array([self.numbers.setdefault(w, len(self.numbers) + 1) for w in words], np.int64) for _, words in passages]
         # passages after each other, -1 between them and at both ends
         self.starts = 1 + np.concatenate([[0], np.cumsum([len(p) + 1 for p in parts])]).astype(np.int64)
         self.flat = np.full(int(self.starts[-1]), -1, np.int64)
-        seeds: dict[tuple, list[int]] = {}
-        for first, p, (_, words) in zip(self.starts, parts, passages, strict=False):
+        seeds: dict[tuple, list[tuple]] = {}
+        for first, p, (source, words) in zip(self.starts, parts, passages, strict=False):
             self.flat[first : first + len(p)] = p
             for k in range(0, len(words) - self.size + 1, gap):
-                seeds.setdefault(tuple(words[k : k + self.size]), []).append(int(first) + k)
+                seeds.setdefault(tuple(words[k : k + self.size]), []).append((int(first) + k, source))
         self.machines = []
         machine = None
         for words, places in seeds.items():
@@ -155,21 +155,27 @@ class PassageShard:
 
     def cover(self, words: list[bytes], own) -> list[tuple[int, int]]:
         """(first, after last) of the stretches of a document that stand, at least a window long, in a passage of smaller source."""
-        out, numbers, done = [], None, {}
+        out, numbers, n, size, flat = [], None, len(words), self.size, self.flat
         for machine, known in self.machines:
-            get = known.get
+            get, done, lo, hi = known.get, {}, 0, 0  # lo and hi: the last stretch found
             for last, places in machine.iter("".join([get(w, "\0") for w in words])):
-                if numbers is None:
-                    numbers = np.fromiter((self.numbers.get(w, 0) for w in words), np.int64, len(words))
-                at = last - self.size + 1
-                for place in places:
-                    if at < done.get(place - at, 0):  # this alignment was compared beyond here
+                at = last - size + 1
+                for place, source in places:
+                    if not source < own or at < done.get(place - at, 0):  # this alignment was compared beyond here
                         continue
+                    if numbers is None:
+                        numbers = np.fromiter((self.numbers.get(w, 0) for w in words), np.int64, n)
+                    if lo <= at and last < hi:
+                        # a match inside a stretch adds something only if it goes on at one of its ends
+                        right, left = place + hi - at, place - (at - lo) - 1
+                        if not (hi < n and right < len(flat) and flat[right] == numbers[hi]) and not (lo > 0 and left > 0 and flat[left] == numbers[lo - 1]):
+                            continue
                     after = at + _equal(numbers[at:], self.flat[place:])
                     first = at - _equal(numbers[:at][::-1], self.flat[:place][::-1])
                     done[place - at] = after
-                    if after - first >= self.window and self.sources[int(np.searchsorted(self.starts, place, side="right")) - 1] < own:
+                    if after - first >= self.window:
                         out.append((first, after))
+                        lo, hi = (min(lo, first), max(hi, after)) if first <= hi and lo <= after else (first, after)
         return out
 
 
