@@ -450,3 +450,29 @@ def redact(docs: DataFrame, field: ChainField) -> DataFrame:
             yield batch.set_column(batch.schema.get_field_index("text"), batch.schema.field("text"), pa.array(texts, batch.schema.field("text").type))
 
     return docs.mapInArrow(run, docs.schema)
+
+
+def base_counts(docs: DataFrame) -> DataFrame:
+    """doc_id and the numbers of base spans of every row, by the fixed patterns alone; null is empty."""
+    kind = next(f.dataType for f in docs.schema if f.name == "doc_id").simpleString()
+
+    def run(batch):
+        found = [[s[2] for s in base_spans(t)] for t in texts_of(batch)]
+        return {"doc_id": batch.column("doc_id")} | {f"n_{k}": [f.count(k) for f in found] for k in BASE_KINDS}
+
+    return map_arrow(docs.select("doc_id", "text"), run, f"doc_id {kind}, {', '.join(f'n_{k} bigint' for k in BASE_KINDS)}")
+
+
+#: The same in DuckDB, over the view documents.
+COUNTS_SQL = r"""
+WITH d AS (SELECT doc_id, coalesce(text, '') AS t FROM documents),
+x AS (SELECT doc_id, len(regexp_extract_all(t, '[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+')) AS n_email,
+  regexp_extract_all(t, '[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)') AS ips,
+  list_transform(regexp_extract_all(t, '[0-9]([\x20-]?[0-9])+'), lambda c: reverse(regexp_replace(c, '[^0-9]', '', 'g'))) AS cards,
+  list_transform(regexp_extract_all(t, '\+[0-9][\x20().0-9-]+[0-9]'), lambda c: len(regexp_replace(c, '[^0-9]', '', 'g'))) AS phones FROM d)
+SELECT doc_id, n_email::BIGINT AS n_email,
+  len(list_filter(ips, lambda i: list_max(list_transform(string_split(i, '.'), lambda p: p::HUGEINT)) <= 255))::BIGINT AS n_ip,
+  len(list_filter(cards, lambda c: len(c) BETWEEN 14 AND 19 AND list_sum(list_transform(range(1, len(c) + 1), lambda k:
+    c[k]::INT * (2 - k % 2) - CASE WHEN k % 2 = 0 AND c[k]::INT > 4 THEN 9 ELSE 0 END)) % 10 = 0))::BIGINT AS n_card,
+  len(list_filter(phones, lambda n: n BETWEEN 10 AND 15))::BIGINT AS n_phone FROM x
+"""

@@ -54,9 +54,21 @@ def op10_language_id(spark, sf_dir):
     return langid.identify(docs, langid.learn_profiles(docs))
 
 
-QUERIES = {f.__name__: f for f in (op1_mix_sources, op2_html_text, op3_token_files, op4_ngram_join, op5_toxicity, op6_decontaminate, op7_repeated_passages, op8_personal_data, op9_fingerprints, op10_language_id)}
+def base_personal_data(spark, sf_dir):
+    """What op8 counts by its fixed patterns."""
+    return pii.base_counts(load(spark, sf_dir, "documents"))
+
+
+def edited_texts(spark, sf_dir):
+    """What op9 says of the edited texts."""
+    return sketch.fingerprints(load(spark, sf_dir, "documents")).select("doc_id", "n_chars", "edited_sha256")
+
+
+QUERIES = {f.__name__: f for f in (base_personal_data, edited_texts, op1_mix_sources, op2_html_text, op3_token_files, op4_ngram_join, op5_toxicity, op6_decontaminate, op7_repeated_passages, op8_personal_data, op9_fingerprints, op10_language_id)}
 
 ORACLE: dict[str, str] = {
+    "base_personal_data": pii.COUNTS_SQL,
+    "edited_texts": sketch.EDITS_SQL,
     "op1_mix_sources": mixing.MIX_SQL,
     "op6_decontaminate": decontaminate.CONTAMINATION_SQL,
     "op7_repeated_passages": phrases.PASSAGES_SQL,

@@ -7,7 +7,7 @@ import hashlib
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import mix64, texts_of, window_hashes
@@ -66,10 +66,25 @@ def likeness(a: np.ndarray, b: np.ndarray) -> float:
     return both / min(in_a, in_b) if min(in_a, in_b) else 0.0
 
 
+#: Ids of least hash for each range from which bounds of text ids are taken.
+_DRAWN = 64
+
+
 def next_ranges(docs: DataFrame, n: int) -> tuple[list, tuple | None]:
-    """n - 1 ids that occur in docs and part them about evenly; the least and greatest id."""
-    row = docs.agg(F.percentile_approx("doc_id", [i / n for i in range(1, n)] or [0.5], 10_000).alias("q"), F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).first()
-    return sorted(set(row["q"] or [])), None if row["lo"] is None else (row["lo"], row["hi"])
+    """Up to n - 1 ids that occur in docs and part them about evenly; the least and greatest id.
+
+    Numbers by approximate percentiles, text by the order of the _DRAWN * n ids of least hash. Bounds only deal rows out.
+    """
+    kind = next(f.dataType for f in docs.schema if f.name == "doc_id").simpleString()
+    ends = docs.agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).first()
+    if ends["lo"] is None:
+        return [], None
+    if kind == "string":
+        drawn = docs.select("doc_id").where(F.col("doc_id").isNotNull()).orderBy(F.xxhash64("doc_id"), "doc_id").limit(_DRAWN * n).collect()
+        ids = sorted({r["doc_id"] for r in drawn})
+        return sorted({ids[len(ids) * k // n] for k in range(1, n)}), (ends["lo"], ends["hi"])
+    q = docs.agg(F.percentile_approx("doc_id", [i / n for i in range(1, n)] or [0.5], 10_000).alias("q")).first()["q"]
+    return sorted(set(q or [])), (ends["lo"], ends["hi"])
 
 
 def fingerprints(docs: DataFrame, partitions: int | None = None) -> DataFrame:
@@ -83,23 +98,24 @@ def fingerprints(docs: DataFrame, partitions: int | None = None) -> DataFrame:
     """
     n = partitions or int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     bounds, ends = next_ranges(docs, n)
-    marks = np.array(bounds)
     kind = next(f.dataType for f in docs.schema if f.name == "doc_id").simpleString()
-    lo_hi = ends
+    marks, greatest = bounds, ends and ends[1]
 
     @F.pandas_udf("array<int>")
     def ranges(ids):
         # (bounds[k-1], bounds[k]] is range k; a bound, and the greatest id for range 0, also serve the range above.
+        import bisect
+
         import pandas as pd
 
-        known = ids.fillna(lo_hi[0] - 1 if lo_hi else 0).to_numpy().astype(np.int64)
-        at = np.searchsorted(marks, known, side="left") if len(marks) else np.zeros(len(known), int)
-        hit = np.isin(known, marks)
-        out = [[int(k), -int(k) - 2] if b else [int(k)] for k, b in zip(at, hit, strict=True)]
-        if lo_hi:
-            for i in np.flatnonzero(known == lo_hi[1]):
-                out[i].append(-1)
-        return pd.Series(out)
+        def of(i):
+            if i is None or i != i:
+                return [0]
+            k = bisect.bisect_left(marks, i)
+            out = [k, -k - 2] if k < len(marks) and marks[k] == i else [k]
+            return [*out, -1] if i == greatest else out
+
+        return pd.Series([of(i) for i in ids.tolist()])
 
     def run(batches):
         held = None  # the row that waits for its next: (own, id, text, sketch)
@@ -138,10 +154,19 @@ def fingerprints(docs: DataFrame, partitions: int | None = None) -> DataFrame:
     id_type = {"string": pa.string(), "bigint": pa.int64()}.get(kind, pa.int32())
     types = [id_type, pa.int64(), pa.string(), pa.string(), pa.string(), pa.float64(), pa.float64()]
     names = ["doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", "near_edited", "near_next"]
-    part = F.explode(ranges("doc_id")).alias("r")
+    known = F.coalesce("doc_id", F.lit(ends[0] if ends else None).cast(kind))  # no nulls, which would make numbers inexact
+    part = F.explode(F.when(F.col("doc_id").isNull(), F.array(F.lit(0))).otherwise(ranges(known))).alias("r")
     dealt = docs.select("doc_id", "text", part)
     # Helpers: -1 is the greatest id for the lowest range, -k-2 the bound above range k for range k + 1.
     at = F.when(F.col("r") >= 0, F.col("r")).when(F.col("r") == -1, 0).otherwise(-F.col("r") - 1)
     dealt = dealt.select("doc_id", "text", at.alias("at"), (F.col("r") >= 0).alias("own"), (F.col("r") == -1).cast("int").alias("last"))
     dealt = dealt.repartitionById(len(bounds) + 1, F.col("at")).sortWithinPartitions("last", F.col("doc_id").desc_nulls_last(), F.col("own").desc(), "text")
     return dealt.mapInArrow(run, f"doc_id {kind}, n_chars bigint, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double")
+
+
+#: The fixed columns of fingerprints() in DuckDB, over the view documents.
+EDITS_SQL = r"""
+WITH d AS (SELECT doc_id, coalesce(text, '') AS t FROM documents),
+n AS (SELECT doc_id, t, coalesce(lead(t) OVER (ORDER BY doc_id DESC), first_value(t) OVER (ORDER BY doc_id DESC)) AS after FROM d)
+SELECT doc_id, length(t)::BIGINT AS n_chars, sha256(substring(t, 1, length(t) - length(t) // 2) || substring(after, 1, length(t) // 2)) AS edited_sha256 FROM n
+"""

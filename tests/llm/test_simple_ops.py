@@ -115,6 +115,19 @@ def test_fingerprints_brute_force(spark, sf, partitions):
     assert np.mean([r["near_edited"] for r in got.values()]) > 0.4
 
 
+def test_fingerprints_of_text_ids(spark):
+    rng = random.Random(6)
+    docs = [(f"{rng.choice('aZé')}{k}", " ".join(rng.choice("abcde") for _ in range(rng.randint(0, 40)))) for k in range(90)]
+    frame = spark.createDataFrame(docs, "doc_id string, text string")
+    for partitions in (1, 7):
+        got = {r["doc_id"]: r["edited_sha256"] for r in sketch.fingerprints(frame, partitions).collect()}
+        order = sorted(docs, reverse=True)
+        want = {}
+        for (i, t), (_, u) in zip(order, order[1:] + order[:1], strict=True):
+            want[i] = hashlib.sha256((t[: len(t) - len(t) // 2] + u[: len(t) // 2]).encode()).hexdigest()
+        assert got == want
+
+
 def test_sketches_merge_and_estimate():
     rng = random.Random(3)
     text = "".join(rng.choice("abcdefgh ") for _ in range(40_000))
