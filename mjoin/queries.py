@@ -18,9 +18,9 @@ from .exec.single_job import chain_join, co_partitioned, sorted_pairs
 from .functions import hilbert_expr, register_regions_of, sign_keys, zorder_expr
 from .operators import anti_join, band_join, join_asof, salted_join, semi_join, top_k_by
 from .partition.assign import assign_regions, copies_by_relation, partition_score
-from .partition.reducers import delta_curve
+from .partition.reducers import best_fitted, delta_curve
 from .plan.cover import exact_cover, greedy_cover
-from .plan.planner import explain, trail_table
+from .plan.planner import Planner, explain, trail_table
 from .plan.schedule import merge_plan, schedule_jobs
 from .plan.trails import build_pruned_trails, enumerate_trails
 from .query import multi_join
@@ -480,6 +480,23 @@ def calibration(spark, sf):
     return spark.createDataFrame(rows, "groups int, reducers int, n_rows bigint, measured double, predicted double")
 
 
+@query("calibration_curves")
+def calibration_curves(spark, sf):
+    """The fitted spill and connection curves, and the cost of w3 with one subscriber planned with them."""
+    params, _ = Y.calibrate(spark, sf, [200, 1000], [2, 8])
+    rows = [("spill", x, y) for x, y in params.spill.points] + [("connect", x, y) for x, y in params.connect.points]
+    plan = MultiJoinEngine(spark, planner=Planner(params)).plan(C.three_days(C.relation(spark, sf), "=", True))
+    return spark.createDataFrame([*rows, ("planned", float(len(plan.jobs)), plan.cost)], "curve string, x double, seconds double")
+
+
+@query("best_reducers")
+def best_reducers(spark, sf):
+    """Fastest number of reducers of the sample join by copies of its input, and the number that the fit gives."""
+    size = 24.0 * load(spark, sf, "events").count()
+    best, fit = Y.best_reducers(Y.measure_grid(spark, sf, [1, 4, 16], [2, 4, 8, 16]), size)
+    return spark.createDataFrame([(f, r, best_fitted(f * size, fit)) for f, r in best], "factor int, best int, fitted int")
+
+
 #: Both curves over a 16 by 16 grid: one digit of base four a level, the square turned as the level's quadrant asks.
 HILBERT_SQL = """WITH RECURSIVE g AS (SELECT (range // 16)::INT AS x, (range % 16)::INT AS y FROM range(256)),
 w(x0, y0, x, y, s, h, z) AS (SELECT x, y, x, y, 8, 0::BIGINT, 0::BIGINT FROM g UNION ALL
