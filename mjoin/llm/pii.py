@@ -423,7 +423,7 @@ def train_field(spark: SparkSession, **options) -> ChainField:
 
 
 def find_personal_data(docs: DataFrame, field: ChainField) -> DataFrame:
-    """doc_id, numbers of base spans by kind, base_sha256 and spans of every row from its whole text; null is empty; no shuffle."""
+    """doc_id, numbers of base spans by kind, base_sha256, spans and their number, of every row from its whole text; null is empty; no shuffle."""
     kind = next(f.dataType for f in docs.schema if f.name == "doc_id").simpleString()
 
     def run(batch):
@@ -431,9 +431,9 @@ def find_personal_data(docs: DataFrame, field: ChainField) -> DataFrame:
         for lo in range(0, len(texts), 2000):
             rows += all_spans(texts[lo : lo + 2000], field)
         counts = {f"n_{k}": [sum(s[2] == k for s in base) for base, _ in rows] for k in BASE_KINDS}
-        return {"doc_id": batch.column("doc_id"), **counts, "base_sha256": [hashlib.sha256(show(b).encode()).hexdigest() for b, _ in rows], "spans": [show(s) for _, s in rows]}
+        return {"doc_id": batch.column("doc_id"), **counts, "base_sha256": [hashlib.sha256(show(b).encode()).hexdigest() for b, _ in rows], "spans": [show(s) for _, s in rows], "n_spans": [len(s) for _, s in rows]}
 
-    return map_arrow(docs.select("doc_id", "text"), run, f"doc_id {kind}, {', '.join(f'n_{k} bigint' for k in BASE_KINDS)}, base_sha256 string, spans string")
+    return map_arrow(docs.select("doc_id", "text"), run, f"doc_id {kind}, {', '.join(f'n_{k} bigint' for k in BASE_KINDS)}, base_sha256 string, spans string, n_spans bigint")
 
 
 def redact(docs: DataFrame, field: ChainField) -> DataFrame:

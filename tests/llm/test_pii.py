@@ -129,6 +129,7 @@ def test_added_spans_and_redaction(spark, odd, none, field):
     text = 'Mail a.b@c.de or call me at 555-123-4567. token = "0123456789abcdef0123456789abcdef" at 10.0.0.1'
     docs = spark.createDataFrame([(1, text), (2, None)], "doc_id bigint, text string")
     rows = {r["doc_id"]: r for r in pii.find_personal_data(docs, field).collect()}
+    assert rows[1]["n_spans"] == 4 and rows[2]["n_spans"] == 0
     assert rows[1]["spans"] == "email:5:13,phone:28:40,secret:51:83,ip:88:96"
     base = ",".join(f"{k}:{a}:{z}" for a, z, k in plain_spans(text))
     assert rows[1]["base_sha256"] == hashlib.sha256(base.encode()).hexdigest() and rows[1]["n_phone"] == 0
