@@ -5,9 +5,10 @@ from collections import Counter
 
 import corpus_pipeline as C
 import numpy as np
-from mjoin.llm import mixing, token_files, toxicity
+from mjoin.llm import mixing, toxicity
 from mjoin.llm.common import load, settle
 from mjoin.llm.queries import vocabulary
+from tokenizers import Tokenizer
 
 from .test_decontaminate import brute as brute_hits
 from .test_ngram_join import brute as brute_classes
@@ -41,7 +42,7 @@ def test_stages(spark, sf):
     assert Counter(r["doc_id"] for r in mixed) == want
     assert all(r["n_chars"] == len(r["text"]) for r in mixed)
 
-    encode, start = token_files.CachedEncoder(vocabulary()).tokenizer.encode, 0
+    encode, start = Tokenizer.from_file(vocabulary()).encode, 0
     for r, d in zip(out["token_files"].orderBy("start").collect(), sorted(mixed, key=lambda r: r["doc_id"]), strict=True):
         ids = [*encode(d["text"], add_special_tokens=False).ids, 0]
         assert tuple(r) == (d["doc_id"], start, len(ids), zlib.crc32(np.array(ids, "<u4").tobytes()))
