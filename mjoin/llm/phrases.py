@@ -8,19 +8,22 @@ import ahocorasick
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_schema
 from pyspark.sql.types import StructType
 
-from .common import WordHashes, map_arrow, settle, texts_of, window_hashes, words_of
+from .common import WordHashes, map_arrow, mix64, settle, texts_of, window_hashes, words_of
 
 #: Words of a window; words of passages in one shard; bytes of texts that one task streams through a shard.
 WINDOW = 50
-SHARD_WORDS = 2_000_000
-UNIT_BYTES = 24 << 20
+SHARD_WORDS = 1_000_000
+UNIT_BYTES = 48 << 20
 _SECOND_BASE = 0xC2B2AE3D27D4EB4F
-_SURROGATES, _POINTS = 0xD800, 0x10F000
+#: A word of a seed is three letters, each of an alphabet of its own of so many: nodes of the automata then have few edges,
+#: which are searched one by one, and no match begins inside a word. Letters of no word.
+_LETTERS, _NO_WORD = 128, "\0\0\0"
+_POINTS = _LETTERS**3
 
 
 def _sliding(x: np.ndarray, width: int, fold) -> np.ndarray:
@@ -115,30 +118,41 @@ def _passages(firsts: DataFrame, window: int) -> DataFrame:
 
 
 def seed_layout(window: int) -> tuple[int, int]:
-    """Words of a seed, and the distance of seeds in a passage: any window of a passage holds a whole seed."""
-    size = max(1, window // 4)
+    """Words of a seed, and the number of places in a window at which one can begin."""
+    size = max(1, window // 6)
     return size, window - size + 1
 
 
 class PassageShard:
     """Aho-Corasick automata over seeds of passages; what stands around a found seed is compared word by word.
 
-    Every distinct word of a seed is one code point. Seeds beyond the number of code points go to further automata.
+    Each window of a passage holds a whole seed. Of the word sequences that can be one, the rarest among all passages of the
+    shard is taken, so that passages that differ in a few words are told apart by seeds over these. Seeds of more distinct
+    words than points go to further automata.
     """
 
     def __init__(self, passages: list[tuple], window: int, points: int = _POINTS):
         self.window = window
         self.size, gap = seed_layout(window)
         self.numbers: dict[bytes, int] = {}
-        parts = [np.array([self.numbers.setdefault(w, len(self.numbers) + 1) for w in words], np.int64) for _, words in passages]
+        number = self.numbers.setdefault
+        parts = [np.array([number(w, len(self.numbers) + 1) for w in words], np.int64) for _, words in passages]
         # passages after each other, -1 between them and at both ends
-        self.starts = 1 + np.concatenate([[0], np.cumsum([len(p) + 1 for p in parts])]).astype(np.int64)
-        self.flat = np.full(int(self.starts[-1]), -1, np.int64)
-        seeds: dict[tuple, list[tuple]] = {}
-        for first, p, (source, words) in zip(self.starts, parts, passages, strict=False):
+        starts = 1 + np.concatenate([[0], np.cumsum([len(p) + 1 for p in parts])]).astype(np.int64)
+        self.flat = np.full(int(starts[-1]), -1, np.int64)
+        for first, p in zip(starts, parts, strict=False):
             self.flat[first : first + len(p)] = p
-            for k in range(0, len(words) - self.size + 1, gap):
-                seeds.setdefault(tuple(words[k : k + self.size]), []).append((int(first) + k, source))
+        _, at, often = np.unique(window_hashes(mix64(self.flat.view(np.uint64)), self.size), return_inverse=True, return_counts=True)
+        often = often[at]
+        seeds: dict[tuple, list[tuple]] = {}
+        for first, (source, words) in zip(starts.tolist(), passages, strict=False):
+            k, windows = 0, len(words) - window + 1
+            while k < windows:
+                # a seed that begins at j serves windows k to j: later ones serve more, but the rarest is taken
+                near = often[first + k + gap // 2 : first + k + gap][::-1]
+                j = k + gap - 1 - int(near.argmin()) if len(near) else k
+                seeds.setdefault(tuple(words[j : j + self.size]), []).append((first + j, source))
+                k = j + 1
         self.machines = []
         machine = None
         for words, places in seeds.items():
@@ -147,8 +161,8 @@ class PassageShard:
                 self.machines.append((machine, known))
             for w in words:
                 if w not in known:
-                    k = len(known) + 1
-                    known[w] = chr(k if k < _SURROGATES else k + 0x800)
+                    k = len(known)
+                    known[w] = chr(1 + k % _LETTERS) + chr(1 + _LETTERS + k // _LETTERS % _LETTERS) + chr(1 + 2 * _LETTERS + k // _LETTERS**2)
             machine.add_word("".join(map(known.__getitem__, words)), places)
         for machine, _ in self.machines:
             machine.make_automaton()
@@ -158,7 +172,8 @@ class PassageShard:
         out, numbers, n, size, flat = [], None, len(words), self.size, self.flat
         for machine, known in self.machines:
             get, done, lo, hi = known.get, {}, 0, 0  # lo and hi: the last stretch found
-            for last, places in machine.iter("".join([get(w, "\0") for w in words])):
+            for letter, places in machine.iter("".join([get(w, _NO_WORD) for w in words])):
+                last = letter // 3
                 at = last - size + 1
                 for place, source in places:
                     if not source < own or at < done.get(place - at, 0):  # this alignment was compared beyond here
@@ -203,14 +218,15 @@ def _locate(passages: DataFrame, candidates: DataFrame, window: int, shard_words
     routes = candidates.select("doc_id", "t", F.length("text").alias("size"), F.explode("anchors").alias("anchor")).join(known, "anchor")
     routes = settle(routes.select("doc_id", "t", "size", "shard").distinct(), "phrases-routes")
     units = routes.groupBy("shard").agg(F.ceil(F.sum("size") / unit_bytes).cast("int").alias("units"))
-    units = settle(units, "phrases-units")  # a row for each shard
-    first = passages.select(shard, "doc_id", "t", "text").join(units, "shard").withColumn("unit", F.explode(F.sequence(F.lit(0), F.col("units") - 1))).withColumn("side", F.lit(0))
+    before = Window.orderBy("shard").rowsBetween(Window.unboundedPreceding, -1)
+    units = settle(units.withColumn("begin", F.coalesce(F.sum("units").over(before), F.lit(0)).cast("int")), "phrases-units")  # a row for each shard
+    n = max(1, units.agg(F.sum("units")).first()[0] or 0)
+    first = passages.select(shard, "doc_id", "t", "text").join(units, "shard").withColumn("unit", F.explode(F.sequence(F.col("begin"), F.col("begin") + F.col("units") - 1))).withColumn("side", F.lit(0))
     texts = candidates.select("doc_id", "t", "text").join(routes.drop("size"), ["doc_id", "t"]).join(units, "shard")
-    texts = texts.withColumn("unit", F.pmod(F.xxhash64(F.lit("unit"), "doc_id", "t"), F.col("units")).cast("int")).withColumn("side", F.lit(1))
-    columns = ["shard", "unit", "side", "doc_id", "t", "text"]
+    texts = texts.withColumn("unit", F.pmod(F.xxhash64(F.lit("unit"), "doc_id", "t"), F.col("units")).cast("int") + F.col("begin")).withColumn("side", F.lit(1))
+    columns = ["unit", "side", "doc_id", "t", "text"]
     both = first.select(*columns).unionByName(texts.select(*columns))
-    n = int(both.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    dealt = both.repartition(n, "shard", "unit").sortWithinPartitions("shard", "unit", "side", "doc_id", "t")
+    dealt = both.repartitionById(n, F.col("unit")).sortWithinPartitions("unit", "side", "doc_id", "t")  # a task for each unit
     kind = next(f.dataType for f in candidates.schema if f.name == "doc_id").simpleString()
     schema = f"doc_id {kind}, t bigint, spans array<struct<first:int,after:int>>"
     out = to_arrow_schema(StructType.fromDDL(schema))
@@ -219,11 +235,11 @@ def _locate(passages: DataFrame, candidates: DataFrame, window: int, shard_words
         own, held, machine = None, [], None
         for batch in batches:
             found = [[], [], []]
-            keys = zip(batch.column("shard").to_pylist(), batch.column("unit").to_pylist(), batch.column("side").to_pylist(), strict=True)
+            keys = zip(batch.column("unit").to_pylist(), batch.column("side").to_pylist(), strict=True)
             for key, doc, t, text in zip(keys, batch.column("doc_id").to_pylist(), batch.column("t").to_pylist(), texts_of(batch), strict=True):
-                if key[:2] != own:
-                    own, held, machine = key[:2], [], None
-                if key[2] == 0:
+                if key[0] != own:
+                    own, held, machine = key[0], [], None
+                if key[1] == 0:
                     held.append((doc, words_of(text)))
                     continue
                 if machine is None:
