@@ -11,13 +11,13 @@ from pyspark.sql import functions as F
 from .common import WordHashes, map_arrow, mix64, settle, texts_of, window_hashes, words_of
 
 #: Words of a shingle, least similarity, tries of the forest, longest prefix, the recall that each pair is sure of, and the
-#: number of lost links (as expected from those found) at which prefixes stop shrinking.
+#: share of all links that may be lost (as expected from those found) when prefixes stop shrinking.
 SHINGLE = 5
 THRESHOLD = 0.8
 TREES = 24
 LONGEST_PREFIX = 12
 RECALL = 0.9999
-LOST = 0.5
+LOST = 1e-6
 #: Classes of similarity between the threshold and 1 in which found links are counted.
 GRADES = 40
 #: Members of one block of a crowded node; increments of one counting step.
@@ -229,7 +229,7 @@ def _paired(member: DataFrame, nodes: DataFrame, block: int) -> DataFrame:
 
 
 def _links(docs: DataFrame, keyed: DataFrame, depth: int, trees: int, threshold: float, size: int, block: int, lost: float) -> DataFrame:
-    """Links by set, spanning edges and grades, from prefixes that shrink until so few links are expected to be lost."""
+    """Links by set, spanning edges and grades, from prefixes that shrink until so small a share of links is expected to be lost."""
     forest, done, found, grades = plant_forest(keyed, depth, trees), None, None, np.zeros(GRADES)
     for level in range(depth, 0, -1):
         member, nodes = _crowds(forest, level, block)
@@ -242,7 +242,7 @@ def _links(docs: DataFrame, keyed: DataFrame, depth: int, trees: int, threshold:
         for r in now.select(F.posexplode("grades").alias("grade", "n")).groupBy("grade").agg(F.sum("n").alias("n")).collect():  # GRADES rows
             grades[r["grade"]] += r["n"]
         found = now if found is None else found.unionByName(now)
-        if expected_lost(grades, level, threshold, trees) <= lost:
+        if expected_lost(grades, level, threshold, trees) <= lost * grades.sum():
             break
         done = nodes.select("n", "p", "q") if done is None else done.unionByName(nodes.select("n", "p", "q"))
     return found.where("set_key is not null").drop("grades")
@@ -281,7 +281,7 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, size: int = S
     Rows of one shingle set meet in a grouped count, not in pairs; one row stands for them. Each trie of the forest is
     a sorted table of MinHash paths. Sets meet at the longest prefix at which pairs of the threshold meet with the
     recall; prefixes then shrink value by value until the links found, each weighed by its chance to meet, let expect no
-    more than lost links missing among all. Nodes of equal member sets are worked once, a pair where it first meets.
+    more than the share lost of all links to be missing. Nodes of equal member sets are worked once, a pair where it first meets.
     Nodes beyond block members are cut into blocks, every two of which are a task of bounded size; tasks return counts
     and spanning edges, never pairs. What the tries nominate, whole shingle sets decide. Nothing is capped or sampled.
 

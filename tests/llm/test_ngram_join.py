@@ -77,7 +77,7 @@ def test_prefixes_shrink_by_what_is_found(spark, monkeypatch):
     # many links at the threshold let expect losses, the same number of closer ones doesn't
     close, far = np.zeros(J.GRADES), np.zeros(J.GRADES)
     far[0], close[-1] = 20_000, 20_000
-    assert J.expected_lost(far, depth) > J.LOST > J.expected_lost(far, depth - 1) and J.expected_lost(close, depth) < 1e-6
+    assert J.expected_lost(far, depth) > J.LOST * 20_000 > J.expected_lost(far, depth - 2) and J.expected_lost(close, depth) < 1e-6
     rng = random.Random(2)
     base = [str(rng.random()) for _ in range(400)]
     paths = np.stack([J.signature(J.shingles(words_of(" ".join(edited(rng, base, 0.012))), WordHashes()), depth) for _ in range(400)]).astype(np.uint64)
@@ -89,9 +89,9 @@ def test_prefixes_shrink_by_what_is_found(spark, monkeypatch):
     levels = []
     crowds = J._crowds
     monkeypatch.setattr(J, "_crowds", lambda forest, level, block: levels.append(level) or crowds(forest, level, block))
-    assert rows_of(J.near_duplicates(docs, trees=6, recall=0.3, lost=1e9)) != want
+    assert rows_of(J.near_duplicates(docs, trees=6, recall=0.3, lost=10.0)) != want
     assert len(levels) == 1
-    assert rows_of(J.near_duplicates(docs, trees=6, recall=0.3, lost=0.01)) == want
+    assert rows_of(J.near_duplicates(docs, trees=6, recall=0.3, lost=1e-6)) == want
     assert levels[1:] == list(range(levels[0], levels[-1] - 1, -1)) and len(levels) > 2
 
 
