@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -53,8 +54,6 @@ def hilbert_udf(bits: int):
 
     @F.pandas_udf("long")
     def index(coords):
-        import pandas as pd
-
         return pd.Series(hilbert_index(np.stack(coords.to_numpy()), bits) if len(coords) else [], dtype="int64")
 
     return index
@@ -86,3 +85,14 @@ def register_regions_of(spark, assignment, aliases: list[str], name: str = "regi
                 yield (r,)
 
     spark.udtf.register(name, RegionsOf)
+
+
+def selectivity_agg(op: str):
+    """Aggregate of two columns: the share of rows whose pair of values meets the comparison; 0 for none. For sampled pairs."""
+    compare = {"<": np.less, "<=": np.less_equal, "=": np.equal, ">=": np.greater_equal, ">": np.greater, "<>": np.not_equal}[op]
+
+    def share(a: pd.Series, b: pd.Series) -> float:
+        known = a.notna() & b.notna()
+        return float(compare(a[known].to_numpy(), b[known].to_numpy()).mean()) if known.any() else 0.0
+
+    return F.pandas_udf(share, "double")

@@ -15,7 +15,7 @@ from . import streaming as S
 from .api import MultiJoinEngine
 from .exec.merge import count_by, hydrate, per_id
 from .exec.single_job import chain_join, co_partitioned, sorted_pairs
-from .functions import hilbert_expr, register_regions_of, sign_keys, zorder_expr
+from .functions import hilbert_expr, register_regions_of, selectivity_agg, sign_keys, zorder_expr
 from .operators import anti_join, band_join, join_asof, salted_join, semi_join, top_k_by
 from .partition.assign import assign_regions, copies_by_relation, partition_score
 from .partition.reducers import best_fitted, delta_curve
@@ -379,6 +379,12 @@ def selectivity_sample(spark, sf):
     return spark.createDataFrame(sorted(s.selectivity.items()), "label int, selectivity double")
 
 
+@query("selectivity_by_day", f"{C.CALLS_SQL} SELECT d, round(avg((l >= bsc)::INT), 9) AS share FROM calls GROUP BY d")
+def selectivity_by_day(spark, sf):
+    """Share of the calls of a day of at least as many minutes as their station's number, by the aggregate function."""
+    return C.relation(spark, sf).groupBy("d").agg(selectivity_agg(">=")("l", "bsc").alias("share")).select("d", F.round("share", 9).alias("share"))
+
+
 @query("plan_explain")
 def plan_explain(spark, sf):
     return explain(spark, MultiJoinEngine(spark).plan(C.three_days(C.relation(spark, sf), "=", False)))
