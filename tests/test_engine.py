@@ -199,7 +199,7 @@ def test_sorted_pairs(spark, on):
     assert same_bag(sorted_pairs(q, k=5), B.brute_force(q))
 
 
-def test_table_function(spark):
-    got = {(r["alias"], r["c"], r["region"]) for r in Q.regions_by_table_function(spark, "").collect()}
+def test_table_function(spark, sf):
+    got = {(r["alias"], r["c"], r["region"]) for r in Q.regions_by_table_function(spark, sf).collect()}
     a = assign_regions(2, 5, "hilbert", 3)
     assert got == {(x, c, r) for x, routes in zip(("left", "right"), a.routes, strict=True) for c, rs in enumerate(routes) for r in rs}
