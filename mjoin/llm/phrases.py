@@ -24,6 +24,8 @@ _SECOND_BASE = 0xC2B2AE3D27D4EB4F
 #: which are searched one by one, and no match begins inside a word. Letters of no word.
 _LETTERS, _NO_WORD = 128, "\0\0\0"
 _POINTS = _LETTERS**3
+#: Places in the passages of a shard up to which a seed is rare.
+_RARE = 2
 
 
 def _sliding(x: np.ndarray, width: int, fold) -> np.ndarray:
@@ -148,9 +150,12 @@ class PassageShard:
         for first, (source, words) in zip(starts.tolist(), passages, strict=False):
             k, windows = 0, len(words) - window + 1
             while k < windows:
-                # a seed that begins at j serves windows k to j: later ones serve more, but the rarest is taken
-                near = often[first + k + gap // 2 : first + k + gap][::-1]
-                j = k + gap - 1 - int(near.argmin()) if len(near) else k
+                # a seed that begins at j serves windows k to j: later ones serve more, but the rarest is taken, of the later half if it is rare there
+                near = often[first + k : first + k + gap][::-1]
+                back = int(near[: gap - gap // 2].argmin())
+                if near[back] > _RARE:
+                    back = int(near.argmin())
+                j = k + gap - 1 - back
                 seeds.setdefault(tuple(words[j : j + self.size]), []).append((first + j, source))
                 k = j + 1
         self.machines = []

@@ -81,3 +81,14 @@ def test_odd_tables(spark, odd, none):
     rows = P.repeated_passages(odd).collect()
     assert len(rows) == odd.count()
     assert {r["doc_id"]: r["n_removed"] for r in rows}[5] == 0
+
+
+def test_a_very_common_line_is_no_seed_of_passages_with_own_words():
+    """Each window of a passage ends in a line that all passages repeat: its seed stands over the own words before it."""
+    line = [b"line%d" % k for k in range(7)]
+    passages = [(d, [b"a%d_%d" % (d, k) for k in range(5)] + line * 7) for d in range(40)]
+    shard = P.PassageShard(passages, 50)
+    assert max(len(places) for machine, _ in shard.machines for places in machine.values()) <= 2
+    for d, words in passages:
+        assert shard.cover([b"x", *words, b"y"], 100) == [(1, 1 + len(words))]
+        assert shard.cover(words, d) == []
