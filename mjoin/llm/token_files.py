@@ -38,6 +38,8 @@ class CachedEncoder:
         # strings of added tokens are cut out before the splitter: texts that hold one go to the library whole
         added = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
         self.added = re.compile("|".join(map(re.escape, added))) if added else None
+        over = [a for a in added if " " in a]  # strings that can go over several pieces
+        self.spaced = re.compile("|".join(map(re.escape, over))) if over else None
         self.known: dict[str, bytes] = {}
         self.older: dict[str, bytes] = {}
         # Ġ is the space in the vocabulary's byte alphabet
@@ -52,26 +54,35 @@ class CachedEncoder:
         """Ids of each text; pieces that are new to all of them are learned in one go."""
         if len(self.known) > _PIECES_LIMIT:
             self.known, self.older = {}, self.known
-        get, plain, new = self.known.get, [], {""}
+        get, plain, new = self.known.get, [], set()
         for t in texts:
-            if not t or t[0] == " " or t[-1] == " " or "  " in t or " \n" in t or "\n " in t or _ODD_SPACE.search(t) or (self.added and self.added.search(t)):
-                plain.append(None)
-                continue
             first, *rest = t.split(" ")
             found = list(map(get, rest))
-            if None in found:
-                new.update(compress(rest, map(is_, found, repeat(None))))
-                found = None
-            plain.append((first, rest, found))
-        new.discard("")
+            lacks = list(compress(range(len(rest)), map(is_, found, repeat(None))))
+            fresh = [rest[i] for i in lacks]
+            # known pieces have been looked through: only the first piece and those not known can send a text to the library whole
+            if not first or self.mixed(" ".join(["", first, *fresh, ""])) or (self.spaced and self.spaced.search(t)):
+                plain.append(None)
+                continue
+            new.update(fresh)
+            plain.append((first, rest, found, lacks))
         self.learn(new)
         whole = [t if p is None else p[0] for t, p in zip(texts, plain, strict=True)]
         out = []
         for e, p in zip(self.tokenizer.encode_batch_fast(whole, add_special_tokens=False), plain, strict=True):
             head = array("I", e.ids).tobytes()
-            out.append(np.frombuffer(head if p is None else head + b"".join(p[2] or map(self.known.__getitem__, p[1])), np.uint32))
+            if p is not None:
+                _, rest, found, lacks = p
+                for i in lacks:
+                    found[i] = self.known[rest[i]]
+                head += b"".join(found)
+            out.append(np.frombuffer(head, np.uint32))
         return out
 
+    def mixed(self, pieces: str) -> bool:
+        """Whether pieces, with a space before, between and behind them, hold white space that meets white space, is odd, or an added token."""
+        return "  " in pieces or " \n" in pieces or "\n " in pieces or bool(_ODD_SPACE.search(pieces)) or bool(self.added and self.added.search(pieces))
+
     def learn(self, pieces: set[str]) -> None:
         """Ids of new pieces: from the older half, from a known piece before a last full stop or comma, or by one library call.
 
@@ -79,16 +90,14 @@ class CachedEncoder:
         begins at an id whose token begins with the space, which stands nowhere else in them.
         """
         known, older, new = self.known, self.older, []
-        for p in pieces:
-            if (had := older.get(p)) is not None:
-                known[p] = had
-            elif p[-1:] in self.marks and p[-2:-1].isalpha():
+        held = pieces & older.keys()
+        known.update(zip(held, map(older.__getitem__, held), strict=True))
+        for p in pieces - held:
+            if p[-1] in self.marks and p[-2:-1].isalpha():
                 if (had := known.get(p[:-1]) or older.get(p[:-1])) is not None:
                     known[p] = had + self.marks[p[-1]]
-                else:
-                    new.append(p)
-            else:
-                new.append(p)
+                    continue
+            new.append(p)
         if new:
             ids = np.array(self.tokenizer.encode_batch_fast([" " + " ".join(new)], add_special_tokens=False)[0].ids, np.uint32)
             at = np.flatnonzero(self.leads[ids]).tolist()

@@ -243,3 +243,19 @@ def test_held_out_toxicity(spark, sf):
     rows = [r for r in queries.op5_toxicity(spark, sf).collect() if r["held_out"] and r["doc_id"] in labels]
     toxic, clean = ([r["predicted"] for r in rows if labels[r["doc_id"]] == y] for y in (1, 0))
     assert np.mean(toxic) > 0.6 and np.mean(clean) < 0.01
+
+
+def test_known_pieces_are_not_looked_through_again():
+    """Only the first piece and unknown ones are searched for odd white space; ids stay those of the library."""
+    import public_tokenizers
+    from mjoin.llm.token_files import CachedEncoder
+    from tokenizers import Tokenizer
+
+    path = public_tokenizers.path("byte_bpe_50k.json")
+    encoder, plain, seen = CachedEncoder(path), Tokenizer.from_file(path), []
+    look = encoder.mixed
+    encoder.mixed = lambda pieces: seen.append(pieces) or look(pieces)
+    texts = ["one two three", "zero two three two", "zero\ttwo three", "one two\n three", " two three", "two ", "a  b", "two <|endoftext|> three", "", "\ntwo three", "two three\n", "one two three　"]
+    for _ in range(2):
+        assert [x.tolist() for t in texts for x in encoder.batch([t])] == [plain.encode(t, add_special_tokens=False).ids for t in texts]
+    assert seen[1] == " zero "
