@@ -4,6 +4,7 @@ import random
 import re
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from mjoin.llm import ngram_join as J
 from mjoin.llm.common import WordHashes, load, words_of
@@ -133,3 +134,30 @@ def test_one_of_each(spark, sf, odd, none):
     kept = J.one_of_each(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()
     assert sorted(map(str, map(tuple, kept))) == sorted(map(str, [rows[1], rows[2], *rows[3:5], *rows[6:]]))
     assert J.near_duplicates(none).count() == J.one_of_each(none).count() == 0
+
+
+def test_nodes_of_one_set_end_where_the_forest_is_read(spark):
+    rng = random.Random(5)
+    base = " ".join(str(rng.random()) for _ in range(30))
+    docs = [(k, base + f" {k}") for k in range(6)] + [(k, " ".join(str(rng.random()) for _ in range(30))) for k in range(6, 400)]
+    keyed = J._profile(spark.createDataFrame(docs, "doc_id bigint, text string"), 3, 4, 5).withColumn("set_id", F.col("doc_id"))
+    forest = J.plant_forest(keyed, 3, 4, "set_id")
+    nodes = {}
+    for r in forest.collect():
+        nodes.setdefault((r["tree"], bytes(r["path"])[:8]), set()).add(r["set_id"])
+    crowded = {k: v for k, v in nodes.items() if len(v) > 1}
+    member, _ = J._crowds(forest, 2, 512)
+    kept = {}
+    for r in member.collect():
+        kept.setdefault((r["tree"], bytes(r["prefix"])), set()).add(r["set_id"])
+    assert crowded and crowded.items() <= kept.items() and sum(map(len, kept.values())) < 300 < forest.count()
+
+
+@pytest.mark.parametrize("size", [1, 2, 3, 50])
+def test_neighbours_are_met_across_batches_and_gaps(size):
+    rows = [(0, b"aaaa", 1, 0), (0, b"aaab", 2, 1), (0, b"abcc", 3, 2), (0, b"bbbb", 4, 3), (1, b"bbcc", 5, 4), (1, b"bbcd", 6, 5), (1, b"cccc", 7, 6), (1, b"cccd", 8, 9), (1, b"dddd", 9, 10)]
+    table = pa.table(dict(zip(("tree", "path", "set_id", "at"), map(list, zip(*rows)), strict=True)), schema=pa.schema([("tree", pa.int32()), ("path", pa.binary()), ("set_id", pa.int64()), ("at", pa.int64())]))
+    beside = lambda width: [x for b in J._beside(table.to_batches(max_chunksize=size), width) for x in b.column("set_id").to_pylist()]
+    # 1 and 2 share three bytes, 5 and 6 too; 7 and 8 stand at a gap, 1 and 9 at the ends
+    assert beside(4) == [1, 7, 8, 9]
+    assert beside(3) == [1, 2, 5, 6, 7, 8, 9]
