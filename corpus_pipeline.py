@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from mjoin.llm import decontaminate, mixing, ngram_join, token_files, toxicity
-from mjoin.llm.common import load, settle
+from mjoin.llm.common import load, settle_alone
 from mjoin.llm.queries import vocabulary
 
 
@@ -51,7 +51,7 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """
     docs = load(spark, sf_dir, "documents")
     for name, stage in STAGES[:-1]:
-        docs = settle(stage(spark, docs, sf_dir), f"pipeline-{name}")
+        docs = settle_alone(spark, lambda stage=stage, docs=docs: stage(spark, docs, sf_dir), f"pipeline-{name}")
     return STAGES[-1][1](spark, docs, sf_dir)
 
 

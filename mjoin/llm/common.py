@@ -15,6 +15,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 _VOCAB_LIMIT = 400_000
+#: Scratch folders made so far and not removed.
+_SCRATCH: list[str] = []
 
 
 def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -35,6 +37,7 @@ def scratch_path(spark: SparkSession, label: str) -> str:
     """A fresh folder name under the shared folder, deleted when the driver ends."""
     path = f"{shared_dir(spark)}/mjoin-{label}-{uuid.uuid4().hex[:12]}"
     atexit.register(_remove, spark, path)
+    _SCRATCH.append(path)
     return path
 
 
@@ -54,6 +57,18 @@ def settle(df: DataFrame, label: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def settle_alone(spark: SparkSession, build, label: str) -> DataFrame:
+    """build() settled; the scratch tables made by building it go, as the result is read from its own."""
+    begin = len(_SCRATCH)
+    df = build()
+    end = len(_SCRATCH)
+    out = settle(df, label)
+    for path in _SCRATCH[begin:end]:
+        _remove(spark, path)
+    del _SCRATCH[begin:end]
+    return out
+
+
 def map_arrow(df: DataFrame, fn, schema: str) -> DataFrame:
     """mapInArrow where fn turns one RecordBatch into a dict of columns; schema is a DDL string."""
     from pyspark.sql.pandas.types import to_arrow_schema

@@ -6,6 +6,7 @@ import re
 import numpy as np
 import pyarrow as pa
 import pytest
+from mjoin.llm import common
 from mjoin.llm import ngram_join as J
 from mjoin.llm.common import WordHashes, load, words_of
 from pyspark.sql import functions as F
@@ -161,3 +162,12 @@ def test_neighbours_are_met_across_batches_and_gaps(size):
     # 1 and 2 share three bytes, 5 and 6 too; 7 and 8 stand at a gap, 1 and 9 at the ends
     assert beside(4) == [1, 7, 8, 9]
     assert beside(3) == [1, 2, 5, 6, 7, 8, 9]
+
+
+def test_one_of_each_leaves_only_what_its_rows_are_read_from(spark):
+    docs = spark.createDataFrame([(k, f"a{k % 3} b c d e f") for k in range(9)], "doc_id bigint, text string")
+    before = len(common._SCRATCH)
+    kept = J.one_of_each(docs)
+    left = common._SCRATCH[before:]
+    assert [x.rsplit("mjoin-", 1)[1].rsplit("-", 1)[0] for x in left] == ["ngram-labelled", "ngram-stays"]
+    assert sorted(r["doc_id"] for r in kept.collect()) == [0, 1, 2]
