@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
 import os
 import tempfile
 import uuid
@@ -69,6 +70,15 @@ def settle_alone(spark: SparkSession, build, label: str) -> DataFrame:
     return out
 
 
+def release_memory() -> None:
+    """Give memory that nothing uses any more back to the system: Python workers go on to later stages with what they have."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # not every C library has it
+        pass
+
+
 def map_arrow(df: DataFrame, fn, schema: str) -> DataFrame:
     """mapInArrow where fn turns one RecordBatch into a dict of columns; schema is a DDL string."""
     from pyspark.sql.pandas.types import to_arrow_schema
@@ -81,6 +91,8 @@ def map_arrow(df: DataFrame, fn, schema: str) -> DataFrame:
             if batch.num_rows:
                 cols = fn(batch)
                 yield pa.RecordBatch.from_arrays([as_arrow(cols[f.name], f.type) for f in out], schema=out)
+                del cols
+        release_memory()
 
     return df.mapInArrow(run, schema)
 

@@ -6,28 +6,32 @@ import os
 import re
 import zlib
 from array import array
-from itertools import compress, repeat
-from operator import is_
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import scratch_path, texts_of
+from .common import release_memory, scratch_path
 
 END_ID = 0
 #: White space that is neither the space nor the newline, as Unicode or Python have it.
 _ODD_SPACE = re.compile("[\t\r\x0b\x0c\x1c-\x1f\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]")
-_PIECES_LIMIT = 400_000
+#: A word of Latin letters before an ASCII sign, digit or newline (RE2): the splitter always parts there.
+_WORD_AND_REST = "(?s)^(?P<word>\n?[A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u024f]+)(?P<rest>[\n!-@\\[-`{-~].*)$"
+_PARTS_LIMIT = 200_000
+#: Bytes of texts that are cut up at once.
+_CHUNK_BYTES = 3 << 20
 
 
 class CachedEncoder:
-    """Token ids by the tokenizers library, with one call for each distinct space-led piece.
+    """Token ids by the tokenizers library, with one call for each distinct part of a text.
 
-    The byte-level splitter never joins across a single space between two other characters, so the pieces of a
-    text are encoded alone and remembered; a text in which white space meets white space, or that holds the string of an
-    added token (which the library takes for that token), goes to the library whole.
+    The byte-level splitter never joins across a single space or newline between two other characters, nor a word of
+    letters with what follows it, so the parts are encoded alone and remembered; a text in which white space meets white
+    space, or that holds the string of an added token (which the library takes for that token), goes to the library whole.
+    Arrow cuts a chunk of texts up, numbers its parts and puts their ids together; Python looks up each distinct part once.
     """
 
     def __init__(self, path: str):
@@ -37,73 +41,137 @@ class CachedEncoder:
         self.tokenizer = Tokenizer.from_file(path)
         # strings of added tokens are cut out before the splitter: texts that hold one go to the library whole
         added = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
-        self.added = re.compile("|".join(map(re.escape, added))) if added else None
-        over = [a for a in added if " " in a]  # strings that can go over several pieces
-        self.spaced = re.compile("|".join(map(re.escape, over))) if over else None
+        self.strings, self.added = added, re.compile("|".join(map(re.escape, added))) if added else None
+        self.spaced = any(" " in a or "\n" in a for a in added)  # joined words could hold one
         self.known: dict[str, bytes] = {}
         self.older: dict[str, bytes] = {}
         # Ġ is the space in the vocabulary's byte alphabet
         names = {i: t for t, i in self.tokenizer.get_vocab().items()}
         self.leads = np.array([names.get(i, "").startswith("\u0120") for i in range(max(names) + 1)])
-        self.marks = {c: np.array(self.tokenizer.encode(c).ids, np.uint32).tobytes() for c in ".,"}
+        line = self.tokenizer.encode("\n").ids
+        self.line = line[0] if len(line) == 1 else None
 
     def __call__(self, text: str) -> np.ndarray:
         return self.batch([text])[0]
 
     def batch(self, texts: list[str]) -> list[np.ndarray]:
-        """Ids of each text; pieces that are new to all of them are learned in one go."""
-        if len(self.known) > _PIECES_LIMIT:
+        """Ids of each text."""
+        return [own for _, flat, sizes in self.chunks(pa.array(texts, pa.large_string())) for own in np.split(flat, np.cumsum(sizes)[:-1])]
+
+    def chunks(self, texts: pa.Array):
+        """Yields, for runs of texts of a few MB, the first one's place, their ids one after the other, and how many each has; null is the empty text."""
+        texts = texts.cast(pa.large_string()).fill_null("")
+        chunk = np.cumsum(pc.binary_length(texts).to_numpy(zero_copy_only=False)) // _CHUNK_BYTES
+        edges = [0, *(np.flatnonzero(np.diff(chunk)) + 1).tolist(), len(texts)]
+        for lo, hi in zip(edges, edges[1:], strict=False):
+            if hi > lo:
+                yield lo, *self._chunk(texts.slice(lo, hi - lo))
+
+    def _chunk(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        if len(self.known) > _PARTS_LIMIT:
             self.known, self.older = {}, self.known
-        get, plain, new = self.known.get, [], set()
-        for t in texts:
-            first, *rest = t.split(" ")
-            found = list(map(get, rest))
-            lacks = list(compress(range(len(rest)), map(is_, found, repeat(None))))
-            fresh = [rest[i] for i in lacks]
-            # known pieces have been looked through: only the first piece and those not known can send a text to the library whole
-            if not first or self.mixed(" ".join(["", first, *fresh, ""])) or (self.spaced and self.spaced.search(t)):
-                plain.append(None)
-                continue
-            new.update(fresh)
-            plain.append((first, rest, found, lacks))
-        self.learn(new)
-        whole = [t if p is None else p[0] for t, p in zip(texts, plain, strict=True)]
-        out = []
-        for e, p in zip(self.tokenizer.encode_batch_fast(whole, add_special_tokens=False), plain, strict=True):
-            head = array("I", e.ids).tobytes()
-            if p is not None:
-                _, rest, found, lacks = p
-                for i in lacks:
-                    found[i] = self.known[rest[i]]
-                head += b"".join(found)
-            out.append(np.frombuffer(head, np.uint32))
-        return out
+        whole = self.uneven(texts)
+        cut_up = pc.if_else(pa.array(whole), "", texts)
+        # a newline goes with the piece behind it, but in texts with empty lines
+        single = pc.if_else(pc.match_substring(cut_up, "\n\n"), False, self.line is not None)
+        cut = pc.split_pattern(pc.if_else(single, pc.replace_substring(cut_up, "\n", " \n"), cut_up), " ")
+        ends = cut.offsets.to_numpy()
+        ends = ends - ends[0]
+        begin = ends[:-1]  # pieces without a space before them
+        pieces = cut.flatten().dictionary_encode()
+        code, pieces = pieces.indices.to_numpy(), pieces.dictionary
+        inner = np.ones(len(code), bool)
+        inner[begin] = False
+        heads = pieces.take(pa.array(code[begin])).to_pylist()
+        both = pc.extract_regex(pieces, _WORD_AND_REST)
+        word = pc.if_else(both.is_valid(), both.field("word"), pieces)
+        rest = pc.if_else(both.is_valid(), both.field("rest"), "")
+        sides = []
+        for column, before in ((word, ""), (rest, " ")):
+            column = column.dictionary_encode()
+            at, keys = column.indices.to_numpy(), _strings(column.dictionary, before)
+            sides.append((at, keys, list(map(self.known.get, keys))))
+
+        def lacking() -> list[list[int]]:
+            used = np.bincount(code[inner], minlength=len(pieces)) > 0
+            return [[i for i in np.flatnonzero(np.bincount(at[used], minlength=len(keys))).tolist() if found[i] is None] for at, keys, found in sides]
+
+        lacks = lacking()
+        # known parts have been looked through: only first pieces and parts not known can send a text to the library whole
+        seen = [*(h.strip("\n") for h in heads), *(keys[i].strip(" \n") for (_, keys, _), some in zip(sides, lacks, strict=True) for i in some)]
+        if self.mixed(" ".join(["", *filter(None, seen), ""])):
+            odd = np.zeros(len(pieces), bool)
+            for (at, keys, _), some in zip(sides, lacks, strict=True):
+                flaw = np.zeros(len(keys), bool)
+                flaw[[i for i in some if self.mixed(keys[i])]] = True
+                odd |= flaw[at]
+            whole |= np.logical_or.reduceat(odd[code] & inner, begin) | np.array([self.mixed(h) for h in heads])
+            inner &= ~np.repeat(whole, np.diff(ends))
+            lacks = lacking()
+        self.learn([keys[i] for (_, keys, _), some in zip(sides, lacks, strict=True) for i in some])
+        for (_, keys, found), some in zip(sides, lacks, strict=True):
+            for i in some:
+                found[i] = self.known[keys[i]]
+        alone = [texts[i].as_py() if w else h for i, (w, h) in enumerate(zip(whole.tolist(), heads, strict=True))]
+        alone = [array("I", e.ids).tobytes() for e in self.tokenizer.encode_batch_fast(alone, add_special_tokens=False)]
+        # parts that nothing but first pieces and whole texts have are left empty
+        made = [pa.array(found, pa.large_binary()).fill_null(b"").take(pa.array(at)) for at, _, found in sides]
+        ids = pa.concat_arrays([pc.binary_join_element_wise(*made, pa.scalar(b"", pa.large_binary())), pa.array([*alone, b""], pa.large_binary())])
+        code = np.where(inner, code, len(ids) - 1)
+        code[begin] = len(pieces) + np.arange(len(texts))
+        got = ids.take(pa.array(code))
+        at = np.frombuffer(got.buffers()[1], np.int64)[: len(got) + 1]
+        return np.frombuffer(got.buffers()[2] or b"", np.uint32)[: at[-1] // 4], np.diff(at[ends]) // 4
+
+    def uneven(self, texts: pa.Array) -> np.ndarray:
+        """Which texts hold a space beside white space or at the end, or the string of an added token."""
+        found = pc.ends_with(texts, " ")
+        for x in ("  ", " \n", "\n "):
+            found = pc.or_(found, pc.match_substring(texts, x))
+        for x in self.strings:
+            found = pc.or_(found, pc.match_substring(texts, x))
+        return found.to_numpy(zero_copy_only=False).copy()
 
     def mixed(self, pieces: str) -> bool:
         """Whether pieces, with a space before, between and behind them, hold white space that meets white space, is odd, or an added token."""
         return "  " in pieces or " \n" in pieces or "\n " in pieces or bool(_ODD_SPACE.search(pieces)) or bool(self.added and self.added.search(pieces))
 
-    def learn(self, pieces: set[str]) -> None:
-        """Ids of new pieces: from the older half, from a known piece before a last full stop or comma, or by one library call.
+    def learn(self, parts: list[str]) -> None:
+        """Ids of new parts: words after a space, lines with the newline before them, and other rests, which have a space before.
 
-        A full stop or comma after a letter is a piece of the splitter by itself. New pieces are encoded as one text; each
-        begins at an id whose token begins with the space, which stands nowhere else in them.
+        They come from the older half or from the library. Words and lines are encoded as one text each; a word begins at
+        an id whose token begins with the space, which stands nowhere else in them, and a line at the id of the newline.
         """
-        known, older, new = self.known, self.older, []
-        held = pieces & older.keys()
-        known.update(zip(held, map(older.__getitem__, held), strict=True))
-        for p in pieces - held:
-            if p[-1] in self.marks and p[-2:-1].isalpha():
-                if (had := known.get(p[:-1]) or older.get(p[:-1])) is not None:
-                    known[p] = had + self.marks[p[-1]]
-                    continue
-            new.append(p)
-        if new:
-            ids = np.array(self.tokenizer.encode_batch_fast([" " + " ".join(new)], add_special_tokens=False)[0].ids, np.uint32)
-            at = np.flatnonzero(self.leads[ids]).tolist()
-            raw = ids.tobytes()
-            for p, a, z in zip(new, at, [*at[1:], len(ids)], strict=True):
-                known[p] = raw[4 * a : 4 * z]
+        words, lines, rests = [], [], []
+        for p in parts:
+            if (had := self.older.get(p)) is not None:
+                self.known[p] = had
+            elif p[:1] == " " or p == "\n":
+                rests.append(p)
+            else:
+                (lines if p[0] == "\n" else words).append(p)
+        encode = lambda texts: self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)
+        alone = [(p, p.removeprefix(" ")) for p in rests]
+        if self.spaced:  # strings of added tokens could come about between joined words
+            alone += [(w, f" {w}") for w in words] + [(x, x) for x in lines]
+            words, lines = [], []
+        for new, joined in ((words, " " + " ".join(words)), (lines, "".join(lines))):
+            if new:
+                ids = np.array(encode([joined])[0].ids, np.uint32)
+                at = np.flatnonzero(self.leads[ids] if new is words else ids == self.line).tolist()
+                raw = ids.tobytes()
+                for p, a, z in zip(new, at, [*at[1:], len(ids)], strict=True):
+                    self.known[p] = raw[4 * a : 4 * z]
+        for (p, _), e in zip(alone, encode([t for _, t in alone]), strict=True):
+            self.known[p] = array("I", e.ids).tobytes()
+
+
+def _strings(column: pa.Array, before: str) -> list[str]:
+    """The strings of a column, none of which holds a space, with a text before those that are not empty."""
+    if not len(column):
+        return []
+    joined = pc.binary_join(pa.ListArray.from_arrays(pa.array([0, len(column)], pa.int32()), column), pa.scalar(" ", pa.large_string()))
+    return [before + x for x in joined[0].as_py().split(" ")] if before else joined[0].as_py().split(" ")
 
 
 _ENCODERS: dict[str, CachedEncoder] = {}
@@ -112,6 +180,7 @@ _ENCODERS: dict[str, CachedEncoder] = {}
 def encoder_for(path: str) -> CachedEncoder:
     """One encoder for each vocabulary and Python worker, so that later tasks find its pieces known."""
     if path not in _ENCODERS:
+        release_memory()  # what earlier stages left to this worker
         _ENCODERS[path] = CachedEncoder(path)
     return _ENCODERS[path]
 
@@ -135,20 +204,14 @@ def write_token_files(docs: DataFrame, tokenizer_path: str, path: str, partition
         from pyspark import TaskContext
 
         encoder, part, at = encoder_for(tokenizer_path), TaskContext.get().partitionId(), 0
-        end = np.array([end_id], np.uint32)
         for batch in batches:
-            ids, sizes = [], []
-            for lo in range(0, batch.num_rows, 250):
-                some = batch.slice(lo, 250)
-                for own in encoder.batch(texts_of(some)):
-                    ids += [own, end]
-                    sizes.append(len(own) + 1)
-            if not sizes:
-                continue
-            ends = np.cumsum(sizes)
-            lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], ends]), pa.int32()), pa.array(np.concatenate(ids).view(np.int32)))
-            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(sizes), part, np.int32)), batch.column("doc_id").cast(arrow.field("doc_id").type), pa.array(at + ends - sizes), pa.array(sizes, pa.int32()), lists], schema=arrow)
-            at += int(ends[-1])
+            for lo, flat, sizes in encoder.chunks(batch.column("text")):
+                flat, sizes = np.insert(flat, np.cumsum(sizes), end_id), sizes + 1
+                ends = np.cumsum(sizes)
+                lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], ends]), pa.int32()), pa.array(flat.view(np.int32)))
+                ids = batch.column("doc_id").slice(lo, len(sizes)).cast(arrow.field("doc_id").type)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(sizes), part, np.int32)), ids, pa.array(at + ends - sizes), pa.array(sizes, pa.int32()), lists], schema=arrow)
+                at += int(ends[-1])
 
     dealt = docs.select("doc_id", "text").repartitionByRange(n, F.col("doc_id"), tie).sortWithinPartitions(F.col("doc_id"), tie)
     # fixed values: names of ORC writer options

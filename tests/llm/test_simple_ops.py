@@ -259,3 +259,21 @@ def test_known_pieces_are_not_looked_through_again():
     for _ in range(2):
         assert [x.tolist() for t in texts for x in encoder.batch([t])] == [plain.encode(t, add_special_tokens=False).ids for t in texts]
     assert seen[1] == " zero "
+
+
+def test_parts_of_many_texts_encode_as_the_library_does(monkeypatch):
+    """Lines and words are encoded apart from what follows them and put together in chunks of texts, whole texts among them."""
+    monkeypatch.setattr(token_files, "_CHUNK_BYTES", 200)
+    monkeypatch.setattr(token_files, "_PARTS_LIMIT", 40)
+    encoder, plain, rng = token_files.CachedEncoder(queries.vocabulary()), Tokenizer.from_file(queries.vocabulary()), random.Random(3)
+    even = ["a", "word", " ", " ", "\n", "'s", "don't", "é", "Über", "1", "!", "漢", ". ", ",\n", "²", "́", "ªb", "_", "%%%"]
+    odd = [*even, "  ", "\n\n", "\t", "　", "<|endoftext|>", "\r", "\0", "\x1f"]
+    for k in range(300):
+        texts = ["".join(rng.choice(odd if k % 2 else even) for _ in range(rng.randint(0, 14))) for _ in range(30)]
+        assert [x.tolist() for x in encoder.batch(texts)] == [plain.encode(t, add_special_tokens=False).ids for t in texts]
+    assert encoder.batch([]) == []
+    # a word learned with one sign behind it is known with any other, and behind a newline as a line
+    encoder.batch(["b words, lines\nlines"])
+    known = set(encoder.known)
+    encoder.batch(["b words. words! words lines,\nlines."])
+    assert set(encoder.known) - known == {" .", " !", " ,"} - known
